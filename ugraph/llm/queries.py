@@ -33,11 +33,23 @@ def op5_systematic_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_digest(_docs(spark, sf_dir))
 
 
+def op6_rule_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality_rules import quality_digest
+
+    return quality_digest(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op8_bayes_support_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .quality_classifier import quality_scores
+
+    return quality_scores(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
 def _sql() -> dict[str, str]:
     from .mixing import MIX_SQL
 
     return {"op5_systematic_mixing": MIX_SQL}
 
 
-QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op3_id_store, op4_png_media, op5_systematic_mixing)}
+QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op8_bayes_support_vectors)}
 SQL = _sql()
