@@ -45,11 +45,24 @@ def op8_bayes_support_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_scores(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+def op7_snapshot_collapse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .chats import render
+
+    return render(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
+
+
+def op10_feistel_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pii import pii_digest
+
+    return pii_digest(_docs(spark, sf_dir))
+
+
 def _sql() -> dict[str, str]:
+    from .chats import CHAT_SQL
     from .mixing import MIX_SQL
 
-    return {"op5_systematic_mixing": MIX_SQL}
+    return {"op5_systematic_mixing": MIX_SQL, "op7_snapshot_collapse": CHAT_SQL}
 
 
-QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op8_bayes_support_vectors)}
+QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op7_snapshot_collapse, op8_bayes_support_vectors, op10_feistel_pseudonyms)}
 SQL = _sql()
