@@ -15,6 +15,12 @@ def op1_retrieval_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(_docs(spark, sf_dir))
 
 
+def op2_tensored_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .near_dedup import near_duplicates
+
+    return near_duplicates(_docs(spark, sf_dir))
+
+
 def op3_id_store(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .id_store import store_digest
 
@@ -64,5 +70,5 @@ def _sql() -> dict[str, str]:
     return {"op5_systematic_mixing": MIX_SQL, "op7_snapshot_collapse": CHAT_SQL}
 
 
-QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op7_snapshot_collapse, op8_bayes_support_vectors, op10_feistel_pseudonyms)}
+QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op2_tensored_minhash, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op7_snapshot_collapse, op8_bayes_support_vectors, op10_feistel_pseudonyms)}
 SQL = _sql()
