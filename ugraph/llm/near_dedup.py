@@ -2,10 +2,11 @@
 
 A document is its set of distinct word shingles. Two collections of SIDE sub-keys, of PER_KEY minhashes each, give
 SIDE x SIDE table keys, one for each pair of a sub-key of either side: 60 minhashes serve 100 tables. Only sub-keys
-that another text shares are paired at all. In a table bucket every text is held against the least one; texts whose
+that another text shares are paired at all. In a table bucket every text is held against one leader; texts whose
 buckets then still span several components are held against each other across components. Every candidate pair is
-confirmed on full shingle sets, after two tests which no linked pair fails: set sizes, and at least LEAST_EQUAL of 60
-one-byte minhashes equal (a pair at the limit of 0.85 fails this with a probability of about 1e-7).
+confirmed on full shingle sets, after tests which no linked pair fails: set sizes; the shingles that only one of the
+texts in question has; and at least LEAST_EQUAL of 60 one-byte minhashes equal (a pair at the limit of 0.85 fails this
+with a probability of about 1e-7).
 
 A linked pair at the limit of 0.85 misses all tables with a probability of about 1.5e-4; at 0.9, of 5e-6.
 
@@ -159,23 +160,37 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, width: int = SHINGL
     return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
+def _live(sets: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """Those of ``nodes`` that can link to another one at all: shingles which only one of the texts has are in no
+    intersection and in every union of it."""
+    spread = sets.join(nodes, "cid", "left_semi").select("cid", F.explode("shingles").alias("s"))
+    once = spread.groupBy("s").agg(F.count(F.lit(1)).alias("c"), F.min("cid").alias("cid")).filter("c = 1")
+    alone = once.groupBy("cid").agg(F.count(F.lit(1)).alias("alone"))
+    size = sets.select("cid", F.size("shingles").alias("n"))
+    return nodes.join(alone, "cid", "left").join(size, "cid").filter(f"100 * (n - coalesce(alone, 0)) >= {percent} * n").select("cid")
+
+
 def _links(docs: DataFrame, classes: DataFrame, percent: int, width: int) -> DataFrame:
     subs = classes.select("cid", F.posexplode("keys").alias("pos", "key"))
-    common = materialise(subs.groupBy("pos", "key").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").drop("c"), "dedup-common")
+    common = materialise(subs.groupBy("pos", "key").agg(F.count(F.lit(1)).alias("c")).filter("c > 1"), "dedup-common")
     sides = subs.join(common, ["pos", "key"]).groupBy("cid").agg(
         F.collect_list(F.when(F.col("pos") < SIDE, F.struct("pos", "key"))).alias("a"),
         F.collect_list(F.when(F.col("pos") >= SIDE, F.struct("pos", "key"))).alias("b"),
+        F.sum("c").alias("shared"),
     )
-    cells = sides.filter("size(a) > 0 and size(b) > 0").select("cid", F.explode("a").alias("a"), "b").select("cid", "a", F.explode("b").alias("b"))
-    cells = materialise(cells.select("cid", F.xxhash64("a.pos", "a.key", "b.pos", "b.key").alias("cell")), "dedup-cells")
-    leaders = materialise(cells.groupBy("cell").agg(F.min("cid").alias("lead"), F.max("cid").alias("top")).filter("lead <> top").drop("top"), "dedup-leaders")
-    members = materialise(cells.join(leaders, "cell"), "dedup-members")
+    cells = sides.filter("size(a) > 0 and size(b) > 0").select("cid", "shared", F.explode("a").alias("a"), "b").select("cid", "shared", "a", F.explode("b").alias("b"))
+    cells = materialise(cells.select("cid", "shared", F.xxhash64("a.pos", "a.key", "b.pos", "b.key").alias("cell")), "dedup-cells")
+    # a bucket's leader is the member whose sub-keys most others share: in a group of edited copies, the least edited
+    lead = F.max(F.struct("shared", (-F.col("cid")).alias("minus")))
+    leaders = materialise(cells.groupBy("cell").agg(lead.alias("top"), F.count(F.lit(1)).alias("c")).filter("c > 1").select("cell", (-F.col("top.minus")).alias("lead")), "dedup-leaders")
+    members = materialise(cells.drop("shared").join(leaders, "cell"), "dedup-members")
     facts = classes.select("cid", "n", "bytes")
     u = facts.select(F.col("cid").alias("u"), F.col("n").alias("nu"), F.col("bytes").alias("bu"))
     v = facts.select(F.col("cid").alias("v"), F.col("n").alias("nv"), F.col("bytes").alias("bv"))
-    possible = F.expr(f"100 * least(nu, nv) >= {percent} * greatest(nu, nv) AND {_equal_bytes('bu', 'bv')} >= {LEAST_EQUAL}")
-    stars = members.filter("cid <> lead").select(F.col("lead").alias("u"), F.col("cid").alias("v")).distinct()
-    stars = materialise(stars.join(u, "u").join(v, "v").filter(possible).select("u", "v"), "dedup-stars")
+    sizes = f"100 * least(nu, nv) >= {percent} * greatest(nu, nv)"
+    sketch = f"{_equal_bytes('bu', 'bv')} >= {LEAST_EQUAL}"
+    stars = members.filter("cid <> lead").select(F.least("lead", "cid").alias("u"), F.greatest("lead", "cid").alias("v")).distinct()
+    stars = materialise(stars.join(u, "u").join(v, "v").filter(f"{sizes} AND {sketch}").select("u", "v"), "dedup-stars")
     nodes = members.select("cid").distinct()
     sets = _sets_of(docs, classes, nodes, width)
     enough = f"100 * common >= {percent} * joint"
@@ -185,15 +200,76 @@ def _links(docs: DataFrame, classes: DataFrame, percent: int, width: int) -> Dat
     placed = members.join(materialise(roots, "dedup-roots"), "cid", "left").select("cell", "cid", F.coalesce("root", "cid").alias("root"))
     placed = materialise(placed, "dedup-placed")
     mixed = materialise(placed.groupBy("cell").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).filter("lo <> hi").select("cell"), "dedup-mixed")
-    open_ = materialise(placed.join(mixed, "cell").join(facts, "cid"), "dedup-open")
-    x = open_.select("cell", F.col("cid").alias("u"), F.col("root").alias("ru"), F.col("n").alias("nu"), F.col("bytes").alias("bu"))
-    y = open_.select("cell", F.col("cid").alias("v"), F.col("root").alias("rv"), F.col("n").alias("nv"), F.col("bytes").alias("bv"))
-    across = x.join(y, (x["cell"] == y["cell"]) & (F.col("u") < F.col("v")) & (F.col("ru") != F.col("rv")) & possible).select("u", "v").distinct()
-    across = across.join(stars, ["u", "v"], "left_anti")
-    second = _confirm(materialise(across, "dedup-across"), sets).filter(enough).select("u", "v")
+    open_ = materialise(placed.join(mixed, "cell"), "dedup-open")
+    open_ = materialise(open_.join(_live(sets, open_.select("cid").distinct(), percent), "cid"), "dedup-live")
+    second = _across(open_, sets, percent)
     return materialise(first.unionByName(second), "dedup-all-links")
 
 
+#: Texts of one block; two blocks meet in one task.
+BLOCK = 256
+
+
+def _across(open_: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links between different components among texts that may share buckets (cell, cid, root).
+
+    The buckets tie texts into clusters. A cluster's texts fall into blocks; every two blocks are compared as wholes,
+    by a product of their shingle matrices, and give only the links that join components. No pair becomes a row."""
+    least = materialise(open_.groupBy("cell").agg(F.min("cid").alias("m"), F.max("cid").alias("top")).filter("m <> top").drop("top"), "dedup-ties")
+    ties = materialise(components(open_.join(least, "cell").select(F.col("cid").alias("u"), F.col("m").alias("v")).filter("u <> v").distinct()), "dedup-clusters")
+    roots = ties.select("root").distinct().select(F.col("root").alias("node"), "root")
+    ties = ties.unionByName(roots).select(F.col("node").alias("cid"), F.col("root").alias("cluster"))
+    counts = ties.groupBy("cluster").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    nodes = ties.join(materialise(counts, "dedup-blocks"), "cluster").join(open_.select("cid", "root").distinct(), "cid")
+    nodes = nodes.withColumn("own", F.pmod(F.xxhash64("cid"), F.col("blocks")).cast("int"))
+    rows = nodes.join(sets, "cid").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    rows = rows.select("cluster", F.least("own", "other").alias("lo"), F.greatest("own", "other").alias("hi"), "cid", "root", "own", "shingles")
+    return rows.groupBy("cluster", "lo", "hi").applyInArrow(_compare(percent), "u long, v long")
+
+
+def _compare(percent: int):
+    def run(table: pa.Table) -> pa.Table:
+        lo, hi = table.column("lo")[0].as_py(), table.column("hi")[0].as_py()
+        own, cid, root = (np.asarray(table.column(c)) for c in ("own", "cid", "root"))
+        lists = table.column("shingles").combine_chunks()
+        sizes = np.diff(np.asarray(lists.offsets))
+        _, ids, counts = np.unique(np.asarray(lists.flatten()), return_inverse=True, return_counts=True)
+        rows = np.repeat(np.arange(len(cid)), sizes)
+        shared = counts[ids] > 1
+        number = np.cumsum(counts > 1) - 1
+        rows, ids = rows[shared], number[ids[shared]]
+        common = np.zeros((len(cid), len(cid)), np.float32)
+        order = np.argsort(ids, kind="stable")
+        rows, ids = rows[order], ids[order]
+        for a in range(0, int(ids[-1]) + 1 if len(ids) else 0, 4096):
+            x, y = np.searchsorted(ids, (a, a + 4096))
+            part = np.zeros((len(cid), 4096), np.float32)
+            part[rows[x:y], ids[x:y] - a] = 1
+            common += part @ part.T
+        joint = sizes[:, None] + sizes[None, :] - common
+        hit = 100 * common.astype(np.float64) >= percent * joint
+        if lo != hi:
+            hit &= (own == lo)[:, None] & (own == hi)[None, :]
+        u, v = np.nonzero(hit & (root[:, None] != root[None, :]))
+        parent: dict[int, int] = {}
+
+        def find(x):
+            while parent.get(x, x) != x:
+                parent[x] = parent.get(parent[x], parent[x])
+                x = parent[x]
+            return x
+
+        out = []
+        for i, j in zip(u.tolist(), v.tolist(), strict=True):
+            a, b = find(int(root[i])), find(int(root[j]))
+            if a != b:
+                parent[max(a, b)] = min(a, b)
+                out.append((int(cid[i]), int(cid[j])))
+        return pa.Table.from_arrays([pa.array([x for x, _ in out], pa.int64()), pa.array([y for _, y in out], pa.int64())], names=["u", "v"])
+
+    return run
+
+
 def drop_near_duplicates(docs: DataFrame, percent: int = PERCENT, width: int = SHINGLE) -> DataFrame:
     """``docs`` with one document of each group, its own columns kept. Of rows that share a kept doc_id and text the
     first stays."""
