@@ -57,6 +57,12 @@ def op7_snapshot_collapse(spark: SparkSession, sf_dir: str) -> DataFrame:
     return render(spark.read.parquet(f"{sf_dir}/conversations.parquet"))
 
 
+def op9_suffix_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .repeats import repeats_digest
+
+    return repeats_digest(_docs(spark, sf_dir))
+
+
 def op10_feistel_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .pii import pii_digest
 
@@ -70,5 +76,5 @@ def _sql() -> dict[str, str]:
     return {"op5_systematic_mixing": MIX_SQL, "op7_snapshot_collapse": CHAT_SQL}
 
 
-QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op2_tensored_minhash, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op7_snapshot_collapse, op8_bayes_support_vectors, op10_feistel_pseudonyms)}
+QUERIES = {f.__name__: f for f in (op1_retrieval_packing, op2_tensored_minhash, op3_id_store, op4_png_media, op5_systematic_mixing, op6_rule_forest, op7_snapshot_collapse, op8_bayes_support_vectors, op9_suffix_levels, op10_feistel_pseudonyms)}
 SQL = _sql()
