@@ -179,6 +179,9 @@ def node_context(eg: EntityGraph) -> DataFrame:
     probability towards one). Correlated edges count at their greatest over the unknown own label."""
     labels = eg.labels.select(F.col("entity_id").alias("dst"), "label", F.col("p").alias("q"))
     edges = eg.edges.withColumnRenamed("l_dst", "label") if eg.conditional else eg.edges
+    if eg.directed:
+        # a pattern node needs neighbours on either side; counting both only weakens the tests
+        edges = edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "p"))
     rows = edges.join(labels, ["dst", "label"] if eg.conditional else ["dst"])
     n = F.count_distinct("dst") if eg.conditional else F.count(F.lit(1))
     return rows.groupBy(F.col("src").alias("e"), "label").agg(n.alias("n"), F.max("p").alias("ppu"), F.max(F.col("p") * F.col("q")).alias("fpu"))
