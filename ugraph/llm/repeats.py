@@ -108,20 +108,30 @@ def _spread(batches):
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(batch.column("cid")), counts)), pa.array(np.concatenate([*spots, np.empty(0, np.int64)])), pa.array(np.frombuffer(grams, np.int64))], names=["cid", "pos", "gram"])
 
 
-REGIONS = "gram long, cid long, pos long, before int, region binary"
+REGIONS = "gram long, cid long, pos long, before int, size int, region binary"
 
 
 def _regions(batches):
+    """The bytes around every candidate anchor. Where a text repeats itself (a periodic one does at each period), equal
+    regions come once; that all their strings repeat is known already, and rows without bytes say so."""
     for batch in batches:
         for part in slices(batch, "text"):
             out = []
             for cid, text, spots in zip(*(part.column(c).to_pylist() for c in ("cid", "text", "spots")), strict=True):
-                data = text.encode()
+                data, seen = text.encode(), {}
                 for s in spots:
                     p = s["pos"]
                     before = min(SPAN, p)
-                    out.append((s["gram"], cid, p, before, data[p - before : p + LENGTH]))
-                    if len(out) == 8192:
+                    region = data[p - before : p + LENGTH]
+                    known = seen.setdefault((before, region), p)
+                    if known is None or known != p:
+                        if known is not None:
+                            out.append((s["gram"], cid, known, before, len(region), None))
+                            seen[before, region] = None
+                        out.append((s["gram"], cid, p, before, len(region), None))
+                    else:
+                        out.append((s["gram"], cid, p, before, len(region), region))
+                    if len(out) >= 8192:
                         yield _rows(out)
                         out = []
             if out:
@@ -129,49 +139,69 @@ def _regions(batches):
 
 
 def _rows(out: list[tuple]) -> pa.RecordBatch:
-    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary())
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["gram", "cid", "pos", "before", "region"])
+    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["gram", "cid", "pos", "before", "size", "region"])
 
 
 class SuffixFamily:
     """Levels of sparse suffix arrays over one table of regions; ``first`` and ``last`` hold, for each suffix, the
     greatest and the least distance from a matching string's start to the anchor (-1: none, SPAN + 1: none)."""
 
-    def __init__(self, grams: np.ndarray, before: np.ndarray, regions: list[bytes]):
+    #: Suffixes whose strings are held at once, besides a single gram's.
+    HELD = 4096
+
+    def __init__(self, grams: np.ndarray, before: np.ndarray, regions: pa.Array):
         n = len(grams)
-        self.grams, self.levels = grams, []
+        self.grams, self.before, self.regions, self.levels = grams, before, regions, []
         self.first, self.last = np.full(n, -1, np.int64), np.full(n, SPAN + 1, np.int64)
-        self.strings = np.zeros((n, SPAN + 1), np.uint64)
-        self.real = np.zeros((n, SPAN + 1), bool)
-        self.behind = np.array([int.from_bytes(r[b + GRAM : b + GRAM + 8].ljust(8, b"\0"), "big") for r, b in zip(regions, before.tolist(), strict=True)], dtype=np.uint64)
+        behind = []
+        for a in range(0, n, self.HELD):
+            part = zip(regions.slice(a, self.HELD).to_pylist(), before[a : a + self.HELD].tolist(), strict=True)
+            behind += [int.from_bytes(r[b + GRAM : b + GRAM + 8].ljust(8, b"\0"), "big") for r, b in part]
+        self.behind = np.array(behind, dtype=np.uint64)
+
+    def _strings(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Digests of the strings that start 0 to SPAN bytes before the anchors' ends, and which of them are whole."""
+        strings, real = np.zeros((len(rows), SPAN + 1), np.uint64), np.zeros((len(rows), SPAN + 1), bool)
         up, down = _powers(4096)
-        for a in range(0, n, 2048):
-            part = regions[a : a + 2048]
+        distance = SPAN - np.arange(SPAN + 1)
+        for a in range(0, len(rows), 1024):
+            some = rows[a : a + 1024]
+            part, before = self.regions.take(pa.array(some)).to_pylist(), self.before[some]
             wide = np.zeros((len(part), SPAN + LENGTH), np.uint8)
-            for i, r in enumerate(part):
-                s = SPAN - int(before[a + i])
-                wide[i, s : s + len(r)] = np.frombuffer(r, np.uint8)
+            for i, (r, b) in enumerate(zip(part, before.tolist(), strict=True)):
+                wide[i, SPAN - b : SPAN - b + len(r)] = np.frombuffer(r, np.uint8)
             total = np.zeros((len(part), SPAN + LENGTH + 1), np.uint64)
             np.cumsum((wide.astype(np.uint64) + np.uint64(1)) * up[: SPAN + LENGTH], axis=1, out=total[:, 1:])
-            self.strings[a : a + 2048] = _mix((total[:, LENGTH:] - total[:, :-LENGTH]) * down[: SPAN + 1])
-            lengths = np.array([len(r) for r in part]) - before[a : a + 2048]
-            distance = SPAN - np.arange(SPAN + 1)
-            self.real[a : a + 2048] = (distance <= before[a : a + 2048, None]) & (LENGTH - distance <= lengths[:, None])
+            strings[a : a + 1024] = _mix((total[:, LENGTH:] - total[:, :-LENGTH]) * down[: SPAN + 1])
+            after = np.array([len(r) for r in part]) - before
+            real[a : a + 1024] = (distance <= before[:, None]) & (LENGTH - distance <= after[:, None])
+        return strings, real
 
     def _sorted(self, rows: np.ndarray) -> np.ndarray:
         return rows[np.lexsort((self.behind[rows], self.grams[rows]))]
 
     def _match(self, rows: np.ndarray) -> None:
-        """Equal strings at equal places among ``rows``."""
+        """Equal strings at equal places among ``rows``, a run of whole grams at a time."""
+        rows = self._sorted(rows)
+        starts = np.flatnonzero(np.concatenate(([True], self.grams[rows][1:] != self.grams[rows][:-1]))).tolist() + [len(rows)]
+        a = 0
+        for i, b in enumerate(starts[1:], 1):
+            if b == len(rows) or starts[i + 1] - a > self.HELD:
+                self._match_run(rows[a:b])
+                a = b
+
+    def _match_run(self, rows: np.ndarray) -> None:
+        strings, real = self._strings(rows)
         for k in range(SPAN + 1):
-            some = rows[self.real[rows, k]]
+            some = np.flatnonzero(real[:, k])
             if len(some) < 2:
                 continue
-            x = self.strings[some, k]
+            x = strings[some, k]
             order = np.argsort(x, kind="stable")
             same = x[order][1:] == x[order][:-1]
             if same.any():
-                hit = some[order[np.concatenate((same, [False])) | np.concatenate(([False], same))]]
+                hit = rows[some[order[np.concatenate((same, [False])) | np.concatenate(([False], same))]]]
                 self.first[hit] = np.maximum(self.first[hit], SPAN - k)
                 self.last[hit] = np.minimum(self.last[hit], SPAN - k)
 
@@ -180,7 +210,8 @@ class SuffixFamily:
         new = self._sorted(rows)
         keys = self.grams[new]
         inner = np.isin(keys, keys[1:][keys[1:] == keys[:-1]])
-        self._match(new[inner])
+        if inner.any():
+            self._match(new[inner])
         for level in self.levels:
             old = self.grams[level]
             a = new[np.isin(keys, old)]
@@ -195,7 +226,7 @@ class SuffixFamily:
 
 def _scan(table: pa.Table) -> pa.Table:
     grams, cid, pos, before = (np.asarray(table.column(c)) for c in ("gram", "cid", "pos", "before"))
-    family = SuffixFamily(grams, before, table.column("region").to_pylist())
+    family = SuffixFamily(grams, before, table.column("region").combine_chunks())
     order = np.lexsort((pos, cid))
     for batch in np.array_split(order, min(BATCHES, len(order))):
         family.add(batch)
@@ -249,11 +280,13 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     key = F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k")
     wanted = long_.select("cid", key, "text_hash").join(per_text, "cid")
     held = materialise(texts.select(key, "text_hash", "text").join(wanted, ["k", "text_hash"]).dropDuplicates(["cid"]).select("cid", "text", "spots"), "repeat-texts")
-    shards = max(1, -(-spots.count() // SHARD_ROWS))
+    regions = materialise(map_arrow(held, _regions, REGIONS), "repeat-regions")
+    shards = max(1, -(-regions.filter("region is not null").count() // SHARD_ROWS))
     ship(spark)
-    dealt = map_arrow(held, _regions, REGIONS).withColumn("shard", F.pmod(F.xxhash64("gram"), F.lit(shards)))
+    dealt = regions.filter("region is not null").withColumn("shard", F.pmod(F.xxhash64("gram"), F.lit(shards)))
     found = dealt.groupBy("shard").applyInArrow(lambda t: _scan(t), "cid long, a long, b long")
-    found = materialise(found.groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
+    inside = regions.filter("region is null").select("cid", (F.col("pos") - F.col("before")).alias("a"), (F.col("pos") - F.col("before") + F.col("size")).alias("b"))
+    found = materialise(found.unionByName(inside).groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
     cut = materialise(map_arrow(held.select("cid", "text").join(found, "cid"), _cut, KEPT), "repeat-cut")
     named = materialise(classes.join(cut, "cid", "left").drop("cid"), "repeat-named")
     out = signed.select("doc_id", "n_bytes", "sha", "name").join(named, "name")
