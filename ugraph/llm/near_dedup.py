@@ -271,7 +271,7 @@ def _compare(percent: int):
 
 
 def drop_near_duplicates(docs: DataFrame, percent: int = PERCENT, width: int = SHINGLE) -> DataFrame:
-    """``docs`` with one document of each group, its own columns kept. Of rows that share a kept doc_id and text the
-    first stays."""
+    """``docs`` with one document of each group, its own columns kept. Rows are told apart by doc_id: rows that
+    share a kept doc_id all stay, and so do those without one."""
     gone = near_duplicates(docs, percent, width).filter("not kept").select(F.col("doc_id").alias("__gone"))
     return docs.join(gone.distinct(), F.col("doc_id").cast("long") == F.col("__gone"), "left_anti")
