@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 
 def windowed_users(events: DataFrame, width: str = "1 hour", late: str | None = None) -> DataFrame:
     """event_type, hour and the users of that hour; the same plan for a stream (``late``: its watermark) and a table."""
-    rows = events.withWatermark("ts", late) if late else events
+    rows = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    rows = rows.withWatermark("ts", late) if late else rows
     grouped = rows.groupBy("event_type", F.window("ts", width).alias("w")).agg(F.array_sort(F.collect_set("user_id")).alias("users"))
     return grouped.select("event_type", F.col("w.start").alias("hour"), "users")
 
