@@ -218,19 +218,45 @@ def test_feistel_is_a_permutation(spark):
     assert sorted(r.x for r in df.collect()) == [f"{i:03d}" for i in range(1000)]
 
 
-def test_repeats(spark, docs, empty):
-    got = {r.doc_id: r for r in repeats.repeated_spans(docs).collect()}
-    data = [(t or "").encode() for t in TEXTS]
+def removed(data: list[bytes]) -> list[np.ndarray]:
+    """Which bytes of each text a string of 400 covers that starts in two places."""
     seen: dict[bytes, int] = {}
     for d in data:
         for i in range(len(d) - 399):
             seen[d[i : i + 400]] = seen.get(d[i : i + 400], 0) + 1
-    for i, d in enumerate(data):
-        hit = np.zeros(len(d), bool)
+    out = [np.zeros(len(d), bool) for d in data]
+    for d, hit in zip(data, out, strict=True):
         for k in range(len(d) - 399):
             if seen[d[k : k + 400]] > 1:
                 hit[k : k + 400] = True
-        r = got[i if i != 7 else None]
+    return out
+
+
+def check_repeats(got, texts, ids):
+    data = [(t or "").encode() for t in texts]
+    for i, d, hit in zip(ids, data, removed(data), strict=True):
         kept = hashlib.sha256(np.frombuffer(d, np.uint8)[~hit].tobytes()).hexdigest()
+        r = got[i]
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == (len(d), int(hit.sum()), int((np.diff(np.concatenate(([0], hit.astype(int)))) == 1).sum()), kept)
-    assert repeats.repeated_spans(empty).count() == 0
+
+
+SIZES = [(repeats.HOT_ROWS, repeats.SHARD_ROWS), (1, 3), (3, 5)]
+
+
+@pytest.mark.parametrize(("hot_rows", "shard_rows"), SIZES)
+def test_repeats(spark, docs, empty, hot_rows, shard_rows):
+    got = {r.doc_id: r for r in repeats.repeated_spans(docs, hot_rows, shard_rows).collect()}
+    check_repeats(got, TEXTS, [i if i != 7 else None for i in range(len(TEXTS))])
+    assert repeats.repeated_spans(empty, hot_rows, shard_rows).count() == 0
+
+
+@pytest.mark.parametrize(("hot_rows", "shard_rows"), SIZES)
+def test_repeats_of_one_passage(spark, hot_rows, shard_rows):
+    """Cuts of one passage, from below 400 bytes up, each between words of its own; some twice in a text."""
+    rng, whole, texts = np.random.default_rng(5), text(50, 120), []
+    for i in range(40):
+        a = int(rng.integers(0, 200))
+        cut = whole[a : a + int(rng.integers(360, 520))]
+        texts.append(text(100 + i, int(rng.integers(1, 40))) + cut + text(200 + i, int(rng.integers(1, 40))) + (cut if i % 7 == 0 else ""))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    check_repeats({r.doc_id: r for r in repeats.repeated_spans(df, hot_rows, shard_rows).collect()}, texts, range(40))

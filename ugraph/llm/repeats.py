@@ -8,6 +8,12 @@ digest and of the bytes behind it), is merge-scanned against the existing levels
 and joins the family, in which levels of equal size class merge. The scan compares, for each start of a
 string around the anchor, the digests of the whole strings; their first and last matches bound what is removed.
 
+A gram of over HOT_ROWS suffixes is not dealt to one shard. Suffixes whose surroundings stand once leave by a count of
+the SHARED bytes that neighbouring strings have in common; the rest go in blocks by the least of those that repeat, a
+family each, and over several blocks where very many suffixes have the same.
+What a block leaves unmatched is held against the strings of the other blocks by counts of string digests, to which
+a block adds each digest once.
+
 Equal texts are one text here: those of at least LENGTH bytes with a copy go as wholes, and one of them stands for all.
 
 Defined cases: null text is empty; rows of equal or null doc_id are documents of their own; texts shorter than LENGTH
@@ -30,6 +36,11 @@ LENGTH, GRAM = 400, 128
 SPAN = LENGTH - GRAM
 #: Suffixes of one shard, and batches in which they arrive.
 SHARD_ROWS, BATCHES = 16384, 4
+#: Suffixes from which a gram is hot. The strings that start 16 j to 16 (j + 1) bytes before an anchor share SHARED bytes.
+HOT_ROWS, STEP = 4096, 16
+SHARED = LENGTH - STEP
+#: A repeated key is joined by broadcast if it holds over this part of the repeated rows: so there are fewer than 1024.
+HEAVY = 1024
 BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(BASE, -1, 1 << 64)
 
@@ -108,7 +119,7 @@ def _spread(batches):
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(batch.column("cid")), counts)), pa.array(np.concatenate([*spots, np.empty(0, np.int64)])), pa.array(np.frombuffer(grams, np.int64))], names=["cid", "pos", "gram"])
 
 
-REGIONS = "gram long, cid long, pos long, before int, size int, region binary"
+REGIONS = "gram long, cid long, pos long, before int, size int, region binary, hot boolean"
 
 
 def _regions(batches):
@@ -126,11 +137,11 @@ def _regions(batches):
                     known = seen.setdefault((before, region), p)
                     if known is None or known != p:
                         if known is not None:
-                            out.append((s["gram"], cid, known, before, len(region), None))
+                            out.append((s["gram"], cid, known, before, len(region), None, s["hot"]))
                             seen[before, region] = None
-                        out.append((s["gram"], cid, p, before, len(region), None))
+                        out.append((s["gram"], cid, p, before, len(region), None, s["hot"]))
                     else:
-                        out.append((s["gram"], cid, p, before, len(region), region))
+                        out.append((s["gram"], cid, p, before, len(region), region, s["hot"]))
                     if len(out) >= 8192:
                         yield _rows(out)
                         out = []
@@ -139,8 +150,23 @@ def _regions(batches):
 
 
 def _rows(out: list[tuple]) -> pa.RecordBatch:
-    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary())
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["gram", "cid", "pos", "before", "size", "region"])
+    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.bool_())
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["gram", "cid", "pos", "before", "size", "region", "hot"])
+
+
+def _totals(regions: list[bytes], before: np.ndarray) -> np.ndarray:
+    """Running sums of the regions' weighted bytes, a row each, with all anchors in column SPAN."""
+    wide = np.zeros((len(regions), SPAN + LENGTH), np.uint8)
+    for i, (r, b) in enumerate(zip(regions, before.tolist(), strict=True)):
+        wide[i, SPAN - b : SPAN - b + len(r)] = np.frombuffer(r, np.uint8)
+    total = np.zeros((len(regions), SPAN + LENGTH + 1), np.uint64)
+    np.cumsum((wide.astype(np.uint64) + np.uint64(1)) * _powers(4096)[0][: SPAN + LENGTH], axis=1, out=total[:, 1:])
+    return total
+
+
+def _placed(digests: np.ndarray, places: np.ndarray) -> np.ndarray:
+    """Digests of strings together with their places before the anchor."""
+    return _mix(digests ^ ((places.astype(np.uint64) + np.uint64(1)) * np.uint64(BASE))).view(np.int64)
 
 
 class SuffixFamily:
@@ -163,16 +189,12 @@ class SuffixFamily:
     def _strings(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Digests of the strings that start 0 to SPAN bytes before the anchors' ends, and which of them are whole."""
         strings, real = np.zeros((len(rows), SPAN + 1), np.uint64), np.zeros((len(rows), SPAN + 1), bool)
-        up, down = _powers(4096)
+        down = _powers(4096)[1]
         distance = SPAN - np.arange(SPAN + 1)
         for a in range(0, len(rows), 1024):
             some = rows[a : a + 1024]
             part, before = self.regions.take(pa.array(some)).to_pylist(), self.before[some]
-            wide = np.zeros((len(part), SPAN + LENGTH), np.uint8)
-            for i, (r, b) in enumerate(zip(part, before.tolist(), strict=True)):
-                wide[i, SPAN - b : SPAN - b + len(r)] = np.frombuffer(r, np.uint8)
-            total = np.zeros((len(part), SPAN + LENGTH + 1), np.uint64)
-            np.cumsum((wide.astype(np.uint64) + np.uint64(1)) * up[: SPAN + LENGTH], axis=1, out=total[:, 1:])
+            total = _totals(part, before)
             strings[a : a + 1024] = _mix((total[:, LENGTH:] - total[:, :-LENGTH]) * down[: SPAN + 1])
             after = np.array([len(r) for r in part]) - before
             real[a : a + 1024] = (distance <= before[:, None]) & (LENGTH - distance <= after[:, None])
@@ -224,16 +246,118 @@ class SuffixFamily:
             self.levels[-1] = self._sorted(np.concatenate((self.levels[-1], right)))
 
 
-def _scan(table: pa.Table) -> pa.Table:
+def _family(table: pa.Table) -> SuffixFamily:
+    """The family of a shard, after its batches have arrived in order of place."""
     grams, cid, pos, before = (np.asarray(table.column(c)) for c in ("gram", "cid", "pos", "before"))
     family = SuffixFamily(grams, before, table.column("region").combine_chunks())
     order = np.lexsort((pos, cid))
     for batch in np.array_split(order, min(BATCHES, len(order))):
         family.add(batch)
+    return family
+
+
+def _scan(table: pa.Table) -> pa.Table:
+    family, cid, pos = _family(table), np.asarray(table.column("cid")), np.asarray(table.column("pos"))
     hit = np.flatnonzero(family.first >= 0)
     return pa.Table.from_arrays([pa.array(cid[hit]), pa.array(pos[hit] - family.first[hit]), pa.array(pos[hit] - family.last[hit] + LENGTH)], names=["cid", "a", "b"])
 
 
+BLOCK = "cid long, pos long, a long, b long, key long"
+
+
+def _scan_block(table: pa.Table) -> pa.Table:
+    """What a block of hot suffixes matches within (no key), its strings without a match there (all columns), and once
+    each of its matched strings (key alone), which those of other blocks may match."""
+    family, cid, pos, mask = _family(table), *(np.asarray(table.column(c)) for c in ("cid", "pos", "mask"))
+    rows, keys = [], []
+    distance = SPAN - np.arange(SPAN + 1)
+    for a in range(0, len(cid), family.HELD):
+        some = np.arange(a, min(a + family.HELD, len(cid)))
+        strings, real = family._strings(some)
+        wanted = np.stack([(mask[some] & sum(1 << j for j in range(SPAN // STEP) if STEP * j <= d <= STEP * (j + 1))) > 0 for d in distance.tolist()], axis=1)
+        i, k = np.nonzero(real & wanted)
+        rows.append(np.stack((some[i], distance[k])))
+        keys.append(_placed(strings[i, k], k))
+    rows, keys = np.concatenate(rows, axis=1), np.concatenate(keys)
+    alone, again = _alone(keys)
+    (one, d), keys = rows[:, alone], keys[alone]
+    hit = np.flatnonzero(family.first >= 0)
+    whole = pa.table({"cid": cid[hit], "pos": pos[hit], "a": pos[hit] - family.first[hit], "b": pos[hit] - family.last[hit] + LENGTH, "key": pa.nulls(len(hit), pa.int64())})
+    open_ = pa.table({"cid": cid[one], "pos": pos[one], "a": pos[one] - d, "b": pos[one] - d + LENGTH, "key": keys})
+    known = pa.table({**{c: pa.nulls(len(again), pa.int64()) for c in ("cid", "pos", "a", "b")}, "key": again})
+    return pa.concat_tables([whole, open_, known])
+
+
+def _alone(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which keys stand once, and the others once each."""
+    each, back, n = np.unique(keys, return_inverse=True, return_counts=True)
+    return n[back] == 1, each[n > 1]
+
+
+NEAR = "cid long, pos long, mask long, key long, rep long"
+
+
+def _shared(batches):
+    """Places around the anchors whose SHARED bytes repeat: those found within a batch as a mask with the least digest,
+    the rest with their digests, and once each of the digests found, alone."""
+    down = _powers(4096)[1]
+    for batch in batches:
+        cid, pos, before = (np.asarray(batch.column(c)) for c in ("cid", "pos", "before"))
+        rows, places, keys = [], [], []
+        for at in range(0, len(cid), 1024):
+            regions, near = batch.column("region").slice(at, 1024).to_pylist(), before[at : at + 1024]
+            total, after = _totals(regions, near), np.array([len(r) for r in regions]) - near
+            for j in range(SPAN // STEP):
+                start = SPAN - STEP * j
+                real = np.flatnonzero((STEP * j <= near) & (SHARED - STEP * j <= after))
+                place = np.full(len(real), j)
+                rows.append(real + at)
+                places.append(place)
+                keys.append(_placed(_mix((total[real, start + SHARED] - total[real, start]) * down[start]), place))
+        if not rows:
+            continue
+        rows, places, keys = np.concatenate(rows), np.concatenate(places), np.concatenate(keys)
+        alone, known = _alone(keys)
+        mask, rep = np.zeros(len(cid), np.int64), np.full(len(cid), np.iinfo(np.int64).max)
+        np.bitwise_or.at(mask, rows[~alone], 1 << places[~alone])
+        np.minimum.at(rep, rows[~alone], keys[~alone])
+        hit, one = np.flatnonzero(mask), rows[alone]
+        columns = (
+            [cid[hit], pos[hit], mask[hit], None, rep[hit]],
+            [cid[one], pos[one], 1 << places[alone], keys[alone], keys[alone]],
+            [None, None, None, known, None],
+        )
+        for some, n in zip(columns, (len(hit), len(one), len(known)), strict=True):
+            yield pa.RecordBatch.from_arrays([pa.nulls(n, pa.int64()) if c is None else pa.array(c, pa.int64()) for c in some], names=[f.split()[0] for f in NEAR.split(", ")])
+
+
+def among_repeated(rows: DataFrame, key: str, tag: str, least: int = 2) -> DataFrame:
+    """The rows whose key stands in ``least`` or more, with its count ``c``. Heavy keys, fewer than HEAVY, go by broadcast, so
+    that no key brings more than that part of the rows into one task."""
+    counts = materialise(rows.groupBy(key).agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") >= least), tag)
+    share = (counts.agg(F.sum("c")).first()[0] or 0) // HEAVY
+    heavy = counts.filter(F.col("c") > share)
+    if heavy.isEmpty():
+        return rows.join(counts, key)
+    few = F.broadcast(heavy)
+    return rows.join(few, key).unionByName(rows.join(few.select(key), key, "left_anti").join(counts.filter(F.col("c") <= share), key))
+
+
+def _hot_spans(regions: DataFrame, rows: int, shard_rows: int) -> DataFrame:
+    """cid, a, b: the spans around the suffixes of hot grams, block by block."""
+    shared = materialise(map_arrow(regions.select("cid", "pos", "before", "region"), _shared, NEAR), "repeat-shared")
+    apart = among_repeated(shared.filter("key is not null"), "key", "repeat-shared-keys").filter("cid is not null")
+    both = shared.filter("key is null").unionByName(apart.drop("c")).groupBy("cid", "pos").agg(F.bit_or("mask").alias("mask"), F.min("rep").alias("rep"))
+    places = among_repeated(materialise(both, "repeat-places"), "rep", "repeat-reps", 1)
+    salt = F.pmod(F.xxhash64("cid", "pos"), F.ceil(F.col("c") * 4 / shard_rows))
+    places = places.select("cid", "pos", "mask", F.pmod(F.xxhash64("rep", salt), F.lit(-(-rows // shard_rows))).alias("block"))
+    dealt = regions.join(places, ["cid", "pos"])
+    scanned = materialise(dealt.groupBy("block").applyInArrow(lambda t: _scan_block(t), BLOCK), "repeat-blocks")
+    across = among_repeated(scanned.filter("key is not null"), "key", "repeat-strings").filter("cid is not null")
+    found = scanned.filter("key is null").drop("key").unionByName(across.select("cid", "pos", "a", "b"))
+    return found.groupBy("cid", "pos").agg(F.min("a").alias("a"), F.max("b").alias("b")).drop("pos")
+
+
 def merged_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     """Spans in order, with those that touch or overlap joined."""
     out: list[tuple[int, int]] = []
@@ -266,7 +390,7 @@ def _cut(batches):
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), kind), strict=True)], names=["cid", "n_removed", "n_spans", "kept_sha256", "spans"])
 
 
-def repeated_spans(docs: DataFrame) -> DataFrame:
+def repeated_spans(docs: DataFrame, hot_rows: int = HOT_ROWS, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed byte spans of every document."""
     spark = docs.sparkSession
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
@@ -274,17 +398,19 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
     classes = materialise(signed.groupBy("name").agg(F.min("rid").alias("cid"), F.count(F.lit(1)).alias("copies")), "repeat-classes")
     long_ = signed.filter(f"n_bytes >= {LENGTH}").drop("name").join(classes.select(F.col("cid").alias("rid")), "rid", "left_semi").withColumnRenamed("rid", "cid")
     spots = map_arrow(long_.select("cid", "spots", "grams"), _spread, "cid long, pos long, gram long")
-    twice = materialise(spots.groupBy("gram").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").drop("c"), "repeat-grams")
-    spots = materialise(spots.join(twice, "gram"), "repeat-spots")
-    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram")).alias("spots"))
+    spots = materialise(among_repeated(spots, "gram", "repeat-grams").withColumn("hot", F.col("c") > hot_rows).drop("c"), "repeat-spots")
+    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram", "hot")).alias("spots"))
     key = F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k")
     wanted = long_.select("cid", key, "text_hash").join(per_text, "cid")
     held = materialise(texts.select(key, "text_hash", "text").join(wanted, ["k", "text_hash"]).dropDuplicates(["cid"]).select("cid", "text", "spots"), "repeat-texts")
     regions = materialise(map_arrow(held, _regions, REGIONS), "repeat-regions")
-    shards = max(1, -(-regions.filter("region is not null").count() // SHARD_ROWS))
     ship(spark)
-    dealt = regions.filter("region is not null").withColumn("shard", F.pmod(F.xxhash64("gram"), F.lit(shards)))
-    found = dealt.groupBy("shard").applyInArrow(lambda t: _scan(t), "cid long, a long, b long")
+    rows = {r["hot"]: r["count"] for r in regions.filter("region is not null").groupBy("hot").count().collect()}
+    some = regions.filter("region is not null and not hot").drop("hot")
+    shards = max(1, -(-rows.get(False, 0) // shard_rows))
+    found = some.withColumn("shard", F.pmod(F.xxhash64("gram"), F.lit(shards))).groupBy("shard").applyInArrow(lambda t: _scan(t), "cid long, a long, b long")
+    if rows.get(True):
+        found = found.unionByName(_hot_spans(regions.filter("region is not null and hot").drop("hot"), rows[True], shard_rows))
     inside = regions.filter("region is null").select("cid", (F.col("pos") - F.col("before")).alias("a"), (F.col("pos") - F.col("before") + F.col("size")).alias("b"))
     found = materialise(found.unionByName(inside).groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
     cut = materialise(map_arrow(held.select("cid", "text").join(found, "cid"), _cut, KEPT), "repeat-cut")
