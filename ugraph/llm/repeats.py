@@ -266,8 +266,8 @@ BLOCK = "cid long, pos long, a long, b long, key long"
 
 
 def _scan_block(table: pa.Table) -> pa.Table:
-    """What a block of hot suffixes matches within (no key), its strings without a match there (all columns), and once
-    each of its matched strings (key alone), which those of other blocks may match."""
+    """What a block of hot suffixes matches within (no key), its strings without a match there that could add to it (all
+    columns), and once each of its other strings (key alone), which those of other blocks may match."""
     family, cid, pos, mask = _family(table), *(np.asarray(table.column(c)) for c in ("cid", "pos", "mask"))
     rows, keys = [], []
     distance = SPAN - np.arange(SPAN + 1)
@@ -280,7 +280,10 @@ def _scan_block(table: pa.Table) -> pa.Table:
         keys.append(_placed(strings[i, k], k))
     rows, keys = np.concatenate(rows, axis=1), np.concatenate(keys)
     alone, again = _alone(keys)
-    (one, d), keys = rows[:, alone], keys[alone]
+    # a match between the first and the last adds no byte: such strings are only there for others to match
+    outside = (rows[1] > family.first[rows[0]]) | (rows[1] < family.last[rows[0]])
+    again = np.concatenate((again, keys[alone & ~outside]))
+    (one, d), keys = rows[:, alone & outside], keys[alone & outside]
     hit = np.flatnonzero(family.first >= 0)
     whole = pa.table({"cid": cid[hit], "pos": pos[hit], "a": pos[hit] - family.first[hit], "b": pos[hit] - family.last[hit] + LENGTH, "key": pa.nulls(len(hit), pa.int64())})
     open_ = pa.table({"cid": cid[one], "pos": pos[one], "a": pos[one] - d, "b": pos[one] - d + LENGTH, "key": keys})
