@@ -9,8 +9,9 @@ and joins the family, in which levels of equal size class merge. The scan compar
 string around the anchor, the digests of the whole strings; their first and last matches bound what is removed.
 
 A gram of over HOT_ROWS suffixes is not dealt to one shard. Suffixes whose surroundings stand once leave by a count of
-the SHARED bytes that neighbouring strings have in common; the rest go in blocks by the least of those that repeat, a
-family each, and over several blocks where very many suffixes have the same.
+the SHARED bytes that neighbouring strings have in common. What is left of a gram goes to one block, or, beyond the size
+of a shard, to several: by the least of those bytes that repeat, and over several blocks where very many suffixes have
+the same. A block holds a family.
 What a block leaves unmatched is held against the strings of the other blocks by counts of string digests, to which
 a block adds each digest once.
 
@@ -266,13 +267,14 @@ BLOCK = "cid long, pos long, a long, b long, key long"
 
 
 def _scan_block(table: pa.Table) -> pa.Table:
-    """What a block of hot suffixes matches within (no key), its strings without a match there that could add to it (all
-    columns), and once each of its other strings (key alone), which those of other blocks may match."""
+    """What a block of hot suffixes matches within (no key), and for grams split over blocks its strings without a match there
+    that could add to it (all columns) and once each of its other strings (key alone), which those of other blocks may match."""
     family, cid, pos, mask = _family(table), *(np.asarray(table.column(c)) for c in ("cid", "pos", "mask"))
-    rows, keys = [], []
+    rows, keys = [np.empty((2, 0), np.int64)], [np.empty(0, np.int64)]
     distance = SPAN - np.arange(SPAN + 1)
-    for a in range(0, len(cid), family.HELD):
-        some = np.arange(a, min(a + family.HELD, len(cid)))
+    split = np.flatnonzero(table.column("split").to_numpy())
+    for a in range(0, len(split), family.HELD):
+        some = split[a : a + family.HELD]
         strings, real = family._strings(some)
         wanted = np.stack([(mask[some] & sum(1 << j for j in range(SPAN // STEP) if STEP * j <= d <= STEP * (j + 1))) > 0 for d in distance.tolist()], axis=1)
         i, k = np.nonzero(real & wanted)
@@ -353,8 +355,11 @@ def _hot_spans(regions: DataFrame, rows: int, shard_rows: int) -> DataFrame:
     both = shared.filter("key is null").unionByName(apart.drop("c")).groupBy("cid", "pos").agg(F.bit_or("mask").alias("mask"), F.min("rep").alias("rep"))
     places = among_repeated(materialise(both, "repeat-places"), "rep", "repeat-reps", 1)
     salt = F.pmod(F.xxhash64("cid", "pos"), F.ceil(F.col("c") * 4 / shard_rows))
-    places = places.select("cid", "pos", "mask", F.pmod(F.xxhash64("rep", salt), F.lit(-(-rows // shard_rows))).alias("block"))
-    dealt = regions.join(places, ["cid", "pos"])
+    dealt = materialise(regions.join(places.select("cid", "pos", "mask", "rep", salt.alias("salt")), ["cid", "pos"]), "repeat-dealt")
+    # strings of different grams differ: a gram that one block can hold stays whole, and only larger ones meet across blocks
+    part = F.pmod(F.xxhash64("rep", "salt"), F.ceil(F.col("c") / shard_rows))
+    block = F.pmod(F.xxhash64("gram", part), F.lit(-(-rows // shard_rows)))
+    dealt = among_repeated(dealt, "gram", "repeat-hot-grams", 1).withColumns({"block": block, "split": F.col("c") > shard_rows}).drop("c", "rep", "salt")
     scanned = materialise(dealt.groupBy("block").applyInArrow(lambda t: _scan_block(t), BLOCK), "repeat-blocks")
     across = among_repeated(scanned.filter("key is not null"), "key", "repeat-strings").filter("cid is not null")
     found = scanned.filter("key is null").drop("key").unionByName(across.select("cid", "pos", "a", "b"))
