@@ -171,6 +171,23 @@ def test_rules_and_forest(spark, empty):
     assert quality_rules.quality_digest(empty, labels).count() == 0
 
 
+def test_forest_with_an_extreme_text(spark):
+    """One word of 100,000 signs stretches no range, whether the base rules reject its text or not."""
+
+    def loud(i):
+        return " ".join(w.upper() if k % 10 < i % 4 else w + "!" * (k % 9 < i % 3) for k, w in enumerate(text(i, 300).split()))
+
+    def signs(i):
+        return " ".join(w + "$" * (k % 2) for k, w in enumerate(text(i, 300).split()))
+
+    rows = [(i, loud(i)) for i in range(80)] + [(100 + i, signs(i)) for i in range(20)]
+    rows += [(200, "|" * 100_000), (201, text(201, 80) + " " + "|" * 100_000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame([(i, int(i < 100), 0) for i, _ in rows], "doc_id long, quality int, toxic int")
+    got = {r.doc_id: r.kept for r in quality_rules.quality_digest(df, labels).collect()}
+    assert all(got[i] == (i < 100) for i, _ in rows)
+
+
 def test_classifier(spark, empty):
     rows = [(i, text(i, 60) if i % 2 else text(i, 60).upper()) for i in range(200)]
     df = spark.createDataFrame(rows, "doc_id long, text string")

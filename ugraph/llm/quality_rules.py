@@ -4,8 +4,10 @@ Base rules reject texts with fewer than 50 words, or of which more than half the
 windows. On rates made from the rule statistics an isolation forest is grown over random splits; documents with short
 mean paths are anomalies. Junk comes in dense clusters, which hide from a forest grown on everything, so the forest
 grows on a bounded sample of rows labelled good (TREES x PER_TREE rows of least hash; of all rows where none is
-labelled good), and each split is drawn from the whole range of the rate over the corpus, not from the range of the
-node's rows. The threshold is calibrated on all labelled rows that pass the base rules: of the thresholds which reject
+labelled good), and each split is drawn from the whole range which the rate can take, not from the range of the
+node's rows. Before that a rate is bounded: its distance from the sample's median, in units of the sample's spread, is
+mapped into (-1, 1). Median and spread are ranks of the sample, so no single row, however extreme, moves the splits,
+and rows which the base rules reject have no say in them. The threshold is calibrated on all labelled rows that pass the base rules: of the thresholds which reject
 at most MAX_CLEAN_LOSS of the rows labelled good, the one which rejects most of the others.
 
 Defined cases: null text has no words; rows of equal or null doc_id are judged each on their own; a doc_id labelled
@@ -25,6 +27,11 @@ from .common import map_arrow, materialise, slices
 MIN_WORDS, REPEAT_PERCENT = 50, 50
 TREES, PER_TREE, DEPTH, SEED = 100, 256, 10, 17
 SHRINK = 50
+#: The sample's spread lies between these two quantiles; a rate's unit is at least its entry in LEAST_UNIT.
+SPREAD = (0.01, 0.99)
+#: By rate: the least unit, and the greatest value that the rate can take.
+LEAST_UNIT = np.array([0.05, 0.01, 0.05])
+MOST = np.array([np.inf, 1.0, np.inf])
 #: Share of the rows labelled good that the threshold may reject.
 MAX_CLEAN_LOSS = 0.001
 #: Scores are held in this many equal bins for the calibration.
@@ -102,12 +109,32 @@ def rates(counts: np.ndarray) -> np.ndarray:
     return np.stack([c[:, 2] / words, c[:, 5] / chars, c[:, 7] / words], axis=1)
 
 
+class Bounds:
+    """Maps rates into (-1, 1): 0 is the sample's median, 0.5 is one unit above it."""
+
+    def __init__(self, sample: np.ndarray):
+        width = len(LEAST_UNIT)
+        self.mid, self.unit = np.zeros(width), LEAST_UNIT
+        if len(sample):
+            self.mid = np.median(sample, axis=0)
+            below, above = np.quantile(sample, SPREAD[0], axis=0, method="higher"), np.quantile(sample, SPREAD[1], axis=0, method="lower")
+            self.unit = np.maximum(np.maximum(self.mid - below, above - self.mid), LEAST_UNIT)
+        self.low = self(np.zeros(width))
+        self.high = np.where(np.isinf(MOST), 1.0, self(np.where(np.isinf(MOST), 0.0, MOST)))
+
+    def __call__(self, rows: np.ndarray) -> np.ndarray:
+        off = rows - self.mid
+        return off / (self.unit + np.abs(off))
+
+
 class IsolationForest:
     """Trees of random splits; a row's score is 2 ** (-mean path length / expected length), near 1 for outliers."""
 
-    def __init__(self, sample: np.ndarray, low: np.ndarray, high: np.ndarray, trees: int = TREES, per_tree: int = PER_TREE, depth: int = DEPTH, seed: int = SEED):
+    def __init__(self, sample: np.ndarray, trees: int = TREES, per_tree: int = PER_TREE, depth: int = DEPTH, seed: int = SEED):
         rng = np.random.default_rng(seed)
         per_tree = min(per_tree, len(sample))
+        self.bounds = Bounds(sample)
+        low, high, sample = self.bounds.low, self.bounds.high, self.bounds(sample)
         self.expected = max(float(self._length(np.array([per_tree]))[0]), 1.0)
         self.depth = depth
         self.trees = [self._grow(sample[rng.permutation(len(sample))[:per_tree]], low, high, rng) for _ in range(trees)]
@@ -143,6 +170,7 @@ class IsolationForest:
         return tuple(np.array(x) for x in (feature, cut, left, right, length))
 
     def score(self, rows: np.ndarray) -> np.ndarray:
+        rows = self.bounds(rows)
         total = np.zeros(len(rows))
         every = np.arange(len(rows))
         for feature, cut, left, right, length in self.trees:
@@ -174,9 +202,6 @@ VERDICTS = STATS + ", score double, base_failed boolean, kept boolean"
 def fit(stats: DataFrame, labels: DataFrame) -> tuple[IsolationForest, float]:
     """The forest from a sample of ``stats`` and the threshold from all rows with labels."""
     marks = labels.filter("quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("quality"))
-    words, chars = F.col("n_words") + SHRINK, F.col("word_chars") + 5 * SHRINK
-    top = stats.agg(F.max(F.col("n_symbols") / words), F.max(F.col("n_upper") / chars), F.max(F.col("n_marks") / words)).first()
-    high = np.array([x or 0.0 for x in top])
 
     def sample(rows: DataFrame) -> np.ndarray:
         rows = rows.filter(~base_failed(F.col("n_words"), F.col("n_repeat_words"))).orderBy(F.xxhash64("doc_id", F.lit(SEED)), *COUNTS)
@@ -185,7 +210,7 @@ def fit(stats: DataFrame, labels: DataFrame) -> tuple[IsolationForest, float]:
     rows = sample(stats.join(marks.filter("quality = 1"), "doc_id"))
     if not len(rows):
         rows = sample(stats)
-    forest = IsolationForest(rates(rows), np.zeros(3), high)
+    forest = IsolationForest(rates(rows))
     scored = map_arrow(stats, _verdicts(forest, 2.0), VERDICTS).filter("not base_failed").join(marks, "doc_id")
     bins = scored.groupBy(F.floor(F.col("score") * BINS).alias("bin"), (F.col("quality") == 1).alias("good")).count().collect()  # at most 2 x BINS rows
     good, bad = np.zeros(BINS + 1), np.zeros(BINS + 1)
