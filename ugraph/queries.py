@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -18,6 +20,8 @@ from .streaming.edges import pair_counts, windowed_users
 from .workloads import PART_LABELS
 
 BETA, GAMMA, ALPHA = 0.3, 0.1, 0.5
+#: Vectors of one block of the all-pairs join.
+VECTOR_BLOCK = 1024
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 _ENGINES: dict[tuple, Engine] = {}
@@ -100,6 +104,16 @@ def name_similarity_sets(spark, sf_dir):
     return rows.filter(F.col("b").isNotNull() & (1 - near / F.length("c_name") > 0.9)).select("a", "b", near.alias("distance"))
 
 
+@query("SELECT a.c_custkey AS a, b.c_custkey AS b, CAST(levenshtein(a.c_name, b.c_name) AS INTEGER) AS distance FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_mktsegment = b.c_mktsegment AND a.c_custkey < b.c_custkey WHERE 1 - levenshtein(a.c_name, b.c_name) / length(a.c_name) > 0.9")
+def name_similarity_all_pairs(spark, sf_dir):
+    """Every pair of a block, where name_similarity_sets compares neighbouring keys alone."""
+    block = ["c_nationkey", "c_mktsegment"]
+    rows = spark.read.parquet(f"{sf_dir}/customer.parquet").select(*block, F.col("c_custkey").alias("a"), "c_name")
+    pairs = rows.join(rows.select(*block, F.col("a").alias("b"), F.col("c_name").alias("other")), block).filter("a < b")
+    near = F.levenshtein("c_name", "other")
+    return pairs.filter(1 - near / F.length("c_name") > 0.9).select("a", "b", near.alias("distance"))
+
+
 # -- model ----------------------------------------------------------------------------------------------------------
 @query(costar("SELECT entity_id, label, round(p, 6) AS p FROM entity_labels"))
 def merge_labels_average(spark, sf_dir):
@@ -407,6 +421,28 @@ def knn_edges(spark, sf_dir):
     return pairs.filter("cos >= 0.25").select("src", "dst", F.round((1 + F.col("cos")) / 2, 4).alias("p"))
 
 
+@query("SELECT a.vec_id AS src, b.vec_id AS dst, round((1 + list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[]))) / 2, 4) AS p FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) >= 0.25")
+def knn_edges_all_pairs(spark, sf_dir):
+    """Vectors of any labels whose cosine reaches 0.25: each pair of blocks of vectors is one matrix product."""
+    v = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    n = max(1, -(-v.count() // VECTOR_BLOCK))
+    v = v.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(n - 1))))
+    v = v.select(F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "vec_id", "v")
+
+    def near(table: pa.Table) -> pa.Table:
+        block, ids = np.asarray(table.column("block")), np.asarray(table.column("vec_id"))
+        m = np.array(table.column("v").to_pylist())
+        m /= np.linalg.norm(m, axis=1, keepdims=True)
+        left, right = (np.flatnonzero(block == table.column(c)[0].as_py()) for c in ("lo", "hi"))
+        cos = m[left] @ m[right].T
+        i, j = np.nonzero(cos >= 0.25)
+        a, b, c = ids[left[i]], ids[right[j]], cos[i, j]
+        keep = (a < b) | (block[left[i]] != block[right[j]])
+        return pa.table({"src": np.minimum(a, b)[keep], "dst": np.maximum(a, b)[keep], "cos": c[keep]})
+
+    return v.groupBy("lo", "hi").applyInArrow(near, "src long, dst long, cos double").select("src", "dst", F.round((1 + F.col("cos")) / 2, 4).alias("p"))
+
+
 @query("WITH seen AS (SELECT DISTINCT event_type, date_trunc('hour', ts) AS h, user_id FROM events) SELECT a.user_id AS src, b.user_id AS dst, count(*) AS n FROM seen a JOIN seen b ON a.event_type = b.event_type AND a.h = b.h AND a.user_id < b.user_id GROUP BY 1, 2")
 def events_window_edges(spark, sf_dir):
     return pair_counts(windowed_users(spark.read.parquet(f"{sf_dir}/events.parquet")))
