@@ -76,6 +76,32 @@ def test_packing(docs, empty):
     assert packing.pack_documents(empty).count() == 0
 
 
+def test_packing_takes_the_next_best_tails():
+    """70 short tails share a term with the last one; those without it come earlier and must wait."""
+    tails = [np.array([1, 2, 3])] + [np.array([10 + i, 9, 8]) for i in range(100)] + [np.array([1, 2, 4])] * 70
+    idf = np.ones(200)
+    lengths = np.array([len(t) for t in tails])
+    first = packing.fill_windows(lengths, packing.ShardIndex(tails, idf, 3.0), 3 * 71)[0]
+    assert {i for i, _, _ in first} == {0, *range(101, 171)}
+
+
+def test_packing_looks_up_all_terms():
+    """30 terms of high weight lie in no other tail; the one that a copy shares is the 31st."""
+    tails = [np.arange(31), np.array([40, 41]), np.array([30, 42])]
+    idf = np.array([2.0] * 30 + [1.0] * 20)
+    assert packing.ShardIndex(tails, idf, 10.0).scores(0)[2] > 0
+
+
+def test_packing_deals_copies_to_one_shard(spark):
+    rows = [(100 * c + g, text(1000 + g, 60)) for g in range(40) for c in range(9)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(7)
+    got = packing.pack_documents(df, shard_tokens=24000).toPandas()
+    assert got.length.sum() == sum(len(ids(t)) for _, t in rows)
+    got["shard"], got["group"] = got.sequence_id // 2**32, got.doc_id % 100
+    assert got.shard.nunique() > 2 and (got.groupby("group").shard.nunique() == 1).all()
+    assert packing.deal([(1, 10), (2, 25), (3, 4), (4, 6)], 10) == [(1, 0, 1), (2, 1, 3), (3, 4, 1), (4, 5, 1)]
+
+
 def brute_components(rows, percent, width):
     sets = [near_dedup.shingle_set(t or "", width) for _, t in rows]
     root = list(range(len(rows)))

@@ -1,11 +1,14 @@
 """Lexical retrieval packing into windows of token ids.
 
 Each document's full windows stand alone; what is left of it (its tail) is packed with neighbours. The tails are dealt
-into shards of about SHARD_TOKENS ids. A shard holds an inverted index of its tails with BM25 weights; document
+into shards of about SHARD_TOKENS ids by their key: of the terms that KEY_TAILS tails or more hold, the one of highest
+BM25 weight, so that copies and many related tails meet. A key with more ids than half a shard has shards of its own,
+over which its tails are dealt evenly; the others share shards in the order of their ids. A shard holds an inverted index of its tails with BM25 weights; document
 frequencies and the mean length are counted over all tails of the corpus (the terms are token ids, so these counts
 are bounded by the vocabulary). Each seed, the first unused tail, fetches the unused tails with the highest scores;
-they fill its window greedily, whole where they fit, and the best one left is cut to close the window. What is cut off
-stays in the index as unused. Only the last window of a shard can hold fewer than ``window`` ids.
+they fill its window greedily, whole where they fit, and the best one left is cut to close the window. All terms of the
+seed are looked up. The best CANDIDATES are tried first, then the next best ones, down to those of score 0. What is cut
+off stays in the index as unused. Only the last window of a shard can hold fewer than ``window`` ids.
 
 Defined cases: null text is an empty document (its end id is packed); rows of equal or null doc_id are packed each on
 its own; ties in score go to the earlier tail; extra columns are ignored; an empty table gives no pieces.
@@ -26,8 +29,10 @@ from .tokens import END_ID, default_path, encoder, with_end
 WINDOW = 2048
 #: Ids of one shard's tails: what one task indexes at a time.
 SHARD_TOKENS = 1 << 20
-#: The seed's terms of highest weight which are looked up, and BM25's two constants.
-QUERY_TERMS, K1, B = 24, 1.2, 0.75
+#: BM25's two constants, and how many of the best unused tails are tried at a time.
+K1, B, CANDIDATES = 1.2, 0.75, 48
+#: A key is a term which so many tails hold at least.
+KEY_TAILS = 8
 
 STAGED = "doc_id long, n_tokens long, crcs binary, tail binary"
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -77,20 +82,27 @@ class ShardIndex:
         doc, term = pairs // v, pairs % v
         weight = idf[term] * tf * (K1 + 1) / (tf + K1 * (1 - B + B * lengths[doc] / mean))
         self.rows = np.searchsorted(doc, np.arange(self.n + 1))
-        self.terms, self.own = term, weight
+        self.terms = term
         order = np.argsort(term, kind="stable")
         self.docs, self.weights = doc[order], weight[order]
         self.starts = np.searchsorted(term[order], np.arange(v + 1))
 
     def scores(self, seed: int) -> np.ndarray:
         a, b = self.rows[seed], self.rows[seed + 1]
-        terms, own = self.terms[a:b], self.own[a:b]
-        if len(terms) > QUERY_TERMS:
-            terms = terms[np.argpartition(-own, QUERY_TERMS)[:QUERY_TERMS]]
-        spans = [(self.starts[t], self.starts[t + 1]) for t in terms.tolist()]
+        spans = [(self.starts[t], self.starts[t + 1]) for t in self.terms[a:b].tolist()]
         return np.bincount(np.concatenate([self.docs[x:y] for x, y in spans]), np.concatenate([self.weights[x:y] for x, y in spans]), self.n)
 
 
+def best(scores: np.ndarray, used: np.ndarray) -> np.ndarray:
+    """The unused tails of highest score, best first."""
+    ranked = np.flatnonzero(~used)
+    if len(ranked) > CANDIDATES:
+        least = np.partition(scores[ranked], -CANDIDATES)[-CANDIDATES]
+        above, equal = ranked[scores[ranked] > least], ranked[scores[ranked] == least]
+        ranked = np.concatenate((above, equal[: CANDIDATES - len(above)]))
+    return ranked[np.lexsort((ranked, -scores[ranked]))]
+
+
 def fill_windows(lengths: np.ndarray, index: ShardIndex, window: int) -> list[list[tuple[int, int, int]]]:
     """Windows as lists of (tail, from, to); every id of every tail lies in exactly one."""
     left, at = lengths.copy(), np.zeros_like(lengths)
@@ -113,12 +125,7 @@ def fill_windows(lengths: np.ndarray, index: ShardIndex, window: int) -> list[li
         room -= place(first, min(int(left[first]), room))
         if room:
             scores = index.scores(first)
-            scores[used] = -1
-            top = 48
-            ranked = np.flatnonzero(scores >= 0)
-            if len(ranked) > top:
-                ranked = ranked[np.argpartition(-scores[ranked], top)[:top]]
-            ranked = ranked[np.lexsort((ranked, -scores[ranked]))]
+            ranked = best(scores, used)
             while room and len(ranked):
                 for i in ranked.tolist():
                     if left[i] <= room and not used[i]:
@@ -130,10 +137,45 @@ def fill_windows(lengths: np.ndarray, index: ShardIndex, window: int) -> list[li
                     room -= place(int(ranked[0]), min(int(left[ranked[0]]), room))
                     ranked = ranked[~used[ranked]]
                 if room and not len(ranked):
-                    ranked = np.flatnonzero(~used)[:top]
+                    ranked = best(scores, used)
         windows.append(placed)
 
 
+def _keys(idf: np.ndarray, usual: np.ndarray, mean: float, kind: str):
+    """The key of every tail; -1 where it has none."""
+
+    def run(batches):
+        for batch in batches:
+            keys = []
+            for tail in batch.column("tail").to_pylist():
+                terms, tf = np.unique(np.frombuffer(tail, kind), return_counts=True)
+                terms, tf = terms[usual[terms]], tf[usual[terms]]
+                weight = idf[terms] * tf / (tf + K1 * (1 - B + B * len(tail) / np.dtype(kind).itemsize / mean))
+                keys.append(int(terms[np.argmax(weight)]) if len(terms) else -1)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(keys, pa.int64())], names=[*batch.schema.names, "key"])
+
+    return run
+
+
+def deal(masses: list[tuple[int, int]], shard_tokens: int) -> list[tuple[int, int, int]]:
+    """(key, first shard, number of shards) from (key, ids). A key of more than half a shard has its own shards."""
+    if sum(n for _, n in masses) <= shard_tokens:
+        return [(key, 0, 1) for key, _ in masses]
+    shards, room, open_shard, dealt = 0, 0, 0, []
+    for key, n in sorted(masses):
+        if 2 * n > shard_tokens:
+            parts = -(-n // shard_tokens)
+            dealt.append((key, shards, parts))
+            shards += parts
+            continue
+        if n > room or not room:
+            open_shard, room = shards, shard_tokens
+            shards += 1
+        dealt.append((key, open_shard, 1))
+        room -= n
+    return dealt
+
+
 def _pack(idf: np.ndarray, mean: float, window: int, kind: str):
     def run(table: pa.Table) -> pa.Table:
         rows = sorted(zip(*(table.column(c).to_pylist() for c in ("doc_id", "n_tokens", "crcs", "tail")), strict=True), key=lambda r: (r[0] is not None, r[0] or 0, r[1], r[3]))
@@ -179,7 +221,11 @@ def pack_documents(docs: DataFrame, path: str | None = None, window: int = WINDO
     for term, n in counts.collect():  # at most one row for each entry of the vocabulary
         df[term] = n
     idf = np.log1p((tails - df + 0.5) / (df + 0.5))
-    shards = max(1, -(-ids // shard_tokens))
+    mean = ids / max(tails, 1)
+    keyed = materialise(map_arrow(staged, _keys(idf, df >= KEY_TAILS, mean, kind), STAGED + ", mid long, key long"), "pack-keys")
+    # Rows without a key take part too, by the bytes of their checksums where they have no tail.
+    sums = keyed.groupBy("key").agg(F.sum(F.length("tail") + F.length("crcs")).alias("n")).collect()  # at most one row for each entry of the vocabulary
+    shares = spark.createDataFrame(deal([(r["key"], -(-r["n"] // np.dtype(kind).itemsize)) for r in sums], shard_tokens), "key long, first long, parts long")
     ship(spark)
-    dealt = staged.withColumn("shard", F.pmod(F.xxhash64("mid"), F.lit(shards)))
-    return dealt.drop("mid").groupBy("shard").applyInArrow(_pack(idf, ids / max(tails, 1), window, kind), PIECES)
+    dealt = keyed.join(F.broadcast(shares), "key").withColumn("shard", F.col("first") + F.expr("pmod(xxhash64(mid), parts)"))
+    return dealt.select("shard", "doc_id", "n_tokens", "crcs", "tail").groupBy("shard").applyInArrow(_pack(idf, mean, window, kind), PIECES)
