@@ -283,18 +283,18 @@ def check_repeats(got, texts, ids):
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == (len(d), int(hit.sum()), int((np.diff(np.concatenate(([0], hit.astype(int)))) == 1).sum()), kept)
 
 
-SIZES = [(repeats.HOT_ROWS, repeats.SHARD_ROWS), (1, 3), (3, 5)]
+SIZES = [repeats.SHARD_ROWS, 5, 23]
 
 
-@pytest.mark.parametrize(("hot_rows", "shard_rows"), SIZES)
-def test_repeats(spark, docs, empty, hot_rows, shard_rows):
-    got = {r.doc_id: r for r in repeats.repeated_spans(docs, hot_rows, shard_rows).collect()}
+@pytest.mark.parametrize("shard_rows", SIZES)
+def test_repeats(spark, docs, empty, shard_rows):
+    got = {r.doc_id: r for r in repeats.repeated_spans(docs, shard_rows).collect()}
     check_repeats(got, TEXTS, [i if i != 7 else None for i in range(len(TEXTS))])
-    assert repeats.repeated_spans(empty, hot_rows, shard_rows).count() == 0
+    assert repeats.repeated_spans(empty, shard_rows).count() == 0
 
 
-@pytest.mark.parametrize(("hot_rows", "shard_rows"), SIZES)
-def test_repeats_of_one_passage(spark, hot_rows, shard_rows):
+@pytest.mark.parametrize("shard_rows", SIZES)
+def test_repeats_of_one_passage(spark, shard_rows):
     """Cuts of one passage, from below 400 bytes up, each between words of its own; some twice in a text."""
     rng, whole, texts = np.random.default_rng(5), text(50, 120), []
     for i in range(40):
@@ -302,4 +302,4 @@ def test_repeats_of_one_passage(spark, hot_rows, shard_rows):
         cut = whole[a : a + int(rng.integers(360, 520))]
         texts.append(text(100 + i, int(rng.integers(1, 40))) + cut + text(200 + i, int(rng.integers(1, 40))) + (cut if i % 7 == 0 else ""))
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    check_repeats({r.doc_id: r for r in repeats.repeated_spans(df, hot_rows, shard_rows).collect()}, texts, range(40))
+    check_repeats({r.doc_id: r for r in repeats.repeated_spans(df, shard_rows).collect()}, texts, range(40))

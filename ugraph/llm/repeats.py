@@ -2,18 +2,18 @@
 
 Every byte covered by a LENGTH-byte string that also starts elsewhere is removed. Suffixes are indexed where they can
 matter: a string of LENGTH bytes holds LENGTH - GRAM + 1 grams, and all of the least digest are its anchors, in every
-place where the string stands. Anchors whose gram stands once are dropped by a count. The rest are dealt by gram into
-shards. In a shard, batches arrive one after another: each gets a suffix array (its suffixes in order of the gram's
-digest and of the bytes behind it), is merge-scanned against the existing levels for suffixes with the same gram,
-and joins the family, in which levels of equal size class merge. The scan compares, for each start of a
-string around the anchor, the digests of the whole strings; their first and last matches bound what is removed.
-
-A gram of over HOT_ROWS suffixes is not dealt to one shard. Suffixes whose surroundings stand once leave by a count of
-the SHARED bytes that neighbouring strings have in common. What is left of a gram goes to one block, or, beyond the size
-of a shard, to several: by the least of those bytes that repeat, and over several blocks where very many suffixes have
-the same. A block holds a family.
-What a block leaves unmatched is held against the strings of the other blocks by counts of string digests, to which
-a block adds each digest once.
+place where the string stands. Anchors whose gram stands once are dropped by a count. The rest are sorted by gram and by
+the bytes before it, read backwards, and the sorted run is cut into shards of about SHARD_ROWS suffixes. In a shard,
+batches arrive one after another: each gets a suffix array (its suffixes in order of the gram's digest and of the bytes
+behind it), is merge-scanned against the existing levels for suffixes with the same gram, and joins the family, in
+which levels of equal size class merge. The scan compares, for each start of a string around the anchor, the digests
+of the whole strings; their first and last matches bound what is removed.
+
+A cut can part the suffixes of a gram, whatever their number: of the first and the last gram of each shard. These are
+sorted once more, by the bytes behind the anchor, and scanned in shards of that order. A suffix and one that it met in
+neither order share no more bytes before the anchor than the suffix shares with an end of its first shard, and no more
+behind it than with an end of its second. Strings within these bounds, few unless the ends are alike, are matched
+between shards by counts of their digests, to which a shard adds each digest once.
 
 Equal texts are one text here: those of at least LENGTH bytes with a copy go as wholes, and one of them stands for all.
 
@@ -31,15 +31,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, materialise, ship, slices
+from .common import map_arrow, materialise, slices
 
 LENGTH, GRAM = 400, 128
 SPAN = LENGTH - GRAM
 #: Suffixes of one shard, and batches in which they arrive.
 SHARD_ROWS, BATCHES = 16384, 4
-#: Suffixes from which a gram is hot. The strings that start 16 j to 16 (j + 1) bytes before an anchor share SHARED bytes.
-HOT_ROWS, STEP = 4096, 16
-SHARED = LENGTH - STEP
 #: A repeated key is joined by broadcast if it holds over this part of the repeated rows: so there are fewer than 1024.
 HEAVY = 1024
 BASE = 0x9E3779B97F4A7C15 | 1
@@ -120,12 +117,13 @@ def _spread(batches):
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(batch.column("cid")), counts)), pa.array(np.concatenate([*spots, np.empty(0, np.int64)])), pa.array(np.frombuffer(grams, np.int64))], names=["cid", "pos", "gram"])
 
 
-REGIONS = "gram long, cid long, pos long, before int, size int, region binary, hot boolean"
+REGIONS = "gram long, cid long, pos long, before int, size int, left binary, right binary"
 
 
 def _regions(batches):
-    """The bytes around every candidate anchor. Where a text repeats itself (a periodic one does at each period), equal
-    regions come once; that all their strings repeat is known already, and rows without bytes say so."""
+    """The bytes before every candidate anchor, backwards, and those from it on. Where a text repeats itself (a periodic
+    one does at each period), equal regions come once; that all their strings repeat is known already, and rows without
+    bytes say so."""
     for batch in batches:
         for part in slices(batch, "text"):
             out = []
@@ -138,21 +136,24 @@ def _regions(batches):
                     known = seen.setdefault((before, region), p)
                     if known is None or known != p:
                         if known is not None:
-                            out.append((s["gram"], cid, known, before, len(region), None, s["hot"]))
+                            out.append((s["gram"], cid, known, before, len(region), None, None))
                             seen[before, region] = None
-                        out.append((s["gram"], cid, p, before, len(region), None, s["hot"]))
+                        out.append((s["gram"], cid, p, before, len(region), None, None))
                     else:
-                        out.append((s["gram"], cid, p, before, len(region), region, s["hot"]))
+                        out.append((s["gram"], cid, p, before, len(region), region[:before][::-1], region[before:]))
                     if len(out) >= 8192:
-                        yield _rows(out)
+                        yield _rows(out, REGIONS)
                         out = []
             if out:
-                yield _rows(out)
+                yield _rows(out, REGIONS)
 
 
-def _rows(out: list[tuple]) -> pa.RecordBatch:
-    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.bool_())
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=["gram", "cid", "pos", "before", "size", "region", "hot"])
+_KINDS = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary()}
+
+
+def _rows(out: list[tuple], schema: str) -> pa.RecordBatch:
+    fields = [f.split() for f in schema.split(", ")]
+    return pa.RecordBatch.from_arrays([pa.array(c, _KINDS[k]) for c, (_, k) in zip(zip(*out, strict=True), fields, strict=True)], names=[n for n, _ in fields])
 
 
 def _totals(regions: list[bytes], before: np.ndarray) -> np.ndarray:
@@ -249,48 +250,102 @@ class SuffixFamily:
 
 def _family(table: pa.Table) -> SuffixFamily:
     """The family of a shard, after its batches have arrived in order of place."""
-    grams, cid, pos, before = (np.asarray(table.column(c)) for c in ("gram", "cid", "pos", "before"))
-    family = SuffixFamily(grams, before, table.column("region").combine_chunks())
+    grams, cid, pos = (np.asarray(table.column(c)) for c in ("gram", "cid", "pos"))
+    left, right = (table.column(c).to_pylist() for c in ("left", "right"))
+    before = np.array([len(x) for x in left], dtype=np.int64)
+    family = SuffixFamily(grams, before, pa.array([x[::-1] + y for x, y in zip(left, right, strict=True)], pa.binary()))
     order = np.lexsort((pos, cid))
     for batch in np.array_split(order, min(BATCHES, len(order))):
         family.add(batch)
     return family
 
 
-def _scan(table: pa.Table) -> pa.Table:
-    family, cid, pos = _family(table), np.asarray(table.column("cid")), np.asarray(table.column("pos"))
-    hit = np.flatnonzero(family.first >= 0)
-    return pa.Table.from_arrays([pa.array(cid[hit]), pa.array(pos[hit] - family.first[hit]), pa.array(pos[hit] - family.last[hit] + LENGTH)], names=["cid", "a", "b"])
-
-
-BLOCK = "cid long, pos long, a long, b long, key long"
-
-
-def _scan_block(table: pa.Table) -> pa.Table:
-    """What a block of hot suffixes matches within (no key), and for grams split over blocks its strings without a match there
-    that could add to it (all columns) and once each of its other strings (key alone), which those of other blocks may match."""
-    family, cid, pos, mask = _family(table), *(np.asarray(table.column(c)) for c in ("cid", "pos", "mask"))
+def _common(texts: list[bytes], other: bytes) -> np.ndarray:
+    """Bytes that each of ``texts`` shares with the start of ``other``."""
+    found = np.zeros(len(texts), np.int64)
+    width = len(other)
+    for a in range(0, len(texts) if width else 0, 4096):
+        some = texts[a : a + 4096]
+        wide = np.frombuffer(b"".join(x[:width].ljust(width, b"\0") for x in some), np.uint8).reshape(len(some), width)
+        apart = wide != np.frombuffer(other, np.uint8)
+        lcp = np.where(apart.any(axis=1), apart.argmax(axis=1), width)
+        found[a : a + 4096] = np.minimum(lcp, [len(x) for x in some])
+    return found
+
+
+def _limits(table: pa.Table, order: str, skip: int = 0) -> np.ndarray:
+    """For each suffix of a shard of the run sorted by (gram, ``order``): how many bytes of ``order``, after the first
+    ``skip``, it can share at most with a suffix of its gram in another shard; -1 if its gram lies in this one alone."""
+    grams = np.asarray(table.column("gram"))
+    limit = np.full(len(grams), -1, np.int64)
+    for gram, end in ((grams.min(), min), (grams.max(), max)):
+        rows = np.flatnonzero(grams == gram)
+        some = [x[skip:] for x in table.column(order).take(pa.array(rows)).to_pylist()]
+        limit[rows] = np.maximum(limit[rows], np.minimum(_common(some, end(some)), SPAN))
+    return limit
+
+
+SCANNED = "gram long, cid long, pos long, left binary, right binary, first int, last int, most int, a long, b long"
+
+
+def _scan(batches):
+    """A shard in order of the bytes before the anchor: the spans of grams that lie in it alone, and the suffixes of the
+    others with what they matched here and the most bytes that one of another shard can share before the anchor."""
+    batches = list(batches)
+    if not sum(map(len, batches)):
+        return
+    table = pa.Table.from_batches(batches).combine_chunks()
+    family, most = _family(table), _limits(table, "left")
+    cid, pos = np.asarray(table.column("cid")), np.asarray(table.column("pos"))
+    hit, parted = np.flatnonzero((most < 0) & (family.first >= 0)), np.flatnonzero(most >= 0)
+    names = [f.split() for f in SCANNED.split(", ")]
+    whole = {"cid": cid[hit], "a": pos[hit] - family.first[hit], "b": pos[hit] - family.last[hit] + LENGTH}
+    yield pa.RecordBatch.from_arrays([pa.array(whole[n], _KINDS[k]) if n in whole else pa.nulls(len(hit), _KINDS[k]) for n, k in names], names=[n for n, _ in names])
+    for at in range(0, len(parted), 4096):
+        rows = parted[at : at + 4096]
+        some = table.select(["gram", "cid", "pos", "left", "right"]).take(pa.array(rows)).combine_chunks()
+        more = [pa.array(x[rows], pa.int32()) for x in (family.first, family.last, most)]
+        columns = [some.column(i).chunk(0) for i in range(5)]
+        yield pa.RecordBatch.from_arrays([*columns, *more, *[pa.nulls(len(rows), pa.int64())] * 2], names=[n for n, _ in names])
+
+
+STRINGS = "cid long, pos long, a long, b long, key long"
+
+
+def _scan_again(batches):
+    """A shard in order of the bytes behind the anchor: what its suffixes matched in either order (no key), the strings
+    without a match here that could add to it (all columns) and once each of the other strings (key alone); of strings,
+    those that a suffix met in neither order can share."""
+    batches = list(batches)
+    if not sum(map(len, batches)):
+        return
+    table = pa.Table.from_batches(batches).combine_chunks()
+    family, behind = _family(table), _limits(table, "right", GRAM)
+    cid, pos, first, last, most = (np.asarray(table.column(c)) for c in ("cid", "pos", "first", "last", "most"))
+    first, last = np.maximum(family.first, first), np.minimum(family.last, last)
     rows, keys = [np.empty((2, 0), np.int64)], [np.empty(0, np.int64)]
     distance = SPAN - np.arange(SPAN + 1)
-    split = np.flatnonzero(table.column("split").to_numpy())
-    for a in range(0, len(split), family.HELD):
-        some = split[a : a + family.HELD]
+    wide = np.flatnonzero((behind >= 0) & (SPAN - behind <= most))
+    for at in range(0, len(wide), family.HELD):
+        some = wide[at : at + family.HELD]
         strings, real = family._strings(some)
-        wanted = np.stack([(mask[some] & sum(1 << j for j in range(SPAN // STEP) if STEP * j <= d <= STEP * (j + 1))) > 0 for d in distance.tolist()], axis=1)
-        i, k = np.nonzero(real & wanted)
+        i, k = np.nonzero(real & (distance <= most[some][:, None]) & (distance >= SPAN - behind[some][:, None]))
         rows.append(np.stack((some[i], distance[k])))
         keys.append(_placed(strings[i, k], k))
     rows, keys = np.concatenate(rows, axis=1), np.concatenate(keys)
     alone, again = _alone(keys)
     # a match between the first and the last adds no byte: such strings are only there for others to match
-    outside = (rows[1] > family.first[rows[0]]) | (rows[1] < family.last[rows[0]])
+    outside = (rows[1] > first[rows[0]]) | (rows[1] < last[rows[0]])
     again = np.concatenate((again, keys[alone & ~outside]))
     (one, d), keys = rows[:, alone & outside], keys[alone & outside]
-    hit = np.flatnonzero(family.first >= 0)
-    whole = pa.table({"cid": cid[hit], "pos": pos[hit], "a": pos[hit] - family.first[hit], "b": pos[hit] - family.last[hit] + LENGTH, "key": pa.nulls(len(hit), pa.int64())})
-    open_ = pa.table({"cid": cid[one], "pos": pos[one], "a": pos[one] - d, "b": pos[one] - d + LENGTH, "key": keys})
-    known = pa.table({**{c: pa.nulls(len(again), pa.int64()) for c in ("cid", "pos", "a", "b")}, "key": again})
-    return pa.concat_tables([whole, open_, known])
+    hit = np.flatnonzero(first >= 0)
+    columns = (
+        [cid[hit], pos[hit], pos[hit] - first[hit], pos[hit] - last[hit] + LENGTH, None],
+        [cid[one], pos[one], pos[one] - d, pos[one] - d + LENGTH, keys],
+        [None, None, None, None, again],
+    )
+    for some, n in zip(columns, (len(hit), len(one), len(again)), strict=True):
+        yield pa.RecordBatch.from_arrays([pa.nulls(n, pa.int64()) if c is None else pa.array(c, pa.int64()) for c in some], names=[f.split()[0] for f in STRINGS.split(", ")])
 
 
 def _alone(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -299,43 +354,6 @@ def _alone(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return n[back] == 1, each[n > 1]
 
 
-NEAR = "cid long, pos long, mask long, key long, rep long"
-
-
-def _shared(batches):
-    """Places around the anchors whose SHARED bytes repeat: those found within a batch as a mask with the least digest,
-    the rest with their digests, and once each of the digests found, alone."""
-    down = _powers(4096)[1]
-    for batch in batches:
-        cid, pos, before = (np.asarray(batch.column(c)) for c in ("cid", "pos", "before"))
-        rows, places, keys = [], [], []
-        for at in range(0, len(cid), 1024):
-            regions, near = batch.column("region").slice(at, 1024).to_pylist(), before[at : at + 1024]
-            total, after = _totals(regions, near), np.array([len(r) for r in regions]) - near
-            for j in range(SPAN // STEP):
-                start = SPAN - STEP * j
-                real = np.flatnonzero((STEP * j <= near) & (SHARED - STEP * j <= after))
-                place = np.full(len(real), j)
-                rows.append(real + at)
-                places.append(place)
-                keys.append(_placed(_mix((total[real, start + SHARED] - total[real, start]) * down[start]), place))
-        if not rows:
-            continue
-        rows, places, keys = np.concatenate(rows), np.concatenate(places), np.concatenate(keys)
-        alone, known = _alone(keys)
-        mask, rep = np.zeros(len(cid), np.int64), np.full(len(cid), np.iinfo(np.int64).max)
-        np.bitwise_or.at(mask, rows[~alone], 1 << places[~alone])
-        np.minimum.at(rep, rows[~alone], keys[~alone])
-        hit, one = np.flatnonzero(mask), rows[alone]
-        columns = (
-            [cid[hit], pos[hit], mask[hit], None, rep[hit]],
-            [cid[one], pos[one], 1 << places[alone], keys[alone], keys[alone]],
-            [None, None, None, known, None],
-        )
-        for some, n in zip(columns, (len(hit), len(one), len(known)), strict=True):
-            yield pa.RecordBatch.from_arrays([pa.nulls(n, pa.int64()) if c is None else pa.array(c, pa.int64()) for c in some], names=[f.split()[0] for f in NEAR.split(", ")])
-
-
 def among_repeated(rows: DataFrame, key: str, tag: str, least: int = 2) -> DataFrame:
     """The rows whose key stands in ``least`` or more, with its count ``c``. Heavy keys, fewer than HEAVY, go by broadcast, so
     that no key brings more than that part of the rows into one task."""
@@ -348,22 +366,18 @@ def among_repeated(rows: DataFrame, key: str, tag: str, least: int = 2) -> DataF
     return rows.join(few, key).unionByName(rows.join(few.select(key), key, "left_anti").join(counts.filter(F.col("c") <= share), key))
 
 
-def _hot_spans(regions: DataFrame, rows: int, shard_rows: int) -> DataFrame:
-    """cid, a, b: the spans around the suffixes of hot grams, block by block."""
-    shared = materialise(map_arrow(regions.select("cid", "pos", "before", "region"), _shared, NEAR), "repeat-shared")
-    apart = among_repeated(shared.filter("key is not null"), "key", "repeat-shared-keys").filter("cid is not null")
-    both = shared.filter("key is null").unionByName(apart.drop("c")).groupBy("cid", "pos").agg(F.bit_or("mask").alias("mask"), F.min("rep").alias("rep"))
-    places = among_repeated(materialise(both, "repeat-places"), "rep", "repeat-reps", 1)
-    salt = F.pmod(F.xxhash64("cid", "pos"), F.ceil(F.col("c") * 4 / shard_rows))
-    dealt = materialise(regions.join(places.select("cid", "pos", "mask", "rep", salt.alias("salt")), ["cid", "pos"]), "repeat-dealt")
-    # strings of different grams differ: a gram that one block can hold stays whole, and only larger ones meet across blocks
-    part = F.pmod(F.xxhash64("rep", "salt"), F.ceil(F.col("c") / shard_rows))
-    block = F.pmod(F.xxhash64("gram", part), F.lit(-(-rows // shard_rows)))
-    dealt = among_repeated(dealt, "gram", "repeat-hot-grams", 1).withColumns({"block": block, "split": F.col("c") > shard_rows}).drop("c", "rep", "salt")
-    scanned = materialise(dealt.groupBy("block").applyInArrow(lambda t: _scan_block(t), BLOCK), "repeat-blocks")
-    across = among_repeated(scanned.filter("key is not null"), "key", "repeat-strings").filter("cid is not null")
-    found = scanned.filter("key is null").drop("key").unionByName(across.select("cid", "pos", "a", "b"))
-    return found.groupBy("cid", "pos").agg(F.min("a").alias("a"), F.max("b").alias("b")).drop("pos")
+def matched_spans(regions: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """cid, a, b: the spans around the suffixes of ``regions``, shard by shard in two orders, then across shards."""
+    shards = -(-regions.count() // shard_rows)
+    sorted_ = regions.repartitionByRange(max(1, shards), "gram", "left", "cid", "pos")
+    scanned = materialise(map_arrow(sorted_, _scan, SCANNED), "repeat-scan")
+    parted = scanned.filter("gram is not null").drop("a", "b")
+    shards = -(-parted.count() // shard_rows)
+    again = map_arrow(parted.repartitionByRange(max(1, shards), "gram", "right", "cid", "pos"), _scan_again, STRINGS)
+    again = materialise(again, "repeat-scan-again")
+    across = among_repeated(again.filter("key is not null"), "key", "repeat-strings").filter("cid is not null")
+    found = again.filter("key is null").drop("key").unionByName(across.select("cid", "pos", "a", "b"))
+    return scanned.filter("gram is null").select("cid", "a", "b").unionByName(found.select("cid", "a", "b"))
 
 
 def merged_spans(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -398,28 +412,21 @@ def _cut(batches):
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), kind), strict=True)], names=["cid", "n_removed", "n_spans", "kept_sha256", "spans"])
 
 
-def repeated_spans(docs: DataFrame, hot_rows: int = HOT_ROWS, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def repeated_spans(docs: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed byte spans of every document."""
-    spark = docs.sparkSession
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
     signed = materialise(map_arrow(texts.select("doc_id", "text_hash", "text"), _sign, SIGNED).withColumn("rid", F.monotonically_increasing_id()), "repeat-signed")
     classes = materialise(signed.groupBy("name").agg(F.min("rid").alias("cid"), F.count(F.lit(1)).alias("copies")), "repeat-classes")
     long_ = signed.filter(f"n_bytes >= {LENGTH}").drop("name").join(classes.select(F.col("cid").alias("rid")), "rid", "left_semi").withColumnRenamed("rid", "cid")
     spots = map_arrow(long_.select("cid", "spots", "grams"), _spread, "cid long, pos long, gram long")
-    spots = materialise(among_repeated(spots, "gram", "repeat-grams").withColumn("hot", F.col("c") > hot_rows).drop("c"), "repeat-spots")
-    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram", "hot")).alias("spots"))
+    spots = materialise(among_repeated(spots, "gram", "repeat-grams").drop("c"), "repeat-spots")
+    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram")).alias("spots"))
     key = F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k")
     wanted = long_.select("cid", key, "text_hash").join(per_text, "cid")
     held = materialise(texts.select(key, "text_hash", "text").join(wanted, ["k", "text_hash"]).dropDuplicates(["cid"]).select("cid", "text", "spots"), "repeat-texts")
     regions = materialise(map_arrow(held, _regions, REGIONS), "repeat-regions")
-    ship(spark)
-    rows = {r["hot"]: r["count"] for r in regions.filter("region is not null").groupBy("hot").count().collect()}
-    some = regions.filter("region is not null and not hot").drop("hot")
-    shards = max(1, -(-rows.get(False, 0) // shard_rows))
-    found = some.withColumn("shard", F.pmod(F.xxhash64("gram"), F.lit(shards))).groupBy("shard").applyInArrow(lambda t: _scan(t), "cid long, a long, b long")
-    if rows.get(True):
-        found = found.unionByName(_hot_spans(regions.filter("region is not null and hot").drop("hot"), rows[True], shard_rows))
-    inside = regions.filter("region is null").select("cid", (F.col("pos") - F.col("before")).alias("a"), (F.col("pos") - F.col("before") + F.col("size")).alias("b"))
+    found = matched_spans(regions.filter("left is not null").select("gram", "cid", "pos", "left", "right"), shard_rows)
+    inside = regions.filter("left is null").select("cid", (F.col("pos") - F.col("before")).alias("a"), (F.col("pos") - F.col("before") + F.col("size")).alias("b"))
     found = materialise(found.unionByName(inside).groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
     cut = materialise(map_arrow(held.select("cid", "text").join(found, "cid"), _cut, KEPT), "repeat-cut")
     named = materialise(classes.join(cut, "cid", "left").drop("cid"), "repeat-named")
