@@ -12,7 +12,8 @@ of the whole strings; their first and last matches bound what is removed.
 A cut can part the suffixes of a gram, whatever their number: of the first and the last gram of each shard. These are
 sorted once more, by the bytes behind the anchor, and scanned in shards of that order. A suffix and one that it met in
 neither order share no more bytes before the anchor than the suffix shares with an end of its first shard, and no more
-behind it than with an end of its second. Strings within these bounds, few unless the ends are alike, are matched
+behind it than with an end of its second (grams of at most NARROW suffixes are not sorted further, and have no such bound
+before the anchor). Strings within these bounds, few unless the ends are alike, are matched
 between shards by counts of their digests, to which a shard adds each digest once.
 
 Equal texts are one text here: those of at least LENGTH bytes with a copy go as wholes, and one of them stands for all.
@@ -31,14 +32,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, materialise, slices
+from .common import HEAVY, map_arrow, materialise, slices
 
 LENGTH, GRAM = 400, 128
 SPAN = LENGTH - GRAM
 #: Suffixes of one shard, and batches in which they arrive.
-SHARD_ROWS, BATCHES = 16384, 4
-#: A repeated key is joined by broadcast if it holds over this part of the repeated rows: so there are fewer than 1024.
-HEAVY = 1024
+SHARD_ROWS, BATCHES = 32768, 4
+#: Only grams of more suffixes than this are sorted by what stands before the anchor: a sort key that every row carries
+#: would make the sample large which the sort sends to the driver. Of smaller grams nothing is known about other shards.
+NARROW = 256
 BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(BASE, -1, 1 << 64)
 
@@ -117,7 +119,7 @@ def _spread(batches):
         yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(batch.column("cid")), counts)), pa.array(np.concatenate([*spots, np.empty(0, np.int64)])), pa.array(np.frombuffer(grams, np.int64))], names=["cid", "pos", "gram"])
 
 
-REGIONS = "gram long, cid long, pos long, before int, size int, left binary, right binary"
+REGIONS = "gram long, held long, cid long, pos long, before int, size int, left binary, right binary"
 
 
 def _regions(batches):
@@ -136,11 +138,11 @@ def _regions(batches):
                     known = seen.setdefault((before, region), p)
                     if known is None or known != p:
                         if known is not None:
-                            out.append((s["gram"], cid, known, before, len(region), None, None))
+                            out.append((s["gram"], s["c"], cid, known, before, len(region), None, None))
                             seen[before, region] = None
-                        out.append((s["gram"], cid, p, before, len(region), None, None))
+                        out.append((s["gram"], s["c"], cid, p, before, len(region), None, None))
                     else:
-                        out.append((s["gram"], cid, p, before, len(region), region[:before][::-1], region[before:]))
+                        out.append((s["gram"], s["c"], cid, p, before, len(region), region[:before][::-1], region[before:]))
                     if len(out) >= 8192:
                         yield _rows(out, REGIONS)
                         out = []
@@ -273,40 +275,48 @@ def _common(texts: list[bytes], other: bytes) -> np.ndarray:
     return found
 
 
-def _limits(table: pa.Table, order: str, skip: int = 0) -> np.ndarray:
-    """For each suffix of a shard of the run sorted by (gram, ``order``): how many bytes of ``order``, after the first
-    ``skip``, it can share at most with a suffix of its gram in another shard; -1 if its gram lies in this one alone."""
-    grams = np.asarray(table.column("gram"))
+def _limits(table: pa.Table, order: str, skip: int = 0, narrow: int = 0) -> np.ndarray:
+    """For each suffix of a shard of the run sorted by gram and, in grams of over ``narrow`` suffixes, by ``order``: how
+    many bytes of ``order``, after the first ``skip``, it can share at most with a suffix of its gram in another shard;
+    -1 if its gram lies in this one alone."""
+    grams, held = np.asarray(table.column("gram")), np.asarray(table.column("held"))
     limit = np.full(len(grams), -1, np.int64)
     for gram, end in ((grams.min(), min), (grams.max(), max)):
         rows = np.flatnonzero(grams == gram)
+        if held[rows[0]] <= narrow:
+            limit[rows] = SPAN
+            continue
         some = [x[skip:] for x in table.column(order).take(pa.array(rows)).to_pylist()]
         limit[rows] = np.maximum(limit[rows], np.minimum(_common(some, end(some)), SPAN))
     return limit
 
 
-SCANNED = "gram long, cid long, pos long, left binary, right binary, first int, last int, most int, a long, b long"
+SCANNED = "gram long, held long, cid long, pos long, left binary, right binary, first int, last int, most int, a long, b long"
 
 
-def _scan(batches):
+def _scan(narrow: int):
     """A shard in order of the bytes before the anchor: the spans of grams that lie in it alone, and the suffixes of the
     others with what they matched here and the most bytes that one of another shard can share before the anchor."""
-    batches = list(batches)
-    if not sum(map(len, batches)):
-        return
-    table = pa.Table.from_batches(batches).combine_chunks()
-    family, most = _family(table), _limits(table, "left")
-    cid, pos = np.asarray(table.column("cid")), np.asarray(table.column("pos"))
-    hit, parted = np.flatnonzero((most < 0) & (family.first >= 0)), np.flatnonzero(most >= 0)
-    names = [f.split() for f in SCANNED.split(", ")]
-    whole = {"cid": cid[hit], "a": pos[hit] - family.first[hit], "b": pos[hit] - family.last[hit] + LENGTH}
-    yield pa.RecordBatch.from_arrays([pa.array(whole[n], _KINDS[k]) if n in whole else pa.nulls(len(hit), _KINDS[k]) for n, k in names], names=[n for n, _ in names])
-    for at in range(0, len(parted), 4096):
-        rows = parted[at : at + 4096]
-        some = table.select(["gram", "cid", "pos", "left", "right"]).take(pa.array(rows)).combine_chunks()
-        more = [pa.array(x[rows], pa.int32()) for x in (family.first, family.last, most)]
-        columns = [some.column(i).chunk(0) for i in range(5)]
-        yield pa.RecordBatch.from_arrays([*columns, *more, *[pa.nulls(len(rows), pa.int64())] * 2], names=[n for n, _ in names])
+
+    def run(batches):
+        batches = list(batches)
+        if not sum(map(len, batches)):
+            return
+        table = pa.Table.from_batches(batches).combine_chunks()
+        family, most = _family(table), _limits(table, "left", narrow=narrow)
+        cid, pos = np.asarray(table.column("cid")), np.asarray(table.column("pos"))
+        hit, parted = np.flatnonzero((most < 0) & (family.first >= 0)), np.flatnonzero(most >= 0)
+        names = [f.split() for f in SCANNED.split(", ")]
+        whole = {"cid": cid[hit], "a": pos[hit] - family.first[hit], "b": pos[hit] - family.last[hit] + LENGTH}
+        yield pa.RecordBatch.from_arrays([pa.array(whole[n], _KINDS[k]) if n in whole else pa.nulls(len(hit), _KINDS[k]) for n, k in names], names=[n for n, _ in names])
+        for at in range(0, len(parted), 4096):
+            rows = parted[at : at + 4096]
+            some = table.select(["gram", "held", "cid", "pos", "left", "right"]).take(pa.array(rows)).combine_chunks()
+            more = [pa.array(x[rows], pa.int32()) for x in (family.first, family.last, most)]
+            columns = [some.column(i).chunk(0) for i in range(6)]
+            yield pa.RecordBatch.from_arrays([*columns, *more, *[pa.nulls(len(rows), pa.int64())] * 2], names=[n for n, _ in names])
+
+    return run
 
 
 STRINGS = "cid long, pos long, a long, b long, key long"
@@ -366,11 +376,11 @@ def among_repeated(rows: DataFrame, key: str, tag: str, least: int = 2) -> DataF
     return rows.join(few, key).unionByName(rows.join(few.select(key), key, "left_anti").join(counts.filter(F.col("c") <= share), key))
 
 
-def matched_spans(regions: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def matched_spans(regions: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int = NARROW) -> DataFrame:
     """cid, a, b: the spans around the suffixes of ``regions``, shard by shard in two orders, then across shards."""
     shards = -(-regions.count() // shard_rows)
-    sorted_ = regions.repartitionByRange(max(1, shards), "gram", "left", "cid", "pos")
-    scanned = materialise(map_arrow(sorted_, _scan, SCANNED), "repeat-scan")
+    sorted_ = regions.repartitionByRange(max(1, shards), "gram", F.when(F.col("held") > narrow, F.col("left")), "cid", "pos")
+    scanned = materialise(map_arrow(sorted_, _scan(narrow), SCANNED), "repeat-scan")
     parted = scanned.filter("gram is not null").drop("a", "b")
     shards = -(-parted.count() // shard_rows)
     again = map_arrow(parted.repartitionByRange(max(1, shards), "gram", "right", "cid", "pos"), _scan_again, STRINGS)
@@ -412,20 +422,20 @@ def _cut(batches):
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), kind), strict=True)], names=["cid", "n_removed", "n_spans", "kept_sha256", "spans"])
 
 
-def repeated_spans(docs: DataFrame, shard_rows: int = SHARD_ROWS) -> DataFrame:
+def repeated_spans(docs: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int = NARROW) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed byte spans of every document."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
     signed = materialise(map_arrow(texts.select("doc_id", "text_hash", "text"), _sign, SIGNED).withColumn("rid", F.monotonically_increasing_id()), "repeat-signed")
     classes = materialise(signed.groupBy("name").agg(F.min("rid").alias("cid"), F.count(F.lit(1)).alias("copies")), "repeat-classes")
     long_ = signed.filter(f"n_bytes >= {LENGTH}").drop("name").join(classes.select(F.col("cid").alias("rid")), "rid", "left_semi").withColumnRenamed("rid", "cid")
     spots = map_arrow(long_.select("cid", "spots", "grams"), _spread, "cid long, pos long, gram long")
-    spots = materialise(among_repeated(spots, "gram", "repeat-grams").drop("c"), "repeat-spots")
-    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram")).alias("spots"))
+    spots = materialise(among_repeated(spots, "gram", "repeat-grams"), "repeat-spots")
+    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram", "c")).alias("spots"))
     key = F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k")
     wanted = long_.select("cid", key, "text_hash").join(per_text, "cid")
     held = materialise(texts.select(key, "text_hash", "text").join(wanted, ["k", "text_hash"]).dropDuplicates(["cid"]).select("cid", "text", "spots"), "repeat-texts")
     regions = materialise(map_arrow(held, _regions, REGIONS), "repeat-regions")
-    found = matched_spans(regions.filter("left is not null").select("gram", "cid", "pos", "left", "right"), shard_rows)
+    found = matched_spans(regions.filter("left is not null").drop("before", "size"), shard_rows, narrow)
     inside = regions.filter("left is null").select("cid", (F.col("pos") - F.col("before")).alias("a"), (F.col("pos") - F.col("before") + F.col("size")).alias("b"))
     found = materialise(found.unionByName(inside).groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
     cut = materialise(map_arrow(held.select("cid", "text").join(found, "cid"), _cut, KEPT), "repeat-cut")
