@@ -59,8 +59,13 @@ def test_id_store(spark, docs, empty, tmp_path):
         x = ids(TEXTS[i])
         assert (r.start, r.n_tokens, r.ids_crc32) == (start, len(x), zlib.crc32(x.tobytes()))
         start += len(x)
-    assert id_store.verify_manifest(spark, str(tmp_path / "s"))
     assert id_store.store_digest(empty).count() == 0
+    packs, manifest = id_store.open_store(spark, str(tmp_path / "s"))
+    id_store.check_manifest(spark, str(tmp_path / "s"), packs)
+    assert [r.n_docs for r in manifest.filter("level = 2").collect()] == [len(TEXTS)]
+    for wrong in (packs.filter("n_tokens < 1000"), packs.withColumn("n_tokens", packs.n_tokens + 1), packs.withColumn("leaf", packs.recipe)):
+        with pytest.raises(ValueError):
+            id_store.check_manifest(spark, str(tmp_path / "s"), wrong)
 
 
 def test_packing(docs, empty):
@@ -283,18 +288,18 @@ def check_repeats(got, texts, ids):
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == (len(d), int(hit.sum()), int((np.diff(np.concatenate(([0], hit.astype(int)))) == 1).sum()), kept)
 
 
-SIZES = [repeats.SHARD_ROWS, 5, 23]
+SIZES = [(repeats.SHARD_ROWS, repeats.NARROW), (5, 0), (23, 3)]
 
 
-@pytest.mark.parametrize("shard_rows", SIZES)
-def test_repeats(spark, docs, empty, shard_rows):
-    got = {r.doc_id: r for r in repeats.repeated_spans(docs, shard_rows).collect()}
+@pytest.mark.parametrize("sizes", SIZES)
+def test_repeats(spark, docs, empty, sizes):
+    got = {r.doc_id: r for r in repeats.repeated_spans(docs, *sizes).collect()}
     check_repeats(got, TEXTS, [i if i != 7 else None for i in range(len(TEXTS))])
-    assert repeats.repeated_spans(empty, shard_rows).count() == 0
+    assert repeats.repeated_spans(empty, *sizes).count() == 0
 
 
-@pytest.mark.parametrize("shard_rows", SIZES)
-def test_repeats_of_one_passage(spark, shard_rows):
+@pytest.mark.parametrize("sizes", SIZES)
+def test_repeats_of_one_passage(spark, sizes):
     """Cuts of one passage, from below 400 bytes up, each between words of its own; some twice in a text."""
     rng, whole, texts = np.random.default_rng(5), text(50, 120), []
     for i in range(40):
@@ -302,4 +307,4 @@ def test_repeats_of_one_passage(spark, shard_rows):
         cut = whole[a : a + int(rng.integers(360, 520))]
         texts.append(text(100 + i, int(rng.integers(1, 40))) + cut + text(200 + i, int(rng.integers(1, 40))) + (cut if i % 7 == 0 else ""))
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    check_repeats({r.doc_id: r for r in repeats.repeated_spans(df, shard_rows).collect()}, texts, range(40))
+    check_repeats({r.doc_id: r for r in repeats.repeated_spans(df, *sizes).collect()}, texts, range(40))

@@ -11,6 +11,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: White space by which the text operators split words: space and the five ASCII controls from tab to CR.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -96,6 +97,26 @@ def map_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     return df.mapInArrow(function, schema)
 
 
+#: A key is heavy if it holds over this part of the rows: so there are fewer than 1024 heavy keys.
+HEAVY = 1024
+
+
+def heavy_keys(counts: DataFrame, key: str) -> DataFrame:
+    """The heavy keys of ``counts`` (one row for each key; ``c``: its rows) and over how many ``parts`` to deal each."""
+    share = max(1, (counts.agg(F.sum("c")).first()[0] or 0) // HEAVY)
+    return counts.filter(F.col("c") > share).select(key, F.ceil(F.col("c") / share).cast("int").alias("parts"))
+
+
+def salted_join(rows: DataFrame, one: DataFrame, key: str, heavy: DataFrame, salt) -> DataFrame:
+    """``rows`` joined with ``one`` (one row for each key). The rows of a heavy key are dealt over its parts by ``salt``, an
+    expression over ``rows``, and its row in ``one`` goes to each part: no key brings its rows into one task. ``heavy`` is
+    broadcast: it has fewer than HEAVY rows, and fewer than 2 * HEAVY parts in all."""
+    few = F.broadcast(heavy)
+    left = rows.join(few, key, "left").withColumn("part", F.when(F.col("parts").isNull(), 0).otherwise(F.pmod(salt, F.col("parts"))).cast("int")).drop("parts")
+    right = one.join(few, key, "left").withColumn("part", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1))).drop("parts")
+    return left.join(right, [key, "part"]).drop("part")
+
+
 def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """Cut a batch into runs of rows whose ``column`` holds about ``limit`` bytes, so that long texts bound memory."""
     sizes = pc.binary_length(batch.column(column)).fill_null(0).to_pylist()

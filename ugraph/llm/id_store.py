@@ -1,12 +1,16 @@
 """Content-addressed store of token ids.
 
 A rolling hash cuts each document's id stream into chunks; a chunk is known by the hash of its bytes and is kept once,
-in the pack row of the first document (in ascending doc_id order) that holds it. A document's recipe lists its chunks;
-a Merkle manifest holds one root per pack partition over the documents' leaves, and one root over those.
+in the pack row of the first document (in ascending doc_id order) that holds it. A document's recipe lists its chunks.
+A Merkle manifest of three levels holds a root over the leaves of each BLOCK documents, one over the blocks of each pack
+partition, and one over those. A reader takes the leaves of the documents from the bytes it has put together, and
+``check_manifest`` holds the roots over them against the manifest.
 
 Layout of a store folder (Parquet): ``packs`` — pid, idx, doc_id, local_start, n_tokens, recipe (16-byte hashes), sizes
-(ids per chunk), kinds (0 held here only, 1 held here and referenced elsewhere, 2 held elsewhere), payload (the held
-chunks' ids, little-endian, ``width`` bytes each); ``manifest`` — pid, n_docs, n_tokens, root.
+(ids per chunk), kinds (0 held here only, 1 held here and referenced elsewhere, 2 held elsewhere), n_lent and n_foreign
+(chunks of kinds 1 and 2), leaf, payload (the held chunks' ids, little-endian, ``width`` bytes each); ``hot`` — hash,
+parts: chunks referenced so often that readers deal their references over parts; ``manifest`` — level, pid, first_idx,
+n_docs, n_tokens, root.
 
 Defined cases: null text is an empty document (its ids are the end id alone); rows with equal or null doc_id are
 separate documents (nulls first); extra columns are ignored; an empty table gives an empty store.
@@ -22,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import blobs, discard, map_arrow, materialise, new_path, read_table, slices, write_table
+from .common import blobs, discard, heavy_keys, map_arrow, materialise, new_path, read_table, salted_join, slices, write_table
 from .tokens import END_ID, default_path, encoder, with_end
 
 HASH_BYTES = 16
@@ -30,8 +34,11 @@ HASH_BYTES = 16
 CUT_BITS, MIN_IDS, MAX_IDS, WINDOW = 8, 64, 2048, 8
 
 STAGED = "doc_id long, n_tokens long, recipe binary, sizes binary, payload binary"
-PACKS = "pid int, idx long, doc_id long, local_start long, n_tokens long, recipe binary, sizes binary, kinds binary, payload binary"
-READ = "pid int, doc_id long, local_start long, n_tokens long, ids binary"
+PACKS = "pid int, idx long, doc_id long, local_start long, n_tokens long, recipe binary, sizes binary, kinds binary, n_lent int, n_foreign int, leaf binary, payload binary"
+READ = "pid int, idx long, doc_id long, local_start long, n_tokens long, leaf binary, ids binary"
+MANIFEST = "level int, pid int, first_idx long, n_docs long, n_tokens long, root string"
+#: Documents under one root of the lowest level.
+BLOCK = 4096
 
 
 def chunk_bounds(ids: np.ndarray, bounds: np.ndarray) -> np.ndarray:
@@ -85,46 +92,45 @@ def _stage(path: str, width: int):
 
 
 def _chunk_rows(batches):
-    """rid, ord, hash of every chunk of a staged table."""
+    """doc_id, rid, ord, hash of every chunk of a staged table."""
     for batch in batches:
         recipes = batch.column("recipe").to_pylist()
         counts = np.array([len(r) // HASH_BYTES for r in recipes], dtype=np.int64)
         n = int(counts.sum())
-        joined = b"".join(recipes)
         ordinal = np.arange(n) - np.repeat(np.cumsum(counts) - counts, counts)
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(np.asarray(batch.column("rid")), counts)), pa.array(ordinal.astype(np.int32)), blobs(joined, np.arange(n + 1) * HASH_BYTES)], names=["rid", "ord", "hash"])
+        of = pa.array(np.repeat(np.arange(len(recipes)), counts))
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(of), batch.column("rid").take(of), pa.array(ordinal.astype(np.int32)), blobs(b"".join(recipes), np.arange(n + 1) * HASH_BYTES)], names=["doc_id", "rid", "ord", "hash"])
 
 
 def _pack(width: int):
     """Rows sorted by rid: a document row, and before it a row with the chunks whose kind isn't 0."""
 
     def run(batches):
-        notes = None
-        pid, idx, start = None, 0, 0
+        from pyspark import TaskContext
+
+        notes, idx, start = None, 0, 0
+        pid = TaskContext.get().partitionId()
         for batch in batches:
-            out = []
-            for r in batch.to_pylist():
-                if r["payload"] is None:
-                    notes = r
-                    continue
-                if pid is None:
-                    from pyspark import TaskContext
-
-                    pid = TaskContext.get().partitionId()
-                sizes = np.frombuffer(r["sizes"], "<u4")
-                kinds = np.zeros(len(sizes), np.uint8)
-                if notes is not None and notes["rid"] == r["rid"]:
-                    for o, k in zip(notes["ords"], notes["marks"], strict=True):
-                        kinds[o] = k
-                payload = r["payload"]
-                if (kinds == 2).any():
-                    ends = np.cumsum(sizes) * width
-                    payload = b"".join(payload[e - s * width : e] for e, s, k in zip(ends.tolist(), sizes.tolist(), kinds.tolist(), strict=True) if k != 2)
-                out.append((pid, idx, r["doc_id"], start, r["n_tokens"], r["recipe"], r["sizes"], kinds.tobytes(), payload))
-                idx += 1
-                start += r["n_tokens"]
-            if out:
-                yield _batch(out, PACKS)
+            for part in slices(batch, "payload"):
+                out = []
+                for r in part.to_pylist():
+                    if r["payload"] is None:
+                        notes = r
+                        continue
+                    sizes = np.frombuffer(r["sizes"], "<u4")
+                    kinds = np.zeros(len(sizes), np.uint8)
+                    if notes is not None and notes["rid"] == r["rid"]:
+                        kinds[notes["ords"]] = notes["marks"]
+                    payload = r["payload"]
+                    foreign = int((kinds == 2).sum())
+                    if foreign:
+                        ends = np.cumsum(sizes) * width
+                        payload = b"".join(payload[e - s * width : e] for e, s, k in zip(ends.tolist(), sizes.tolist(), kinds.tolist(), strict=True) if k != 2)
+                    out.append((pid, idx, r["doc_id"], start, r["n_tokens"], r["recipe"], r["sizes"], kinds.tobytes(), int((kinds == 1).sum()), foreign, leaf(r["recipe"], r["n_tokens"]), payload))
+                    idx += 1
+                    start += r["n_tokens"]
+                if out:
+                    yield _batch(out, PACKS)
 
     return run
 
@@ -141,37 +147,32 @@ def leaf(recipe: bytes, n_tokens: int) -> bytes:
     return hashlib.blake2b(recipe + n_tokens.to_bytes(8, "little"), digest_size=32).digest()
 
 
-def merkle_root(leaves: list[bytes]) -> bytes:
-    """Pairwise hashes up to one root; an odd node moves up as it is; no leaves give 32 zero bytes."""
-    level = leaves or [bytes(32)]
-    while len(level) > 1:
-        level = [hashlib.blake2b(level[i] + level[i + 1], digest_size=32).digest() if i + 1 < len(level) else level[i] for i in range(0, len(level), 2)]
-    return level[0]
+def manifest_of(leaves: DataFrame) -> DataFrame:
+    """The manifest's rows from ``leaves`` (pid, idx, n_tokens, leaf). A root is the hash of what lies under it in order:
+    of at most BLOCK leaves, of a partition's blocks, of the partitions."""
 
+    def fold(rows: DataFrame, keys: list, order: str, level: int, root) -> DataFrame:
+        held = F.array_sort(F.collect_list(F.struct(F.col(order).alias("at"), root.alias("root"))))
+        docs = F.count(F.lit(1)) if level == 0 else F.sum("n_docs")
+        out = rows.groupBy(*keys).agg(docs.alias("n_docs"), F.sum("n_tokens").alias("n_tokens"), F.sha2(F.array_join(F.transform(held, lambda x: x["root"]), ""), 256).alias("root"))
+        return out.select(F.lit(level).alias("level"), F.col("pid").cast("int").alias("pid"), F.col("first_idx").cast("long").alias("first_idx"), "n_docs", "n_tokens", "root")
 
-def _roots(batches):
-    """Fold each partition's leaves into roots of up to 4096 documents; the manifest folds those."""
-    held: dict[int, list[tuple[int, bytes, int]]] = {}
+    first = (F.floor(F.col("idx") / BLOCK) * BLOCK).alias("first_idx")
+    blocks = fold(leaves.select("pid", "idx", first, "n_tokens", "leaf"), ["pid", "first_idx"], "idx", 0, F.lower(F.hex("leaf")))
+    parts = fold(blocks.withColumnRenamed("first_idx", "at"), ["pid", F.lit(0).alias("first_idx")], "at", 1, F.col("root"))
+    top = fold(parts.select(F.col("pid").alias("at"), "n_docs", "n_tokens", "root"), [F.lit(-1).alias("pid"), F.lit(0).alias("first_idx")], "at", 2, F.col("root"))
+    return blocks.unionByName(parts).unionByName(top)
 
-    def flush(pid):
-        rows = held.pop(pid)
-        return (pid, rows[0][0], len(rows), sum(n for _, _, n in rows), merkle_root([x for _, x, _ in rows]))
-
-    for batch in batches:
-        out = []
-        for pid, idx, recipe, n in zip(*(batch.column(c).to_pylist() for c in ("pid", "idx", "recipe", "n_tokens")), strict=True):
-            rows = held.setdefault(pid, [])
-            if rows and idx // 4096 != rows[0][0] // 4096:
-                out.append(flush(pid))
-                rows = held.setdefault(pid, [])
-            rows.append((idx, leaf(recipe, n), n))
-        if out:
-            yield _batch(out, ROOTS)
-    if held:
-        yield _batch([flush(p) for p in list(held)], ROOTS)
 
-
-ROOTS = "pid int, first_idx long, n_docs long, n_tokens long, root binary"
+def check_manifest(spark: SparkSession, store: str, leaves: DataFrame) -> None:
+    """Raise an error unless the roots over ``leaves`` are those of the manifest."""
+    _, manifest = open_store(spark, store)
+    key = ["level", "pid", "first_idx"]
+    both = manifest.alias("m").join(manifest_of(leaves).alias("f"), key, "full")
+    same = F.coalesce((F.col("m.root") == F.col("f.root")) & (F.col("m.n_docs") == F.col("f.n_docs")) & (F.col("m.n_tokens") == F.col("f.n_tokens")), F.lit(False))
+    bad = both.filter(~same).select(*key).first()
+    if bad is not None:
+        raise ValueError(f"the manifest differs from what is stored at level {bad['level']}, partition {bad['pid']}, from document {bad['first_idx']} on")
 
 
 def write_store(docs: DataFrame, store: str, path: str | None = None, end_id: int = END_ID) -> None:
@@ -185,15 +186,16 @@ def write_store(docs: DataFrame, store: str, path: str | None = None, end_id: in
     staged = staged.withColumn("mid", F.monotonically_increasing_id())
     write_table(staged, staged_path)
     staged = read_table(spark, staged_path, staged)
-    chunks = map_arrow(staged.select(F.col("mid").alias("rid"), "recipe"), _chunk_rows, "rid long, ord int, hash binary")
-    owners = staged.select(F.col("mid").alias("rid"), "doc_id")
-    # the same hash twice or more: first by occurrence counts, then the first holder in (doc_id, rid, ord) order
-    common = chunks.groupBy("hash").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("hash")
-    marked = chunks.select("rid", "ord", "hash").join(common, "hash").join(owners, "rid")
-    marked = materialise(marked, "ids-common")
-    first = marked.groupBy("hash").agg(F.min(F.struct("doc_id", "rid", "ord")).alias("first"))
-    marked = marked.join(first, "hash").select("rid", "ord", F.when((F.col("first.rid") == F.col("rid")) & (F.col("first.ord") == F.col("ord")), 1).otherwise(2).alias("mark"), F.col("doc_id"))
-    notes = marked.groupBy("rid", "doc_id").agg(F.collect_list(F.struct("ord", "mark")).alias("m"))
+    chunks = map_arrow(staged.select("doc_id", F.col("mid").alias("rid"), "recipe"), _chunk_rows, "doc_id long, rid long, ord int, hash binary")
+    # chunks found twice or more, with the first holder in (doc_id, rid, ord) order
+    common = chunks.groupBy("hash").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "rid", "ord")).alias("first")).filter("c > 1")
+    common = materialise(common, "ids-common")
+    hot = materialise(heavy_keys(common, "hash").coalesce(1), "ids-hot")
+    write_table(hot, f"{store}/hot")
+    marked = salted_join(chunks, common, "hash", hot, F.xxhash64("rid", "ord"))
+    is_first = (F.col("first.rid") == F.col("rid")) & (F.col("first.ord") == F.col("ord"))
+    notes = marked.groupBy("rid", "doc_id").agg(F.collect_list(F.struct("ord", F.when(is_first, 1).otherwise(2).alias("mark"))).alias("m"))
+    notes = materialise(notes, "ids-notes")
     blank = F.lit(None)
     rows = staged.select("doc_id", F.col("mid").alias("rid"), F.lit(1).alias("part"), "n_tokens", "recipe", "sizes", "payload", blank.cast("array<int>").alias("ords"), blank.cast("array<int>").alias("marks"))
     notes = notes.select("doc_id", "rid", F.lit(0).alias("part"), blank.cast("long").alias("n_tokens"), blank.cast("binary").alias("recipe"), blank.cast("binary").alias("sizes"), blank.cast("binary").alias("payload"), F.col("m.ord").alias("ords"), F.col("m.mark").alias("marks"))
@@ -203,33 +205,27 @@ def write_store(docs: DataFrame, store: str, path: str | None = None, end_id: in
     write_table(packs, f"{store}/packs")
     discard(spark, staged_path)
     packs = read_table(spark, f"{store}/packs", packs)
-    write_table(_manifest(packs), f"{store}/manifest")
-
-
-def _manifest(packs: DataFrame) -> DataFrame:
-    leaves = packs.select("pid", "idx", "recipe", "n_tokens").repartition("pid").sortWithinPartitions("pid", "idx")
-    return map_arrow(leaves, _roots, ROOTS)
+    write_table(manifest_of(packs).coalesce(1), f"{store}/manifest")
 
 
 def open_store(spark: SparkSession, store: str) -> tuple[DataFrame, DataFrame]:
     """The packs and the manifest, by their fixed schemas."""
-    return spark.read.schema(PACKS).parquet(f"{store}/packs"), spark.read.schema(ROOTS).parquet(f"{store}/manifest")
+    return spark.read.schema(PACKS).parquet(f"{store}/packs"), spark.read.schema(MANIFEST).parquet(f"{store}/manifest")
 
 
 def _own_chunks(width: int):
     def run(batches):
         for batch in batches:
-            out = []
-            for recipe, sizes, kinds, payload in zip(*(batch.column(c).to_pylist() for c in ("recipe", "sizes", "kinds", "payload")), strict=True):
-                at = 0
-                for o, (s, k) in enumerate(zip(np.frombuffer(sizes, "<u4").tolist(), kinds, strict=True)):
-                    if k == 2:
-                        continue
-                    if k == 1:
-                        out.append((recipe[o * HASH_BYTES : (o + 1) * HASH_BYTES], payload[at : at + s * width]))
-                    at += s * width
-            if out:
-                yield _batch(out, "hash binary, chunk binary")
+            for part in slices(batch, "payload"):
+                out = []
+                for recipe, sizes, kinds, payload in zip(*(part.column(c).to_pylist() for c in ("recipe", "sizes", "kinds", "payload")), strict=True):
+                    at = 0
+                    for o, (s, k) in enumerate(zip(np.frombuffer(sizes, "<u4").tolist(), kinds, strict=True)):
+                        if k == 1:
+                            out.append((recipe[o * HASH_BYTES : (o + 1) * HASH_BYTES], payload[at : at + s * width]))
+                        at += s * width * (k != 2)
+                if out:
+                    yield _batch(out, "hash binary, chunk binary")
 
     return run
 
@@ -249,35 +245,32 @@ def _assemble(width: int):
 
     def finish(r, got):
         sizes, kinds = np.frombuffer(r["sizes"], "<u4").tolist(), r["kinds"]
-        parts, at = [], 0
+        parts, names, at = [], [], 0
         for o, (s, k) in enumerate(zip(sizes, kinds, strict=True)):
             part = got[o] if k == 2 else r["payload"][at : at + s * width]
             at += s * width * (k != 2)
-            if hashlib.blake2b(part, digest_size=HASH_BYTES).digest() != r["recipe"][o * HASH_BYTES : (o + 1) * HASH_BYTES]:
-                raise ValueError(f"document {r['doc_id']}: chunk {o} differs from its recipe")
+            names.append(hashlib.blake2b(part, digest_size=HASH_BYTES).digest())
             parts.append(part)
+        names = b"".join(names)
+        if names != r["recipe"]:
+            raise ValueError(f"document {r['doc_id']}: chunks differ from its recipe")
         ids = np.frombuffer(b"".join(parts), kind)
-        if len(ids) != r["n_tokens"]:
-            raise ValueError(f"document {r['doc_id']}: {len(ids)} ids, {r['n_tokens']} in its recipe")
-        return r["pid"], r["doc_id"], r["local_start"], r["n_tokens"], ids.astype("<u4").tobytes()
+        return r["pid"], r["idx"], r["doc_id"], r["local_start"], len(ids), leaf(names, len(ids)), ids.astype("<u4").tobytes()
 
     def run(batches):
         row, got = None, {}
         for batch in batches:
-            out, held = [], 0
-            for r in batch.to_pylist():
-                if r["ord"] >= 0:
-                    got[r["ord"]] = r["payload"]
-                    continue
-                if row is not None:
-                    out.append(finish(row, got))
-                    held += len(out[-1][-1])
-                row, got = r, {}
-                if held > 8 << 20:
+            for part in slices(batch, "payload"):
+                out = []
+                for r in part.to_pylist():
+                    if r["ord"] >= 0:
+                        got[r["ord"]] = r["payload"]
+                        continue
+                    if row is not None:
+                        out.append(finish(row, got))
+                    row, got = r, {}
+                if out:
                     yield _batch(out, READ)
-                    out, held = [], 0
-            if out:
-                yield _batch(out, READ)
         if row is not None:
             yield _batch([finish(row, got)], READ)
 
@@ -285,22 +278,23 @@ def _assemble(width: int):
 
 
 def read_documents(spark: SparkSession, store: str, width: int = 2, per_batch=None, schema: str = READ) -> DataFrame:
-    """Documents put together again from the stored chunks: pid, doc_id, local_start, n_tokens, ids (uint32 bytes).
+    """Documents put together again from the stored chunks: pid, idx, doc_id, local_start, n_tokens, leaf, ids (uint32 bytes).
 
-    Every chunk is hashed and held against the recipe; a difference raises an error. ``per_batch`` turns the Arrow
-    batches of this schema into others, of ``schema``, before they leave the executor."""
+    Every chunk is hashed and held against the recipe; a difference raises an error. n_tokens and leaf come from the
+    bytes read. ``per_batch`` turns the Arrow batches of this schema into others, of ``schema``, before they leave the
+    executor."""
     packs, _ = open_store(spark, store)
-    fields = ["pid", "idx", "ord", "doc_id", "local_start", "n_tokens", "recipe", "sizes", "kinds", "payload"]
+    hot = spark.read.schema("hash binary, parts int").parquet(f"{store}/hot")
+    fields = ["pid", "idx", "ord", "doc_id", "local_start", "recipe", "sizes", "kinds", "payload"]
     run = _assemble(width)
     step = (lambda batches: per_batch(run(batches))) if per_batch else run
-    has_foreign = F.expr("instr(hex(kinds), '02') > 0")
-    whole = map_arrow(packs.withColumn("ord", F.lit(-1)).filter(~has_foreign).select(fields), step, schema)
-    parted = packs.withColumn("ord", F.lit(-1)).filter(has_foreign).select(fields)
-    shared = map_arrow(packs.filter(F.expr("instr(hex(kinds), '01') > 0")).select("recipe", "sizes", "kinds", "payload"), _own_chunks(width), "hash binary, chunk binary")
-    wanted = map_arrow(packs.filter(has_foreign).select("pid", "idx", "recipe", "kinds"), _foreign, "pid int, idx long, ord int, hash binary")
-    fetched = wanted.join(shared, "hash")
+    whole = map_arrow(packs.filter("n_foreign = 0").withColumn("ord", F.lit(-1)).select(fields), step, schema)
+    parted = packs.filter("n_foreign > 0").withColumn("ord", F.lit(-1)).select(fields)
+    lent = map_arrow(packs.filter("n_lent > 0").select("recipe", "sizes", "kinds", "payload"), _own_chunks(width), "hash binary, chunk binary")
+    wanted = map_arrow(packs.filter("n_foreign > 0").select("pid", "idx", "recipe", "kinds"), _foreign, "pid int, idx long, ord int, hash binary")
+    fetched = salted_join(wanted, lent, "hash", hot, F.xxhash64("pid", "idx", "ord"))
     blank = F.lit(None)
-    fetched = fetched.select("pid", "idx", "ord", *[blank.cast(t).alias(c) for c, t in (("doc_id", "long"), ("local_start", "long"), ("n_tokens", "long"), ("recipe", "binary"), ("sizes", "binary"), ("kinds", "binary"))], F.col("chunk").alias("payload"))
+    fetched = fetched.select("pid", "idx", "ord", *[blank.cast(t).alias(c) for c, t in (("doc_id", "long"), ("local_start", "long"), ("recipe", "binary"), ("sizes", "binary"), ("kinds", "binary"))], F.col("chunk").alias("payload"))
     n = int(spark.conf.get("spark.sql.shuffle.partitions"))
     merged = parted.unionByName(fetched).repartition(n, "pid", "idx").sortWithinPartitions("pid", "idx", "ord")
     return whole.unionByName(map_arrow(merged, step, schema))
@@ -315,25 +309,22 @@ def partition_offsets(packs: DataFrame) -> DataFrame:
     return per.select("pid", F.coalesce(F.sum("n").over(w), F.lit(0)).alias("before"))
 
 
-def _digests(batches):
-    for batch in batches:
-        ids = batch.column("ids").to_pylist()
-        yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("pid", "doc_id", "local_start", "n_tokens")), pa.array([zlib.crc32(x) for x in ids], pa.int64())], names=["pid", "doc_id", "local_start", "n_tokens", "ids_crc32"])
+DIGESTS = "pid int, idx long, doc_id long, local_start long, n_tokens long, leaf binary, ids_crc32 long"
 
 
-def verify_manifest(spark: SparkSession, store: str) -> bool:
-    """Recompute all Merkle roots from the packs and compare them with the manifest."""
-    packs, manifest = open_store(spark, store)
-    again = _manifest(packs)
-    return again.exceptAll(manifest).isEmpty() and manifest.exceptAll(again).isEmpty()
+def _digests(batches):
+    for batch in batches:
+        crcs = [zlib.crc32(x.as_buffer()) for x in batch.column("ids")]
+        yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(crcs, pa.int64())], names=[*batch.schema.names[:-1], "ids_crc32"])
 
 
 def store_digest(docs: DataFrame, store: str | None = None) -> DataFrame:
-    """op3: write the store, read it back, and return doc_id, start, n_tokens, ids_crc32 per document."""
+    """op3: write the store, read it back, hold what was read against the manifest, and return doc_id, start, n_tokens,
+    ids_crc32 per document."""
     spark = docs.sparkSession
     store = store or new_path(spark, "id-store")
     write_store(docs, store)
-    packs, _ = open_store(spark, store)
-    read = read_documents(spark, store, per_batch=_digests, schema="pid int, doc_id long, local_start long, n_tokens long, ids_crc32 long")
-    offsets = F.broadcast(partition_offsets(packs))
+    read = materialise(read_documents(spark, store, per_batch=_digests, schema=DIGESTS), "ids-read")
+    check_manifest(spark, store, read)
+    offsets = F.broadcast(partition_offsets(read))
     return read.join(offsets, "pid").select("doc_id", (F.col("before") + F.col("local_start")).alias("start"), "n_tokens", "ids_crc32")

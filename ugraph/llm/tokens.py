@@ -1,8 +1,8 @@
 """Fast exact encoding with the vocabulary file of a word-level BPE tokenizer.
 
 The file belongs to the ``tokenizers`` library, which is the definition of the result. Texts made of common
-characters are normalised and cut with Arrow string kernels and merged by tiktoken's BPE core, which is given the
-same file's merges; every other text goes through ``tokenizers`` itself. Both routes give the same ids because every
+characters are normalised and cut with Arrow string kernels, and their different words are merged by tiktoken's BPE core,
+which is given the same file's merges; every other text goes through ``tokenizers`` itself. Both routes give the same ids because every
 entry of the vocabulary that normalised text can hold encodes to itself (tests check that and compare both routes).
 """
 
@@ -107,12 +107,17 @@ class WordEncoder:
         t = pc.utf8_trim(t, " ")
         full = pc.not_equal(t, "")
         words = np.where(np.asarray(full), np.asarray(pc.count_substring(t, " ")) + 1, 0)
-        kept = t.filter(full).to_pylist()
-        if not kept:
+        coded = pc.split_pattern(t.filter(full), " ").flatten().dictionary_encode()
+        if not len(coded):
             return np.empty(0, np.uint32), np.zeros(len(texts) + 1, np.int64)
-        raw = np.frombuffer(self._core._core_bpe.encode_to_tiktoken_buffer(" ".join(kept) + " ", set()), dtype=np.uint32)
-        ends = np.concatenate(([0], np.flatnonzero(self._closes[raw]) + 1))
-        return self._ids[raw], ends[np.concatenate(([0], np.cumsum(words)))]
+        # each different word is merged once
+        raw = np.frombuffer(self._core._core_bpe.encode_to_tiktoken_buffer(" ".join(coded.dictionary.to_pylist()) + " ", set()), dtype=np.uint32)
+        starts = np.concatenate(([0], np.flatnonzero(self._closes[raw]) + 1)).astype(np.int32)
+        which = np.asarray(coded.indices)
+        lengths = np.diff(starts)[which]
+        ends = np.concatenate(([0], np.cumsum(lengths)))
+        ids = self._ids[raw][np.repeat(starts[which] - ends[:-1], lengths) + np.arange(ends[-1])]
+        return ids, ends[np.concatenate(([0], np.cumsum(words)))]
 
 
 @cache
