@@ -2,13 +2,15 @@
 
 Base rules reject texts with fewer than 50 words, or of which more than half the words lie in repeated three-word
 windows. On rates made from the rule statistics an isolation forest is grown over random splits; documents with short
-mean paths are anomalies. Junk comes in dense clusters, which hide from a forest grown on everything, so the forest
-grows on a bounded sample of rows labelled good (TREES x PER_TREE rows of least hash; of all rows where none is
-labelled good), and each split is drawn from the whole range which the rate can take, not from the range of the
-node's rows. Before that a rate is bounded: its distance from the sample's median, in units of the sample's spread, is
-mapped into (-1, 1). Median and spread are ranks of the sample, so no single row, however extreme, moves the splits,
-and rows which the base rules reject have no say in them. The threshold is calibrated on all labelled rows that pass the base rules: of the thresholds which reject
-at most MAX_CLEAN_LOSS of the rows labelled good, the one which rejects most of the others.
+mean paths are anomalies. Junk mostly shows in one statistic, which the mean over trees of all of them would drown, so
+each rate has TREES trees of its own, and a row's score is the greatest of its rates' scores. Junk comes in dense
+clusters, which hide from a forest grown on everything, so the forest grows on a bounded sample of rows labelled good
+(SAMPLE rows of least hash; of all rows where none is labelled good), and each split is drawn from the whole range
+which the rate can take, not from the range of the node's rows. Before that a rate is bounded: its distance from the
+sample's median, in units of the sample's spread, is mapped into (-1, 1). Median and spread are ranks of the sample, so
+no single row, however extreme, moves the splits, and rows which the base rules reject have no say in them. The
+threshold is calibrated on all labelled rows that pass the base rules: of the thresholds which reject at most
+MAX_CLEAN_LOSS of the rows labelled good, those which reject most of the others, and the middle of these.
 
 Defined cases: null text has no words; rows of equal or null doc_id are judged each on their own; a doc_id labelled
 more than once counts with its highest label; with no labelled rows of both kinds the forest rejects nothing; extra
@@ -25,13 +27,16 @@ from pyspark.sql import functions as F
 from .common import map_arrow, materialise, slices
 
 MIN_WORDS, REPEAT_PERCENT = 50, 50
-TREES, PER_TREE, DEPTH, SEED = 100, 256, 10, 17
+#: Trees of each rate, rows of each tree, greatest depth, rows of the sample.
+TREES, PER_TREE, DEPTH, SAMPLE, SEED = 12, 256, 10, 25_600, 17
 SHRINK = 50
+#: The rates, by which the next two tables go.
+RATES = ["symbols a word", "capitals a character", "marks a word", "digits a character", "repeated lines a line", "repeated words a word", "different words a word", "characters a word", "lines a word"]
 #: The sample's spread lies between these two quantiles; a rate's unit is at least its entry in LEAST_UNIT.
 SPREAD = (0.01, 0.99)
 #: By rate: the least unit, and the greatest value that the rate can take.
-LEAST_UNIT = np.array([0.05, 0.01, 0.05])
-MOST = np.array([np.inf, 1.0, np.inf])
+LEAST_UNIT = np.array([0.05, 0.01, 0.05, 0.05, 0.05, 0.1, 0.1, 0.5, 0.05])
+MOST = np.array([np.inf, 1.0, np.inf, 1.0, 1.0, 1.0, 1.0, np.inf, 1.0])
 #: Share of the rows labelled good that the threshold may reject.
 MAX_CLEAN_LOSS = 0.001
 #: Scores are held in this many equal bins for the calibration.
@@ -102,11 +107,14 @@ def rule_stats(docs: DataFrame) -> DataFrame:
 
 
 def rates(counts: np.ndarray) -> np.ndarray:
-    """The forest's features: symbols and marks per word and capitals per character. SHRINK words more than there
-    are keep short texts from looking odd for a single sign."""
-    c = counts.astype(np.float64)
-    words, chars = c[:, 0] + SHRINK, c[:, 1] + 5 * SHRINK
-    return np.stack([c[:, 2] / words, c[:, 5] / chars, c[:, 7] / words], axis=1)
+    """The forest's features, as RATES names them. SHRINK words more than there are, all different and of five characters,
+    keep short texts from looking odd for a single sign."""
+    c = dict(zip(COUNTS + MORE, counts.astype(np.float64).T, strict=True))
+    words, chars, lines = c["n_words"] + SHRINK, c["word_chars"] + 5 * SHRINK, c["n_lines"] + SHRINK / 5
+    return np.stack([
+        c["n_symbols"] / words, c["n_upper"] / chars, c["n_marks"] / words, c["n_digits"] / chars, c["n_dup_lines"] / lines, c["n_repeat_words"] / words,
+        (c["n_distinct"] + SHRINK) / words, chars / words, c["n_lines"] / words,
+    ], axis=1)
 
 
 class Bounds:
@@ -128,7 +136,8 @@ class Bounds:
 
 
 class IsolationForest:
-    """Trees of random splits; a row's score is 2 ** (-mean path length / expected length), near 1 for outliers."""
+    """Trees of random splits, ``trees`` for each feature; a feature's score is 2 ** (-mean path length / expected length),
+    near 1 for outliers, and a row's score the greatest of them."""
 
     def __init__(self, sample: np.ndarray, trees: int = TREES, per_tree: int = PER_TREE, depth: int = DEPTH, seed: int = SEED):
         rng = np.random.default_rng(seed)
@@ -137,7 +146,10 @@ class IsolationForest:
         low, high, sample = self.bounds.low, self.bounds.high, self.bounds(sample)
         self.expected = max(float(self._length(np.array([per_tree]))[0]), 1.0)
         self.depth = depth
-        self.trees = [self._grow(sample[rng.permutation(len(sample))[:per_tree]], low, high, rng) for _ in range(trees)]
+        self.trees = []
+        for f in range(sample.shape[1]):
+            alone = np.arange(sample.shape[1]) == f
+            self.trees.append([self._grow(sample[rng.permutation(len(sample))[:per_tree]], np.where(alone, low, 0), np.where(alone, high, 0), rng) for _ in range(trees)])
 
     @staticmethod
     def _length(n: np.ndarray) -> np.ndarray:
@@ -171,14 +183,16 @@ class IsolationForest:
 
     def score(self, rows: np.ndarray) -> np.ndarray:
         rows = self.bounds(rows)
-        total = np.zeros(len(rows))
-        every = np.arange(len(rows))
-        for feature, cut, left, right, length in self.trees:
-            at = np.zeros(len(rows), dtype=np.int64)
-            for _ in range(self.depth):
-                at = np.where(rows[every, feature[at]] < cut[at], left[at], right[at])
-            total += length[at]
-        return 2.0 ** (-total / len(self.trees) / self.expected)
+        most, every = np.zeros(len(rows)), np.arange(len(rows))
+        for trees in self.trees:
+            total = np.zeros(len(rows))
+            for feature, cut, left, right, length in trees:
+                at = np.zeros(len(rows), dtype=np.int64)
+                for _ in range(self.depth):
+                    at = np.where(rows[every, feature[at]] < cut[at], left[at], right[at])
+                total += length[at]
+            most = np.maximum(most, 2.0 ** (-total / len(trees) / self.expected))
+        return most
 
 
 def base_failed(n_words, n_repeat_words):
@@ -205,7 +219,7 @@ def fit(stats: DataFrame, labels: DataFrame) -> tuple[IsolationForest, float]:
 
     def sample(rows: DataFrame) -> np.ndarray:
         rows = rows.filter(~base_failed(F.col("n_words"), F.col("n_repeat_words"))).orderBy(F.xxhash64("doc_id", F.lit(SEED)), *COUNTS)
-        return rows.limit(TREES * PER_TREE).select(*COUNTS, *MORE).toPandas().to_numpy(dtype=np.int64)
+        return rows.limit(SAMPLE).select(*COUNTS, *MORE).toPandas().to_numpy(dtype=np.int64)
 
     rows = sample(stats.join(marks.filter("quality = 1"), "doc_id"))
     if not len(rows):
@@ -219,8 +233,12 @@ def fit(stats: DataFrame, labels: DataFrame) -> tuple[IsolationForest, float]:
     if not good.sum() or not bad.sum():
         return forest, 2.0
     lost = np.cumsum(good[::-1])[::-1] / good.sum()
+    caught = np.cumsum(bad[::-1])[::-1]
     allowed = np.flatnonzero(lost <= MAX_CLEAN_LOSS)
-    return forest, float(allowed[0]) / BINS if len(allowed) else 2.0
+    if not len(allowed):
+        return forest, 2.0
+    alike = np.flatnonzero(caught == caught[allowed[0]])[-1]
+    return forest, float(allowed[0] + alike) / 2 / BINS
 
 
 def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -241,9 +259,9 @@ def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            counts = np.array([text_stats(str(t or "")) for t in batch.column("text").to_pylist()], dtype=np.int64).reshape(-1, len(COUNTS + MORE))
-            failed = base_failed(counts[:, 0], counts[:, 4])
-            good = ~failed & (forest.score(rates(counts)) < threshold) if len(counts) else failed
-            yield batch.filter(pa.array(good))
+            for part in slices(batch.set_column(batch.schema.get_field_index("text"), "text", batch.column("text").cast(pa.string())), "text"):
+                counts = np.array([text_stats(t or "") for t in part.column("text").to_pylist()], dtype=np.int64).reshape(-1, len(COUNTS + MORE))
+                failed = base_failed(counts[:, 0], counts[:, 4])
+                yield part.filter(pa.array(~failed & (forest.score(rates(counts)) < threshold)))
 
     return map_arrow(docs, run, docs.schema)
