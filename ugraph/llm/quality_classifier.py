@@ -157,7 +157,8 @@ def quality_scores(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS)
     marks = marks.groupBy("doc_id").agg(F.max("label").alias("label")).filter(~held_out(F.col("doc_id")))
     chosen = marks.orderBy(F.xxhash64("doc_id", F.lit(SEED)), "doc_id").limit(fit_rows)
     some = map_arrow(texts.join(F.broadcast(chosen), "doc_id"), _features, "doc_id long, label int, ids binary")
-    model = map_arrow(some.coalesce(1), _train, "both binary, ratio binary, b double").first()
+    # the features are made where the texts are; at most fit_rows rows of them go to the task that fits
+    model = map_arrow(some.repartition(1), _train, "both binary, ratio binary, b double").first()
     both, ratio = (np.frombuffer(model[c], "<f4") for c in ("both", "ratio"))
     scored = map_arrow(texts.withColumn("held_out", held_out(F.col("doc_id"))), _score(both, ratio, model["b"]), "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", (F.col("score") >= THRESHOLD).cast("int"))
