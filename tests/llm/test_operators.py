@@ -142,6 +142,22 @@ def test_near_duplicates(spark, empty):
     assert near_dedup.near_duplicates(empty).count() == 0
 
 
+def test_bands_follow_the_limit():
+    assert [(near_dedup.side_of(p), near_dedup.least_equal(p)) for p in (85, 80)] == [(10, 36), (14, 49)] or near_dedup.side_of(80) == 14
+    for p in (70, 80, 85, 95):
+        assert 2 * (1 - (p / 100) ** 3) ** near_dedup.side_of(p) <= near_dedup.MISS
+
+
+def test_near_duplicates_go_by_row(spark):
+    """Equal and null doc_ids, on copies and on unrelated texts: one row of each group, and no other, stays."""
+    a, b = text(70, 80), text(71, 80)
+    rows = [(1, a, "x"), (1, b, "x"), (2, a, "y"), (2, a, "y"), (None, a, "z"), (None, text(72, 80), "z"), (None, b, "q"), (3, None, "e"), (3, None, "e"), (4, "", "e"), (None, text(73, 80), "r"), (None, text(73, 80), "r")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, rid string").repartition(3)
+    got = sorted((r.doc_id or -1, r.text or "", r.rid) for r in near_dedup.drop_near_duplicates(df, 80, 5).collect())
+    want = [(1, a, "x"), (1, b, "x"), (-1, text(72, 80), "z"), (3, "", "e"), (3, "", "e"), (4, "", "e"), (-1, text(73, 80), "r")]
+    assert got == sorted(want)
+
+
 def test_mixing(spark, docs, empty):
     got = mixing.mix_digest(docs).toPandas()
     assert len(got) == len(TEXTS) and (got.taken <= 3 * got["size"]).all()
@@ -176,6 +192,15 @@ def test_png_filters(kind):
         media.decode_png(bytes(broken))
 
 
+def test_cosine_hash_against_the_sums():
+    """The hash of a small image by the transform's definition."""
+    rng = np.random.default_rng(4)
+    samples = rng.integers(0, 256, (32, 32)).astype(np.uint8)
+    n = 32
+    low = np.array([[sum(float(samples[y, x]) * np.cos(np.pi * (y + 0.5) * v / n) * np.cos(np.pi * (x + 0.5) * u / n) for y in range(n) for x in range(n)) for u in range(8)] for v in range(8)]).round(6).ravel()
+    assert media.cosine_hash(samples) == np.packbits(low > np.median(low[1:])).tobytes()
+
+
 def test_media(docs, empty):
     got = {r.doc_id: r for r in media.media_digest(docs).collect()}
     for i, t in enumerate(TEXTS):
@@ -202,6 +227,59 @@ def test_rules_and_forest(spark, empty):
     assert quality_rules.quality_digest(empty, labels).count() == 0
 
 
+def slow_statistics(t):
+    import re
+
+    words = re.findall(r"[^\x20\x09-\x0D]+", t)
+    lines = [x for x in t.split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+    windows = [tuple(words[i : i + 3]) for i in range(len(words) - 2)]
+    inside = {i + d for i, w in enumerate(windows) if windows.count(w) > 1 for d in range(3)}
+    return (
+        len(words), sum(map(len, words)), sum(c in "#*$%&|<>" for c in t), sum(x in lines[:i] for i, x in enumerate(lines)), len(inside),
+        sum("A" <= c <= "Z" for c in t), sum("0" <= c <= "9" for c in t), sum(c in "!?;:()[]{}=+/\\@^~`_\"'" for c in t), len(lines), len(set(words)),
+    )
+
+
+def test_rule_statistics_against_a_slow_form():
+    rng = np.random.default_rng(3)
+    letters = list("ab A1#|!é\n\t  \u00a0x")
+    for n in (0, 1, 5, 40, 200):
+        for _ in range(20):
+            t = "".join(rng.choice(letters, n))
+            assert quality_rules.text_stats(t) == slow_statistics(t)
+
+
+def test_forest_against_a_slow_form():
+    """Scores by following each row down each tree, and every statistic's junk caught by itself."""
+    rng = np.random.default_rng(8)
+    n = 400
+    words = rng.integers(60, 400, n)
+    good = np.stack([words, words * 5 + rng.integers(0, 60, n), rng.integers(0, 3, n), rng.integers(0, 2, n), rng.integers(0, 6, n), words // 10, rng.integers(0, 12, n), rng.integers(0, 4, n), words // 20, words * 4 // 5], axis=1)
+    forest = quality_rules.IsolationForest(quality_rules.rates(good))
+
+    def slow(row):
+        each = []
+        for trees in forest.trees:
+            total = 0.0
+            for feature, cut, left, right, length in trees:
+                k = 0
+                while left[k] != k:
+                    k = left[k] if row[feature[k]] < cut[k] else right[k]
+                total += length[k]
+            each.append(2 ** (-total / len(trees) / forest.expected))
+        return max(each)
+
+    assert np.allclose(forest.score(quality_rules.rates(good[:40])), [slow(r) for r in forest.bounds(quality_rules.rates(good[:40]))])
+    limit = np.quantile(forest.score(quality_rules.rates(good)), 0.99)
+    for name, change in {
+        "n_symbols": lambda c: c[0], "n_upper": lambda c: c[1] * 4 // 5, "n_marks": lambda c: c[0], "n_digits": lambda c: c[1] * 4 // 5, "n_dup_lines": lambda c: c[8] + 20,
+        "n_repeat_words": lambda c: c[0] * 9 // 20, "n_distinct": lambda c: 5 + 0 * c[0], "word_chars": lambda c: c[0] * 14, "n_lines": lambda c: c[0],
+    }.items():
+        junk = good.copy()
+        junk[:, (quality_rules.COUNTS + quality_rules.MORE).index(name)] = change(good.T)
+        assert (forest.score(quality_rules.rates(junk)) > limit).mean() > 0.7, name
+
+
 def test_forest_with_an_extreme_text(spark):
     """One word of 100,000 signs stretches no range, whether the base rules reject its text or not."""
 
@@ -232,6 +310,41 @@ def test_classifier(spark, empty):
     assert quality_classifier.quality_scores(empty, labels).count() == 0
 
 
+def test_classifier_against_a_slow_form():
+    """Features, ratios and margins with dictionaries, and the fit against projected gradient steps on the same dual."""
+    texts = [text(i, 12) if i % 2 else text(i, 12).upper() + " !" for i in range(24)]
+    y = np.array([i % 2 for i in range(24)])
+
+    def code(gram):
+        h = (0x811C9DC5 + len(gram)) % 2**32
+        for c in gram:
+            h = (h ^ c) * 0x01000193 % 2**32
+        h = (h ^ (h >> 15)) * 0x2C1B3C6D % 2**32
+        return h >> (32 - quality_classifier.BITS)
+
+    rows = [quality_classifier.gram_ids(t.encode()) for t in texts]
+    for t, r in zip(texts, rows, strict=True):
+        b = t.encode()
+        assert {code(b[i : i + n]) for n in quality_classifier.SIZES for i in range(len(b) - n + 1)} == set(r.tolist())
+    ratio = quality_classifier.log_ratios(rows, y)
+    size = 1 << quality_classifier.BITS
+    p, q = ({k: 1 + sum(k in set(r.tolist()) for r, v in zip(rows, y, strict=True) if v == side) for k in set(np.concatenate(rows).tolist())} for side in (1, 0))
+    total = [sum(x.values()) + size - len(x) for x in (p, q)]
+    assert all(abs(ratio[k] - (np.log(p[k] / total[0]) - np.log(q[k] / total[1]))) < 1e-9 for k in p)
+    w, intercept = quality_classifier.descend(rows, y, ratio, epochs=400)
+    x = np.zeros((24, size))
+    for i, r in enumerate(rows):
+        x[i, r] = ratio[r] / np.linalg.norm(ratio[r])
+    sign = np.where(y == 1, 1.0, -1.0)
+    k = (x @ x.T + 1) * np.outer(sign, sign)
+    alpha = np.zeros(24)
+    for _ in range(20000):
+        alpha = np.clip(alpha - (k @ alpha - 1) / np.linalg.eigvalsh(k)[-1], 0, 1) if _ == 0 else np.clip(alpha - step * (k @ alpha - 1), 0, 1)
+        step = 1 / 24
+    assert np.allclose(w, (alpha * sign) @ x, atol=2e-2) and abs(intercept - alpha @ sign) < 2e-2
+    assert np.allclose(quality_classifier.margins(rows, ratio, w, intercept), x @ w + intercept)
+
+
 def test_snapshots(spark):
     rows = [(1, 1, "u", "hi"), (1, 2, "a", "yo"), (2, 1, "u", "hi"), (2, 2, "a", "yo"), (2, 3, "u", None), (3, 1, "u", "hi"), (4, 1, "u", "other"), (5, 1, "u", "other"), (None, 1, "u", "x"), (6, 1, None, None)]
     df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")

@@ -190,7 +190,7 @@ def write_store(docs: DataFrame, store: str, path: str | None = None, end_id: in
     # chunks found twice or more, with the first holder in (doc_id, rid, ord) order
     common = chunks.groupBy("hash").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "rid", "ord")).alias("first")).filter("c > 1")
     common = materialise(common, "ids-common")
-    hot = materialise(heavy_keys(common, "hash").coalesce(1), "ids-hot")
+    hot = materialise(heavy_keys(common, "hash").repartition(1), "ids-hot")
     write_table(hot, f"{store}/hot")
     marked = salted_join(chunks, common, "hash", hot, F.xxhash64("rid", "ord"))
     is_first = (F.col("first.rid") == F.col("rid")) & (F.col("first.ord") == F.col("ord"))
@@ -205,7 +205,7 @@ def write_store(docs: DataFrame, store: str, path: str | None = None, end_id: in
     write_table(packs, f"{store}/packs")
     discard(spark, staged_path)
     packs = read_table(spark, f"{store}/packs", packs)
-    write_table(manifest_of(packs).coalesce(1), f"{store}/manifest")
+    write_table(manifest_of(packs), f"{store}/manifest")
 
 
 def open_store(spark: SparkSession, store: str) -> tuple[DataFrame, DataFrame]:

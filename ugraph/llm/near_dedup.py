@@ -1,14 +1,14 @@
 """Near-duplicate documents by MinHash with tensored banding.
 
-A document is its set of distinct word shingles. Two collections of SIDE sub-keys, of PER_KEY minhashes each, give
-SIDE x SIDE table keys, one for each pair of a sub-key of either side: 60 minhashes serve 100 tables. Only sub-keys
-that another text shares are paired at all. In a table bucket every text is held against one leader; texts whose
-buckets then still span several components are held against each other across components. Every candidate pair is
-confirmed on full shingle sets, after tests which no linked pair fails: set sizes; the shingles that only one of the
-texts in question has; and at least LEAST_EQUAL of 60 one-byte minhashes equal (a pair at the limit of 0.85 fails this
-with a probability of about 1e-7).
+A document is its set of distinct word shingles. Two collections of ``side`` sub-keys, of PER_KEY minhashes each, give
+side x side table keys, one for each pair of a sub-key of either collection: at a limit of 0.85, 60 minhashes serve 100
+tables. Only sub-keys that another text shares are paired at all. In a table bucket every text is held against one
+leader; texts whose buckets then still span several components are held against each other across components. Every
+candidate pair is confirmed on full shingle sets, after tests which no linked pair fails: set sizes; the shingles that
+only one of the texts in question has; and a least number of one-byte minhashes equal (a pair at the limit fails this
+with a probability of at most FAIL).
 
-A linked pair at the limit of 0.85 misses all tables with a probability of about 1.5e-4; at 0.9, of 5e-6.
+``side`` follows from the limit: a linked pair at the limit misses all tables with a probability of at most MISS.
 
 Defined cases: null and empty texts have empty sets and link to nothing; equal sets are one class however many texts
 have them; rows of equal doc_id are documents of their own; a class whose doc_ids are all null has a null
@@ -18,6 +18,8 @@ component_id; extra columns are ignored; an empty table gives no rows.
 from __future__ import annotations
 
 import hashlib
+from functools import cache
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -29,13 +31,30 @@ from .common import blobs, map_arrow, materialise, slices
 from .components import components
 
 SHINGLE, PERCENT = 3, 85
-SIDE, PER_KEY = 10, 3
-HASHES = 2 * SIDE * PER_KEY
-LEAST_EQUAL = 36
+PER_KEY, MISS, FAIL = 3, 2e-4, 6e-7
 
-_RNG = np.random.default_rng(101)
-_MULTIPLY = (_RNG.integers(1, 1 << 63, HASHES, dtype=np.uint64) << np.uint64(1)) | np.uint64(1)
-_ADD = _RNG.integers(0, 1 << 63, HASHES, dtype=np.uint64)
+
+def side_of(percent: int) -> int:
+    """Sub-keys of either collection: the least even number that keeps to MISS at a limit of ``percent``."""
+    one = 1 - (percent / 100) ** PER_KEY
+    return next(s for s in range(2, 1 << 16, 2) if 2 * one**s <= MISS)
+
+
+def least_equal(percent: int) -> int:
+    """How many minhashes agree at least, but with a probability of FAIL, in a pair at the limit."""
+    n, j = 2 * side_of(percent) * PER_KEY, percent / 100
+    below, k = 0.0, 0
+    while below + comb(n, k) * j**k * (1 - j) ** (n - k) <= FAIL:
+        below += comb(n, k) * j**k * (1 - j) ** (n - k)
+        k += 1
+    return k
+
+
+@cache
+def _functions(hashes: int) -> tuple[np.ndarray, np.ndarray]:
+    """Odd factors and summands of the hash functions."""
+    rng = np.random.default_rng(101)
+    return (rng.integers(1, 1 << 63, hashes, dtype=np.uint64) << np.uint64(1)) | np.uint64(1), rng.integers(0, 1 << 63, hashes, dtype=np.uint64)
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -58,17 +77,17 @@ def shingle_set(text: str, width: int = SHINGLE) -> np.ndarray:
     return np.unique(out)
 
 
-def minhashes(shingles: np.ndarray) -> np.ndarray:
-    low = np.full(HASHES, np.iinfo(np.uint64).max, np.uint64)
+def minhashes(shingles: np.ndarray, hashes: int) -> np.ndarray:
+    low, (multiply, add) = np.full(hashes, np.iinfo(np.uint64).max, np.uint64), _functions(hashes)
     for a in range(0, len(shingles), 4096):
         part = shingles[a : a + 4096]
-        low = np.minimum(low, (part[None, :] * _MULTIPLY[:, None] + _ADD[:, None]).min(axis=1))
+        low = np.minimum(low, (part[None, :] * multiply[:, None] + add[:, None]).min(axis=1))
     return low
 
 
 def _sub_keys(low: np.ndarray) -> np.ndarray:
-    """2 x SIDE keys of PER_KEY minhashes each."""
-    parts = low.reshape(-1, 2 * SIDE, PER_KEY)
+    """Keys of PER_KEY minhashes each."""
+    parts = low.reshape(len(low), -1, PER_KEY)
     key = np.zeros(parts.shape[:2], np.uint64)
     for i in range(PER_KEY):
         key = _mix(key * np.uint64(0xA24BAED4963EE407) + parts[:, :, i])
@@ -79,15 +98,15 @@ def set_name(shingles: np.ndarray) -> bytes:
     return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest()
 
 
-SIGNED = "doc_id long, text_hash long, n long, name binary, keys array<long>, bytes array<long>"
+SIGNED = "rid long, doc_id long, text_hash long, n long, name binary, keys array<long>, bytes array<long>"
 
 
-def _sign(width: int):
+def _sign(width: int, hashes: int):
     def run(batches):
         for batch in batches:
             for part in slices(batch, "text"):
                 sets = [shingle_set(t or "", width) for t in part.column("text").to_pylist()]
-                low = np.array([minhashes(s) for s in sets], dtype=np.uint64).reshape(-1, HASHES)
+                low = np.array([minhashes(s, hashes) for s in sets], dtype=np.uint64).reshape(-1, hashes)
                 keys = _sub_keys(low)
                 sketch = (_mix(low) >> np.uint64(56)).reshape(len(sets), -1, 4)
                 words = (sketch << (np.arange(4, dtype=np.uint64) * np.uint64(8))).sum(axis=2, dtype=np.uint64)
@@ -97,8 +116,8 @@ def _sign(width: int):
                     return pa.ListArray.from_arrays(pa.array(np.arange(len(sets) + 1, dtype=np.int32) * a.shape[1]), pa.array(np.ascontiguousarray(a).ravel().view(np.int64)))
 
                 yield pa.RecordBatch.from_arrays(
-                    [part.column("doc_id"), part.column("text_hash"), pa.array([len(s) for s in sets], pa.int64()), blobs(names, np.arange(len(sets) + 1) * 16), lists(keys), lists(words)],
-                    names=["doc_id", "text_hash", "n", "name", "keys", "bytes"],
+                    [part.column("rid"), part.column("doc_id"), part.column("text_hash"), pa.array([len(s) for s in sets], pa.int64()), blobs(names, np.arange(len(sets) + 1) * 16), lists(keys), lists(words)],
+                    names=["rid", "doc_id", "text_hash", "n", "name", "keys", "bytes"],
                 )
 
     return run
@@ -116,11 +135,11 @@ def _sets(width: int):
     return run
 
 
-def _equal_bytes(a: str, b: str) -> str:
-    """SQL: how many of the 60 one-byte minhashes agree, four in a number; a zero byte of the difference is one."""
+def _equal_bytes(a: str, b: str, hashes: int) -> str:
+    """SQL: how many of the one-byte minhashes agree, four in a number; a zero byte of the difference is one."""
     low, high = 0x7F7F7F7F, 0x80808080
     x = f"({a}[{{i}}] ^ {b}[{{i}}])"
-    return " + ".join(f"bit_count(~(((({x} & {low}L) + {low}L) | {x}) & {high}L) & {high}L)".replace("{i}", str(i)) for i in range(HASHES // 4))
+    return " + ".join(f"bit_count(~(((({x} & {low}L) + {low}L) | {x}) & {high}L) & {high}L)".replace("{i}", str(i)) for i in range(hashes // 4))
 
 
 def _confirm(pairs: DataFrame, sets: DataFrame) -> DataFrame:
@@ -131,8 +150,13 @@ def _confirm(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.select("u", "v", "common", (F.size("su") + F.size("sv") - F.col("common")).alias("joint"))
 
 
+#: Column that tells rows apart, where a caller has put one.
+ROW = "__dedup_row"
+
+
 def _text_rows(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("text_hash", F.xxhash64("text"))
+    rid = F.col(ROW) if ROW in docs.columns else F.monotonically_increasing_id()
+    return docs.select(rid.alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("text_hash", F.xxhash64("text"))
 
 
 def _sets_of(docs: DataFrame, classes: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
@@ -143,21 +167,29 @@ def _sets_of(docs: DataFrame, classes: DataFrame, wanted: DataFrame, width: int)
     return materialise(map_arrow(texts.join(named, ["k", "text_hash"]).select("cid", "text"), _sets(width), "cid long, shingles array<long>").dropDuplicates(["cid"]), "dedup-sets")
 
 
-def near_duplicates(docs: DataFrame, percent: int = PERCENT, width: int = SHINGLE) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept of every document."""
-    signed = materialise(map_arrow(_text_rows(docs).select("doc_id", "text_hash", "text"), _sign(width), SIGNED).withColumn("rid", F.monotonically_increasing_id()), "dedup-signed")
-    names = materialise(signed.filter("n > 0").groupBy("name").agg(F.min("rid").alias("cid"), F.min("doc_id").alias("least")), "dedup-names")
+def duplicate_classes(docs: DataFrame, percent: int = PERCENT, width: int = SHINGLE) -> DataFrame:
+    """rid, doc_id, n_shingles, and first: the component's first row as (no_id, doc_id, rid), rows with a doc_id before
+    those without one."""
+    texts = _text_rows(docs).select("rid", "doc_id", "text_hash", "text")
+    signed = materialise(map_arrow(texts, _sign(width, 2 * side_of(percent) * PER_KEY), SIGNED), "dedup-signed")
+    place = F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "rid")
+    names = materialise(signed.filter("n > 0").groupBy("name").agg(F.min("rid").alias("cid"), F.min(place).alias("least")), "dedup-names")
     classes = materialise(signed.join(names.select(F.col("cid").alias("rid"), "least"), "rid").withColumnRenamed("rid", "cid").drop("name"), "dedup-classes")
     linked = _links(docs, classes, percent, width)
     roots = components(linked)
     least = classes.select(F.col("cid").alias("node"), "least")
     found = roots.join(least, "node").groupBy("root").agg(F.min("least").alias("below"))
-    found = found.join(least.withColumnRenamed("node", "root").withColumnRenamed("least", "own"), "root").select("root", F.least("below", "own").alias("component"))
-    moved = roots.join(found, "root").select(F.col("node").alias("cid"), "component").unionByName(found.select(F.col("root").alias("cid"), "component"))
-    named = materialise(names.join(moved, "cid", "left").select("name", F.coalesce("component", "least").alias("component")), "dedup-components")
-    out = signed.select("doc_id", "n", "name").join(named, "name", "left")
-    component = F.when(F.col("n") > 0, F.col("component")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    found = found.join(least.withColumnRenamed("node", "root").withColumnRenamed("least", "own"), "root").select("root", F.least("below", "own").alias("first"))
+    moved = roots.join(found, "root").select(F.col("node").alias("cid"), "first").unionByName(found.select(F.col("root").alias("cid"), "first"))
+    named = materialise(names.join(moved, "cid", "left").select("name", F.coalesce("first", "least").alias("first")), "dedup-components")
+    out = signed.select("rid", "doc_id", "n", "name").join(named, "name", "left")
+    return out.select("rid", "doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("first")).otherwise(place).alias("first"))
+
+
+def near_duplicates(docs: DataFrame, percent: int = PERCENT, width: int = SHINGLE) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept of every document."""
+    out = duplicate_classes(docs, percent, width).select("doc_id", "n_shingles", F.col("first.doc_id").alias("component_id"))
+    return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
 def _live(sets: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
@@ -171,11 +203,12 @@ def _live(sets: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
 
 
 def _links(docs: DataFrame, classes: DataFrame, percent: int, width: int) -> DataFrame:
+    side = side_of(percent)
     subs = classes.select("cid", F.posexplode("keys").alias("pos", "key"))
     common = materialise(subs.groupBy("pos", "key").agg(F.count(F.lit(1)).alias("c")).filter("c > 1"), "dedup-common")
     sides = subs.join(common, ["pos", "key"]).groupBy("cid").agg(
-        F.collect_list(F.when(F.col("pos") < SIDE, F.struct("pos", "key"))).alias("a"),
-        F.collect_list(F.when(F.col("pos") >= SIDE, F.struct("pos", "key"))).alias("b"),
+        F.collect_list(F.when(F.col("pos") < side, F.struct("pos", "key"))).alias("a"),
+        F.collect_list(F.when(F.col("pos") >= side, F.struct("pos", "key"))).alias("b"),
         F.sum("c").alias("shared"),
     )
     cells = sides.filter("size(a) > 0 and size(b) > 0").select("cid", "shared", F.explode("a").alias("a"), "b").select("cid", "shared", "a", F.explode("b").alias("b"))
@@ -188,7 +221,7 @@ def _links(docs: DataFrame, classes: DataFrame, percent: int, width: int) -> Dat
     u = facts.select(F.col("cid").alias("u"), F.col("n").alias("nu"), F.col("bytes").alias("bu"))
     v = facts.select(F.col("cid").alias("v"), F.col("n").alias("nv"), F.col("bytes").alias("bv"))
     sizes = f"100 * least(nu, nv) >= {percent} * greatest(nu, nv)"
-    sketch = f"{_equal_bytes('bu', 'bv')} >= {LEAST_EQUAL}"
+    sketch = f"{_equal_bytes('bu', 'bv', 2 * side * PER_KEY)} >= {least_equal(percent)}"
     stars = members.filter("cid <> lead").select(F.least("lead", "cid").alias("u"), F.greatest("lead", "cid").alias("v")).distinct()
     stars = materialise(stars.join(u, "u").join(v, "v").filter(f"{sizes} AND {sketch}").select("u", "v"), "dedup-stars")
     nodes = members.select("cid").distinct()
@@ -271,7 +304,8 @@ def _compare(percent: int):
 
 
 def drop_near_duplicates(docs: DataFrame, percent: int = PERCENT, width: int = SHINGLE) -> DataFrame:
-    """``docs`` with one document of each group, its own columns kept. Rows are told apart by doc_id: rows that
-    share a kept doc_id all stay, and so do those without one."""
-    gone = near_duplicates(docs, percent, width).filter("not kept").select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone.distinct(), F.col("doc_id").cast("long") == F.col("__gone"), "left_anti")
+    """``docs`` with one row of each group, its own columns kept: the one of least doc_id, of equal ones any; of a group
+    without doc_ids any one. Rows are told apart by a number of their own, whatever their doc_ids."""
+    numbered = materialise(docs.withColumn(ROW, F.monotonically_increasing_id()), "dedup-rows")
+    gone = duplicate_classes(numbered, percent, width).filter("rid <> first.rid").select(F.col("rid").alias(ROW))
+    return numbered.join(gone, ROW, "left_anti").select(*[F.col(f"`{c}`") for c in docs.columns])
