@@ -74,6 +74,7 @@ def test_packing(docs, empty):
     for r in got.itertuples():
         x = per[7 if np.isnan(r.doc_id) else int(r.doc_id)]
         assert zlib.crc32(x[r.start : r.start + r.length].tobytes()) == r.ids_crc32 and r.doc_tokens == len(x)
+        assert r.ids == x[r.start : r.start + r.length].tobytes()
     assert got.length.sum() == sum(map(len, per.values()))
     for _, g in got.sort_values("offset").groupby("sequence_id"):
         assert g.offset.tolist() == np.concatenate(([0], np.cumsum(g.length)[:-1])).tolist() and g.length.sum() <= 2048

@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, slices
+from .common import least_hashed, map_arrow, slices
 
 BITS, SIZES = 18, (1, 2, 3, 4)
 FIT_ROWS, EPOCHS, COST, SMOOTH, SEED = 8000, 12, 1.0, 1.0, 29
@@ -155,7 +155,7 @@ def quality_scores(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS)
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("label")).filter("label in (0, 1) and doc_id is not null")
     marks = marks.groupBy("doc_id").agg(F.max("label").alias("label")).filter(~held_out(F.col("doc_id")))
-    chosen = marks.orderBy(F.xxhash64("doc_id", F.lit(SEED)), "doc_id").limit(fit_rows)
+    chosen = least_hashed(marks, fit_rows, SEED, "doc_id")
     some = map_arrow(texts.join(F.broadcast(chosen), "doc_id"), _features, "doc_id long, label int, ids binary")
     # the features are made where the texts are; at most fit_rows rows of them go to the task that fits
     model = map_arrow(some.repartition(1), _train, "both binary, ratio binary, b double").first()

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, materialise, slices
+from .common import least_hashed, map_arrow, materialise, slices
 
 MIN_WORDS, REPEAT_PERCENT = 50, 50
 #: Trees of each rate, rows of each tree, greatest depth, rows of the sample.
@@ -218,8 +218,8 @@ def fit(stats: DataFrame, labels: DataFrame) -> tuple[IsolationForest, float]:
     marks = labels.filter("quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("quality"))
 
     def sample(rows: DataFrame) -> np.ndarray:
-        rows = rows.filter(~base_failed(F.col("n_words"), F.col("n_repeat_words"))).orderBy(F.xxhash64("doc_id", F.lit(SEED)), *COUNTS)
-        return rows.limit(SAMPLE).select(*COUNTS, *MORE).toPandas().to_numpy(dtype=np.int64)
+        rows = rows.filter(~base_failed(F.col("n_words"), F.col("n_repeat_words")))
+        return least_hashed(rows, SAMPLE, SEED, "doc_id", *COUNTS).select(*COUNTS, *MORE).toPandas().to_numpy(dtype=np.int64)
 
     rows = sample(stats.join(marks.filter("quality = 1"), "doc_id"))
     if not len(rows):

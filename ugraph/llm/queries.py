@@ -12,7 +12,7 @@ def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op1_retrieval_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .packing import pack_documents
 
-    return pack_documents(_docs(spark, sf_dir))
+    return pack_documents(_docs(spark, sf_dir), with_ids=False)
 
 
 def op2_tensored_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
