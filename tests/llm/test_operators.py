@@ -364,7 +364,7 @@ def test_pseudonyms(spark, empty):
 
     texts = ["card 4929603461135148 and 4929 6034 6113 5148", "again 4929603461135148!", "not valid 4929603461135147", "call +1 (614) 555-8001", "ip 10.20.30.40 v 1.2", "on 2021-03-04 or 31.12.1999, not 2021-13-40", "mail jo.x@mail.example.com", None, "", "nothing"]
     assert luhn("4929603461135148")
-    got = [r.text for r in pii.masked(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).orderBy("doc_id").collect()]
+    got = [r.text for r in pii.masked(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "k").orderBy("doc_id").collect()]
     card = re.search(r"\d{16}", got[0])[0]
     assert luhn(card) and card != "4929603461135148" and got[0].replace(" ", "").count(card) == 2 and card in got[1]
     assert got[2] == texts[2] and got[7:] == texts[7:]
@@ -372,7 +372,7 @@ def test_pseudonyms(spark, empty):
     assert re.fullmatch(r"ip \d\d\.\d\d\.\d\d\.\d\d v 1\.2", got[4]) and "2021-13-40" in got[5] and "2021-03-04" not in got[5]
     assert "jo.x@" not in got[6] and got[6].endswith("@mail.example.com")
     assert all(t is None or len(t) == len(g) for t, g in zip(texts, got, strict=True))
-    assert pii.masked(empty).count() == 0
+    assert pii.masked(empty, "k").count() == 0
 
 
 def test_feistel_is_a_permutation(spark):
@@ -380,6 +380,60 @@ def test_feistel_is_a_permutation(spark):
     assert sorted(r.x for r in df.collect()) == [f"{i:03d}" for i in range(1000)]
 
 
+def feistel_numbers(a, b, size_a, size_b, kind, key):
+    for i in range(pii.ROUNDS):
+        digest = lambda x: int(hashlib.sha256(f"{key}:{kind}:{i}:{x}".encode()).hexdigest()[:15], 16)
+        if i % 2 == 0:
+            a = (a + digest(b)) % size_a
+        else:
+            b = (b + digest(a)) % size_b
+    return a, b
+
+
+def feistel_text(x, alphabets, kind, key):
+    a, b = x[: len(x) // 2], x[len(x) // 2 :]
+    for i in range(pii.ROUNDS):
+        part, other = (a, b) if i % 2 == 0 else (b, a)
+        h = bytes.fromhex(hashlib.sha512(f"{key}:{kind}:{i}:{other}".encode()).hexdigest())
+        new = ""
+        for j, c in enumerate(part):
+            own = next((s for s in alphabets if c in s), None)
+            new += own[(own.index(c) + h[j]) % len(own)] if own else c
+        a, b = (new, b) if i % 2 == 0 else (a, new)
+    return a + b
+
+
+def feistel_digits(d, kind, key):
+    h = len(d) // 2
+    a, b = feistel_numbers(int(d[:h]), int(d[h:]), 10**h, 10 ** (len(d) - h), kind, key)
+    return f"{a:0{h}d}{b:0{len(d) - h}d}"
+
+
+def test_pseudonyms_against_a_second_form(spark):
+    import datetime
+
+    key, day = "k'ey", datetime.date(1900, 1, 1)
+    card = feistel_digits("492960346113514", "card", key)
+    card += next(c for c in "0123456789" if luhn(card + c))
+    a, b = feistel_numbers(*divmod((datetime.date(2021, 3, 4) - day).days, 487), 150, 487, "date", key)
+    ip = [10 - 10, 20 - 10, 30 - 10, 4]
+    c, d = feistel_numbers(ip[0] * 90 + ip[1], ip[2] * 10 + ip[3], 90 * 90, 90 * 10, "ip", key)
+    letters = ("0123456789", "abcdefghijklmnopqrstuvwxyz")
+    mail, secret = feistel_text("jo.x7", letters, "mail", key), feistel_text("0123456789abcdef" * 2, ("0123456789abcdef",), "secret", key)
+    phone = feistel_digits("6145558001", "phone", key)
+    rows = {
+        "4929603461135148": card, "2021-03-04": str(day + datetime.timedelta(a * 487 + b)),
+        "10.20.30.4": f"{c // 90 + 10}.{c % 90 + 10}.{d // 10 + 10}.{d % 10}", "jo.x7@e.org": f"{mail}@e.org", "Jo.X7@e.org": f"{mail[:1].upper()}{mail[1:3]}{mail[3].upper()}{mail[4:]}@e.org",
+        "0123456789abcdef" * 2: secret, "0123456789ABCDEF" * 2: secret.upper(), "+1 (614) 555-8001": f"+1 ({phone[:3]}) {phone[3:6]}-{phone[6:]}",
+    }
+    df = spark.createDataFrame([(f"see {t}, end",) for t in rows], "text string")
+    assert [r.text for r in pii.masked(df, key).collect()] == [f"see {t}, end" for t in rows.values()]
+    # different values stay different
+    names = [f"{x}{y}@e.org" for x in "abcdefgh" for y in range(60)] + ["a@e.org", "b@e.org"]
+    got = [r.text for r in pii.masked(spark.createDataFrame([(n,) for n in names], "text string"), key).collect()]
+    assert len(set(got)) == len(names)
+
+
 def removed(data: list[bytes]) -> list[np.ndarray]:
     """Which bytes of each text a string of 400 covers that starts in two places."""
     seen: dict[bytes, int] = {}

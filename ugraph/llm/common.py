@@ -43,8 +43,20 @@ def _local_dir() -> str:
     return _LOCAL[0]
 
 
+_WRITTEN: list[str] = []
+
+
 def new_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
+    _WRITTEN.append(path)
+    return path
+
+
+def discard_all(spark: SparkSession) -> None:
+    """Delete all tables which the operators wrote in this process. DataFrames that they returned read from these: call it
+    when the results have been written."""
+    while _WRITTEN:
+        discard(spark, _WRITTEN.pop())
 
 
 def write_table(df: DataFrame, path: str) -> None:

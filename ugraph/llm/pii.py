@@ -3,11 +3,10 @@
 What is found and valid is replaced by a keyed permutation of its own format, so equal values stay equal in all
 documents and different ones stay different: card numbers (13 to 19 digits with a right check digit; the new check
 digit is right too), phone numbers (8 to 15 digits after a plus sign, or with an area code in brackets; the country
-code stays), IPv4 addresses and calendar dates from 1900 to 2099 (2100-01-01 is the
-last day that a date can become). The permutation is a Feistel network of ROUNDS
-rounds over the two halves of the value, with a keyed digest as round function. The local part of an e-mail address
-and long hexadecimal secrets have no bounded number format: keyed digests replace them letter by letter. Every
-replacement has as many characters as what it replaces.
+code stays), IPv4 addresses, calendar dates from 1900 to 2099 (2100-01-01 is the last day that a date can become), the
+local parts of e-mail addresses (digits stay digits, letters letters of their case) and long hexadecimal secrets. The
+permutation is a Feistel network of ROUNDS rounds over the two halves of the value, with a keyed digest as round
+function. Every replacement has as many characters as what it replaces. The key is the caller's.
 
 Defined cases: null text stays null; texts without such values stay as they are; numbers that fail their check stay;
 columns other than text pass through, whatever their names; an empty table stays empty.
@@ -15,11 +14,17 @@ columns other than text pass through, whatever their names; an empty table stays
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 ROUNDS = 8
-KEY = "pseudonym-key-1"
+#: Setting from which ``session_key`` takes the key, and the key of test data, where it is unset.
+KEY_SETTING, TEST_KEY = "spark.ugraph.pseudonymKey", "pseudonym-key-1"
+
+
+def session_key(spark: SparkSession) -> str:
+    return spark.conf.get(KEY_SETTING, TEST_KEY)
+
 
 #: What may be a value, by kind. Look-arounds keep a match from starting or ending inside a longer run.
 PATTERNS = {
@@ -44,7 +49,7 @@ def _round(kind: str, key: str, other: str) -> str:
     return f"cast(conv(substring(sha2(concat_ws(':', {_quoted(key)}, {_quoted(kind)}, cast(i as string), cast({other} as string)), 256), 1, 15), 16, 10) as bigint)"
 
 
-def feistel(a: str, b: str, size_a: str, size_b: str, kind: str, key: str = KEY) -> str:
+def feistel(a: str, b: str, size_a: str, size_b: str, kind: str, key: str) -> str:
     """SQL of the pair (a, b) after all rounds; a is below size_a and b below size_b before and after."""
     return (
         f"aggregate(sequence(0, {ROUNDS - 1}), named_struct('a', cast({a} as bigint), 'b', cast({b} as bigint)), (s, i) -> named_struct("
@@ -118,24 +123,34 @@ def _date(key: str) -> str:
     return _let(days, "n", _let(pair, "r", f"date_format({moved}, {shape})"))
 
 
-def _letters(part: str, seed: str, key: str) -> str:
-    """Letters and digits of ``part`` replaced by those that a keyed digest of ``seed`` deals, kind by kind."""
-    v = f"cast(conv(substring(sha2(concat_ws(':', {_quoted(key)}, 'mail', lower({seed}), cast(i as string)), 256), 1, 8), 16, 10) as bigint)"
-    c = f"substring({part}, i, 1)"
-    return (
-        f"array_join(transform(sequence(1, length({part})), i -> CASE WHEN {c} BETWEEN '0' AND '9' THEN substring('0123456789', cast({v} % 10 as int) + 1, 1) "
-        f"WHEN {c} BETWEEN 'a' AND 'z' THEN substring('abcdefghijklmnopqrstuvwxyz', cast({v} % 26 as int) + 1, 1) "
-        f"WHEN {c} BETWEEN 'A' AND 'Z' THEN substring('ABCDEFGHIJKLMNOPQRSTUVWXYZ', cast({v} % 26 as int) + 1, 1) ELSE {c} END), '')"
+def _moved(part: str, other: str, alphabets: tuple[str, ...], kind: str, key: str) -> str:
+    """``part`` with each character moved along its alphabet by two digits of a keyed digest of ``other``; i is the round."""
+    c = f"substring({part}, j, 1)"
+    digest = f"sha2(concat_ws(':', {_quoted(key)}, {_quoted(kind)}, cast(i as string), {other}), 512)"
+    step = "cast(conv(substring(h, 2 * j - 1, 2), 16, 10) as int)"
+    cases = " ".join(f"WHEN instr('{a}', {c}) > 0 THEN substring('{a}', (instr('{a}', {c}) - 1 + {step}) % {len(a)} + 1, 1)" for a in alphabets)
+    return f"CASE WHEN {part} = '' THEN '' ELSE {_let(digest, 'h', f"array_join(transform(sequence(1, length({part})), j -> CASE {cases} ELSE {c} END), '')")} END"
+
+
+def _permuted_text(x: str, alphabets: tuple[str, ...], kind: str, key: str) -> str:
+    """A string of at most 128 characters, permuted among those with the same alphabets in the same places."""
+    pair = (
+        f"aggregate(sequence(0, {ROUNDS - 1}), named_struct('a', substring({x}, 1, length({x}) div 2), 'b', substring({x}, length({x}) div 2 + 1, 128)), (s, i) -> named_struct("
+        f"'a', CASE WHEN i % 2 = 0 THEN {_moved('s.a', 's.b', alphabets, kind, key)} ELSE s.a END, "
+        f"'b', CASE WHEN i % 2 = 1 THEN {_moved('s.b', 's.a', alphabets, kind, key)} ELSE s.b END))"
     )
+    return _let(pair, "r", "concat(r.a, r.b)")
 
 
 def _email(key: str) -> str:
-    return _let("substring_index(p, '@', 1)", "w", f"concat({_letters('w', 'p', key)}, substring(p, length(w) + 1, 1000))")
+    """The same for any case of letters; the case stays in its place."""
+    moved = _permuted_text("l", ("0123456789", "abcdefghijklmnopqrstuvwxyz"), "mail", key)
+    cased = "array_join(transform(sequence(1, length(w)), j -> CASE WHEN substring(w, j, 1) BETWEEN 'A' AND 'Z' THEN upper(substring(v, j, 1)) ELSE substring(v, j, 1) END), '')"
+    return _let("substring_index(p, '@', 1)", "w", _let("lower(w)", "l", _let(moved, "v", f"concat({cased}, substring(p, length(w) + 1, 1000))")))
 
 
 def _secret(key: str) -> str:
-    digest = f"concat(sha2(concat_ws(':', {_quoted(key)}, 'secret', lower(p)), 256), sha2(concat_ws(':', {_quoted(key)}, 'more', lower(p)), 256))"
-    return _let(f"substring({digest}, 1, length(p))", "w", "CASE WHEN p = upper(p) THEN upper(w) ELSE w END")
+    return _let("lower(p)", "l", _let(_permuted_text("l", ("0123456789abcdef",), "secret", key), "w", "CASE WHEN p = upper(p) THEN upper(w) ELSE w END"))
 
 
 VALID = {
@@ -155,12 +170,12 @@ def kind_of(p: str = "p") -> str:
     return f"CASE {tests} END"
 
 
-def replacement(key: str = KEY) -> str:
+def replacement(key: str) -> str:
     cases = " ".join(f"WHEN '{k}' THEN {REPLACE[k](key)}" for k in KINDS)
     return f"coalesce(CASE {kind_of()} {cases} END, p)"
 
 
-def masked(docs: DataFrame, key: str = KEY, counts: bool = False) -> DataFrame:
+def masked(docs: DataFrame, key: str, counts: bool = False) -> DataFrame:
     """``docs`` with its text replaced; ``counts`` adds n_<kind> for each kind: valid values found."""
     t, hit, gap = "__pii_text", "__pii_hits", "__pii_gaps"
     step = docs.withColumn(t, F.col("text").cast("string"))
@@ -179,4 +194,4 @@ def masked(docs: DataFrame, key: str = KEY, counts: bool = False) -> DataFrame:
 
 def pii_digest(docs: DataFrame) -> DataFrame:
     """op10: doc_id, the replaced text and how many values of each kind were replaced."""
-    return masked(docs.select("doc_id", "text"), counts=True)
+    return masked(docs.select("doc_id", "text"), session_key(docs.sparkSession), counts=True)

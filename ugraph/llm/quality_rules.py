@@ -31,11 +31,11 @@ MIN_WORDS, REPEAT_PERCENT = 50, 50
 TREES, PER_TREE, DEPTH, SAMPLE, SEED = 12, 256, 10, 25_600, 17
 SHRINK = 50
 #: The rates, by which the next two tables go.
-RATES = ["symbols a word", "capitals a character", "marks a word", "digits a character", "repeated lines a line", "repeated words a word", "different words a word", "characters a word", "lines a word"]
+RATES = ["symbols a word", "capitals a character", "marks a word", "digits a character", "repeated lines a line", "repeated words a word", "logarithm of different words by that of words", "characters a word", "lines a word"]
 #: The sample's spread lies between these two quantiles; a rate's unit is at least its entry in LEAST_UNIT.
 SPREAD = (0.01, 0.99)
 #: By rate: the least unit, and the greatest value that the rate can take.
-LEAST_UNIT = np.array([0.05, 0.01, 0.05, 0.05, 0.05, 0.1, 0.1, 0.5, 0.05])
+LEAST_UNIT = np.array([0.05, 0.01, 0.05, 0.05, 0.05, 0.2, 0.1, 0.5, 0.05])
 MOST = np.array([np.inf, 1.0, np.inf, 1.0, 1.0, 1.0, 1.0, np.inf, 1.0])
 #: Share of the rows labelled good that the threshold may reject.
 MAX_CLEAN_LOSS = 0.001
@@ -108,12 +108,13 @@ def rule_stats(docs: DataFrame) -> DataFrame:
 
 def rates(counts: np.ndarray) -> np.ndarray:
     """The forest's features, as RATES names them. SHRINK words more than there are, all different and of five characters,
-    keep short texts from looking odd for a single sign."""
+    keep short texts from looking odd for a single sign. A text's different words grow more slowly than its length, so that
+    their logarithms are compared: a share would make long texts look odd."""
     c = dict(zip(COUNTS + MORE, counts.astype(np.float64).T, strict=True))
     words, chars, lines = c["n_words"] + SHRINK, c["word_chars"] + 5 * SHRINK, c["n_lines"] + SHRINK / 5
     return np.stack([
         c["n_symbols"] / words, c["n_upper"] / chars, c["n_marks"] / words, c["n_digits"] / chars, c["n_dup_lines"] / lines, c["n_repeat_words"] / words,
-        (c["n_distinct"] + SHRINK) / words, chars / words, c["n_lines"] / words,
+        np.log(c["n_distinct"] + SHRINK) / np.log(words), chars / words, c["n_lines"] / words,
     ], axis=1)
 
 
