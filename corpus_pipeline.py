@@ -8,7 +8,7 @@ from ugraph.llm.common import materialise
 from ugraph.llm.mixing import mix_documents
 from ugraph.llm.near_dedup import drop_near_duplicates
 from ugraph.llm.packing import pack_documents
-from ugraph.llm.pii import masked
+from ugraph.llm.pii import masked, session_key
 from ugraph.llm.quality_rules import keep_good
 
 #: Near-duplicate stages work on five-word shingles and a similarity of 0.8 or more.
@@ -27,7 +27,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts with pseudonyms for personal numbers, dates and addresses."""
-    return masked(docs)
+    return masked(docs, session_key(spark))
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
