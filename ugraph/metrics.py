@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from .operators.engine import Engine, MatchOptions
 from .operators.entity_graph import EntityGraph, build_entity_graph
-from .operators.identity import component_marginals, component_worlds
+from .operators.identity import sampled_marginals
 from .operators.path_index import PathIndex, build_path_index, estimate_count, exact_count, load_counts, node_context
 from .plans.pattern import Pattern
 
@@ -27,11 +27,11 @@ def offline_time(rg, L: int, beta: float, gamma: float = 0.1) -> dict:
     graph_s, eg = timed(lambda: build_entity_graph(rg))
     index_s, idx = timed(lambda: build_path_index(eg, L, beta, gamma))
     context_s, _ = timed(lambda: node_context(eg).count())
-    return {"L": L, "beta": beta, "graph_s": graph_s, "index_s": index_s, "context_s": context_s, "paths": {n: d.count() for n, d in idx.paths.items()}}
+    return {"L": L, "beta": beta, "graph_s": graph_s, "index_s": index_s, "context_s": context_s, "paths": {n: d.count() for n, d in idx.paths.items()}, "bytes": index_bytes(idx.hist.sparkSession, idx.paths)}
 
 
 def run_with_budget(spark, run, seconds: float = 900.0) -> dict:
-    """``run`` in a job group that is cancelled after its budget: ok, time or error."""
+    """``run`` under a tag whose jobs are cancelled after its budget: ok, time, memory or error."""
     tag = f"budget-{time.time_ns()}"
     late = threading.Event()
     timer = threading.Timer(seconds, lambda: (late.set(), spark.interruptTag(tag)))
@@ -41,7 +41,8 @@ def run_with_budget(spark, run, seconds: float = 900.0) -> dict:
         s, out = timed(run)
         return {"status": "time" if late.is_set() else "ok", "s": s, "result": out}
     except Exception as e:  # noqa: BLE001  what ended it is the result
-        return {"status": "time" if late.is_set() else "error", "s": seconds, "result": str(e)[:200]}
+        memory = any(x in str(e) for x in ("OutOfMemory", "out of memory", "UNABLE_TO_ACQUIRE_MEMORY", "No space left"))
+        return {"status": "time" if late.is_set() else "memory" if memory else "error", "s": seconds, "result": str(e)[:200]}
     finally:
         timer.cancel()
         spark.removeTag(tag)
@@ -57,9 +58,9 @@ def search_space(sizes: list[int]) -> float:
     return sum(math.log10(s) for s in sizes) if all(sizes) else -math.inf
 
 
-def progression(engine: Engine, q: Pattern, alpha: float, L: int | None = None) -> list[dict]:
+def progression(engine: Engine, q: Pattern, alpha: float, L: int | None = None, paths=None) -> list[dict]:
     """Search space after the index read, after node and path context, and after the joint reduction."""
-    o = MatchOptions(L=L)
+    o = MatchOptions(L=L, reduction="both", paths=paths)
     d = engine.plan(q, alpha, o)
     raw = [engine.fetch(q, p, alpha).count() for p in d.paths]
     engine.match(q, alpha, o)
@@ -68,10 +69,10 @@ def progression(engine: Engine, q: Pattern, alpha: float, L: int | None = None)
     return [{"step": s, "log10": search_space(x), "lists": len(x), "paths": sum(x)} for s, x in rows]
 
 
-def reduction_ratio(engine: Engine, q: Pattern, alpha: float, L: int | None = None) -> dict:
+def reduction_ratio(engine: Engine, q: Pattern, alpha: float, L: int | None = None, paths=None) -> dict:
     """Search space after structure, and after bounds, over that just before."""
     out = {}
-    o = MatchOptions(L=L)
+    o = MatchOptions(L=L, paths=paths)
     d = engine.plan(q, alpha, o)
     cands = engine.candidates(q, d, alpha, o)
     sizes = [c.count() for c in cands]
@@ -92,10 +93,22 @@ def reduction_trace(engine: Engine) -> list[dict]:
 
 
 def graph_stats(eg: EntityGraph) -> DataFrame:
-    """Entities, edges, mean degree, and the share of uncertain entities."""
-    e = eg.entities.agg(F.count(F.lit(1)).alias("n_entities"), F.sum(F.when(F.col("comp_id").isNotNull(), 1).otherwise(0)).cast("long").alias("n_identity"))
-    x = eg.edges.agg(F.count(F.lit(1)).alias("n_edges"), F.round(F.sum("p"), 4).alias("edge_mass"))
-    return e.crossJoin(x)  # one row each
+    """Entities, edges, mean number of edges at an entity, and the shares of uncertain entities and edges."""
+    e = eg.entities.agg(F.count(F.lit(1)).alias("n_entities"), F.count("comp_id").alias("n_identity"))
+    x = eg.edges.agg(F.count(F.lit(1)).alias("n_edges"), F.round(F.sum("p"), 4).alias("edge_mass"), F.count(F.when(F.col("p") < 1, 1)).alias("uncertain"))
+    both = e.crossJoin(x)  # one row each
+    share = lambda a, b: F.round(F.when(F.col(b) > 0, F.col(a) / F.col(b)).otherwise(0.0), 6)
+    return both.select("n_entities", "n_identity", "n_edges", "edge_mass", share("n_edges", "n_entities").alias("mean_degree"), share("uncertain", "n_edges").alias("uncertain_edges"), share("n_identity", "n_entities").alias("uncertain_entities"))
+
+
+def index_bytes(spark, paths: dict[int, DataFrame]) -> dict[int, int]:
+    """Bytes of the files of each path length, from the file system's own list."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    out = {}
+    for n, df in paths.items():
+        files = [jvm.org.apache.hadoop.fs.Path(f) for f in df.inputFiles()]
+        out[n] = sum(f.getFileSystem(conf).getFileStatus(f).getLen() for f in files)
+    return out
 
 
 def estimate_qerror(idx: PathIndex, keys: list[list[str]], alpha: float) -> list[float]:
@@ -116,9 +129,8 @@ def compare(found: DataFrame, true: DataFrame, keys: list[str]) -> dict:
     return {"precision": r["both"] / r["a"] if r["a"] else 1.0, "recall": r["both"] / r["b"] if r["b"] else 1.0, "error": r["err"] or 0.0}
 
 
-def marginal_error(eg: EntityGraph, draws: int = 2000) -> float:
-    """Greatest difference of sampled marginals from exact ones."""
-    ents = eg.entities.join(eg.marginals.select("comp_id").distinct(), "comp_id").withColumn("p", F.col("p_exist"))
-    exact = component_marginals(component_worlds(ents)).withColumnRenamed("p", "x")
-    sampled = component_marginals(component_worlds(ents, most_refs=0, draws=draws)).withColumnRenamed("p", "y")
-    return exact.join(sampled, ["comp_id", "mask"], "left").agg(F.max(F.abs(F.col("x") - F.coalesce("y", F.lit(0.0))))).first()[0] or 0.0
+def marginal_error(eg: EntityGraph, draws: int = 2000) -> dict:
+    """Entities' probabilities from drawn worlds against the exact ones: greatest difference, and greatest standard error."""
+    drawn = sampled_marginals(eg.entities.withColumn("p", F.col("prior")), draws).join(eg.entities.select("entity_id", "p_exist"), "entity_id")
+    r = drawn.agg(F.max(F.abs(F.col("p") - F.col("p_exist"))), F.max("se")).first()
+    return {"error": r[0] or 0.0, "se": r[1] or 0.0}

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 import time
+from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 from functools import reduce
 
@@ -11,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.tables import EPS, materialise
-from ..plans.decompose import Decomposition, decompose, join_order
+from ..plans.decompose import Decomposition, cover_of, decompose, join_order
 from ..plans.pattern import Pattern, node_label_counts, path_chords, path_neighbours, reverse_neighbours
 from .entity_graph import EntityGraph
 from .identity import pn_expr
@@ -21,12 +23,13 @@ from .path_index import PathIndex, estimate_count, load_counts, node_context
 @dataclass(frozen=True)
 class MatchOptions:
     L: int | None = None
-    decomposition: str = "greedy"
+    decomposition: str = "auto"  # greedy, exact, random; auto: exact up to EXACT_EDGES pattern edges, else greedy
     efficiency: str = "length"
+    paths: tuple[tuple[str, ...], ...] | None = None  # a cover given by the caller
     seed: int = 0
     node_context: bool = True
     path_context: bool = True
-    reduction: str = "both"  # none, structure, bounds, both
+    reduction: str = "auto"  # none, structure, bounds, both; auto: both where the search space exceeds REDUCE_FROM
     incremental: bool = True
     order: str = "heuristic"
     distinct: str = "embedding"  # or subgraph
@@ -35,6 +38,18 @@ class MatchOptions:
     limit: int | None = None
 
 
+#: Log10 of the search space from which the joint reduction pays for its rounds. It never changes the result.
+REDUCE_FROM = 8.0
+
+
+def at_once(*runs: Callable) -> list:
+    """The results of ``runs``, whose Spark jobs overlap."""
+    if len(runs) < 2:
+        return [run() for run in runs]
+    with ThreadPoolExecutor(min(8, len(runs))) as pool:
+        return [f.result() for f in [pool.submit(run) for run in runs]]
+
+
 def product(columns: list[Column]) -> Column:
     return reduce(lambda a, b: a * b, columns, F.lit(1.0))
 
@@ -64,6 +79,8 @@ class Engine:
     def plan(self, q: Pattern, alpha: float, o: MatchOptions) -> Decomposition:
         from ..plans.pattern import enumerate_query_paths
 
+        if o.paths:
+            return cover_of(q, list(o.paths))
         most = o.L or self.idx.L
         keys = {}
         for p in enumerate_query_paths(q, most):
@@ -111,18 +128,23 @@ class Engine:
         return rows
 
     def candidates(self, q: Pattern, d: Decomposition, alpha: float, o: MatchOptions) -> list[DataFrame]:
-        nodes = {n: materialise(self.node_candidates(q, n, alpha), f"cn-{n}") for n in q.nodes} if o.node_context else {}
-        out = []
-        for i, path in enumerate(d.paths):
+        """The lists of candidate paths, written; those of the nodes come first, in one job."""
+        nodes = None
+        if o.node_context:
+            whole = reduce(DataFrame.unionByName, [self.node_candidates(q, n, alpha).withColumn("node", F.lit(n)) for n in q.nodes])
+            nodes = materialise(whole, "cn")
+
+        def one(i: int, path: tuple[str, ...]) -> DataFrame:
             rows = self.fetch(q, path, alpha)
-            for n in path if nodes else ():
-                rows = rows.join(nodes[n].select(F.col("e").alias(f"n_{n}")), f"n_{n}", "left_semi")
+            for n in path if nodes is not None else ():
+                rows = rows.join(nodes.filter(F.col("node") == n).select(F.col("e").alias(f"n_{n}")), f"n_{n}", "left_semi")
             if o.path_context:
                 rows = self.chords(q, path, self.neighbourhood_bound(q, path, rows))
                 cpr = product([F.col(_edge_column(c)) for c in path_chords(q, path)])
                 rows = rows.filter(F.col("ple") * F.col("pn") * F.col("pu") * cpr >= alpha - EPS).drop("pu", *[_edge_column(c) for c in path_chords(q, path)])
-            out.append(materialise(rows.withColumn("vid", F.monotonically_increasing_id()), f"cand-{i}"))
-        return out
+            return materialise(rows.withColumn("vid", F.monotonically_increasing_id()), f"cand-{i}")
+
+        return at_once(*[lambda i=i, p=p: one(i, p) for i, p in enumerate(d.paths)])
 
     # -- step 3 -------------------------------------------------------------------------------------------------
     def _joined(self, q: Pattern, a: DataFrame, names_a: list[str], edges_a, b: DataFrame, path_b, alpha: float | None):
@@ -132,7 +154,9 @@ class Engine:
         fresh = [n for n in path_b if n not in names_a]
         new_edges = [e for e in edges_b if e not in edges_a]
         keep = [f"n_{n}" for n in shared] + [f"{c}_{n}" for n in fresh for c in ("n", "q", "c", "m", "w")] + [_edge_column(e) for e in new_edges]
-        both = a.join(b.select(*keep, *[c for c in b.columns if c.startswith("v")]), [f"n_{n}" for n in shared]) if shared else a.crossJoin(b)
+        if not shared:
+            raise ValueError(f"{path_b} shares no node with {names_a}: their join would be a product")
+        both = a.join(b.select(*keep, *[c for c in b.columns if c.startswith("v")]), [f"n_{n}" for n in shared])
         for x in fresh:
             for y in names_a:
                 both = both.filter(F.col(f"n_{x}") != F.col(f"n_{y}"))
@@ -142,14 +166,15 @@ class Engine:
             both = both.filter(F.col("ple") * F.col("pn") >= alpha - EPS)
         return both, names, edges
 
+    def joinable(self, q: Pattern, d: Decomposition, cands: list[DataFrame], i: int, j: int, alpha: float) -> DataFrame:
+        """Pairs of two lists that agree on shared nodes, differ on others, and together keep probability alpha."""
+        a, b = cands[i].withColumnRenamed("vid", "va"), cands[j].withColumnRenamed("vid", "vb")
+        return self._joined(q, a, list(d.paths[i]), q.path_edges(d.paths[i]), b, d.paths[j], alpha)[0]
+
     def links(self, q: Pattern, d: Decomposition, cands: list[DataFrame], alpha: float) -> dict[tuple[int, int], DataFrame]:
-        out = {}
-        for (i, j), _ in d.predicates.items():
-            a = cands[i].withColumnRenamed("vid", "va")
-            b = cands[j].withColumnRenamed("vid", "vb")
-            both, _, _ = self._joined(q, a, list(d.paths[i]), q.path_edges(d.paths[i]), b, d.paths[j], alpha)
-            out[i, j] = materialise(both.select("va", "vb"), f"links-{i}-{j}")
-        return out
+        pairs = list(d.predicates)
+        found = at_once(*[lambda i=i, j=j: materialise(self.joinable(q, d, cands, i, j, alpha).select("va", "vb"), f"links-{i}-{j}") for i, j in pairs])
+        return dict(zip(pairs, found, strict=True))
 
     def kpartite(self, q: Pattern, d: Decomposition, cands: list[DataFrame], links: dict) -> KPartite:
         k = len(d.paths)
@@ -163,78 +188,75 @@ class Engine:
             there = df.select(F.lit(i).alias("p1"), F.col("va").alias("v1"), F.lit(j).alias("p2"), F.col("vb").alias("v2"))
             back = df.select(F.lit(j).alias("p1"), F.col("vb").alias("v1"), F.lit(i).alias("p2"), F.col("va").alias("v2"))
             pairs = there.unionByName(back) if pairs is None else pairs.unionByName(there).unionByName(back)
-        return KPartite(materialise(vertices, "kp-v"), materialise(pairs, "kp-l"), {i: len(d.neighbours(i)) for i in range(k)}, k)
+        kp_v, kp_l = at_once(lambda: materialise(vertices, "kp-v"), lambda: materialise(pairs, "kp-l"))
+        return KPartite(kp_v, kp_l, {i: len(d.neighbours(i)) for i in range(k)}, k)
 
     # -- step 4 -------------------------------------------------------------------------------------------------
-    def reduce_structure(self, kp: KPartite, max_rounds: int = 50) -> KPartite:
-        """Drop paths that lack a link to a path list they must join, until none does."""
-        wanted = F.element_at(F.create_map(*[F.lit(x) for i in kp.wanted.items() for x in i]), F.col("part"))
-        count = kp.vertices.count()
-        for _ in range(max_rounds):
-            seen = kp.links.groupBy(F.col("p1").alias("part"), F.col("v1").alias("vid")).agg(F.count_distinct("p2").alias("lists"))
-            kept = kp.vertices.join(seen, ["part", "vid"]).filter(F.col("lists") == wanted).drop("lists")
-            kp.vertices = materialise(kept, "kp-v")
-            for p, v in (("p1", "v1"), ("p2", "v2")):
-                kp.links = kp.links.join(kp.vertices.select(F.col("part").alias(p), F.col("vid").alias(v)), [p, v], "left_semi")
-            kp.links = materialise(kp.links, "kp-l")
-            left = kp.vertices.count()
-            kp.rounds.append({"kind": "structure", "vertices": left})
-            if left == count:
-                break
-            count = left
-        return kp
+    def _round(self, kp: KPartite, alpha: float, structure: bool, bounds: bool, changed: DataFrame | None) -> tuple[KPartite, DataFrame, int]:
+        """One round in one pass over the links. Each vertex hears from every list that it is linked to: how many lists
+        those are (structure: it needs all its neighbours), and for each list the greatest values that its links there can
+        bring, over the lists the least (bounds: the product of its slots has to reach alpha).
 
-    def message_round(self, kp: KPartite, changed: DataFrame | None = None) -> DataFrame:
-        """New perception vectors: for each list a path is linked to, the greatest values its links there can bring;
-        over the lists, the least. ``changed`` (part, vid) limits the round to paths next to those."""
+        ``changed`` (part, vid) limits the round to vertices that lost a neighbour, or have one whose slots fell, since they
+        were last looked at; all others would hear what they know already."""
         slots = [f"s{i}" for i in range(kp.k)]
-        links = kp.links
+        links, asked = kp.links, kp.vertices
         if changed is not None:
-            near = links.join(changed.select(F.col("part").alias("p2"), F.col("vid").alias("v2")), ["p2", "v2"], "left_semi").select("p1", "v1").distinct()
-            links = links.join(near, ["p1", "v1"], "left_semi")
+            links = links.join(changed.select(F.col("part").alias("p1"), F.col("vid").alias("v1")), ["p1", "v1"], "left_semi")
+            asked = asked.join(changed, ["part", "vid"], "left_semi")
         sent = links.join(kp.vertices.select(F.col("part").alias("p2"), F.col("vid").alias("v2"), *slots), ["p2", "v2"])
         best = sent.groupBy("p1", "v1", "p2").agg(*[F.max(s).alias(s) for s in slots])
-        low = best.groupBy(F.col("p1").alias("part"), F.col("v1").alias("vid")).agg(*[F.min(s).alias(f"t{i}") for i, s in enumerate(slots)])
-        out = kp.vertices.join(low, ["part", "vid"], "left")
-        new = [F.when(F.col("part") == i, F.col(s)).otherwise(F.least(F.col(s), F.coalesce(F.col(f"t{i}"), F.col(s)))).alias(s) for i, s in enumerate(slots)]
-        fell = reduce(lambda a, b: a | b, [(F.col("part") != i) & (F.coalesce(F.col(f"t{i}"), F.col(s)) < F.col(s) - EPS) for i, s in enumerate(slots)])
-        return out.select("part", "vid", "w1", "w2", *new, fell.alias("fell"))
-
-    def reduce_bounds(self, kp: KPartite, alpha: float, changed: DataFrame | None = None) -> tuple[KPartite, DataFrame, int]:
-        """One message round and the paths whose product of slots stays below alpha removed."""
-        before = kp.vertices.count()
-        moved = materialise(self.message_round(kp, changed), "kp-v")
-        kept = moved.filter(product([F.col(f"s{i}") for i in range(kp.k)]) * F.col("w2") >= alpha - EPS)
-        fell = kept.filter("fell").select("part", "vid")
-        gone = moved.join(kept, ["part", "vid"], "left_anti").select(F.col("part").alias("p2"), F.col("vid").alias("v2"))
-        beside = kp.links.join(gone, ["p2", "v2"], "left_semi").select(F.col("p1").alias("part"), F.col("v1").alias("vid"))
-        kp.vertices = kept.drop("fell")
-        for p, v in (("p1", "v1"), ("p2", "v2")):
-            kp.links = kp.links.join(kp.vertices.select(F.col("part").alias(p), F.col("vid").alias(v)), [p, v], "left_semi")
-        kp.links = materialise(kp.links, "kp-l")
-        changed = materialise(fell.unionByName(beside).distinct(), "kp-c")
-        left, moving = kp.vertices.count(), changed.count()
-        kp.rounds.append({"kind": "bounds", "vertices": left, "changed": moving})
-        return kp, changed, (before - left) + moving
-
-    def reduce_joint(self, kp: KPartite, alpha: float, mode: str = "both", incremental: bool = True, max_rounds: int = 50) -> KPartite:
-        if mode in ("structure", "both"):
-            kp = self.reduce_structure(kp, max_rounds)
+        heard = best.groupBy(F.col("p1").alias("part"), F.col("v1").alias("vid")).agg(F.count(F.lit(1)).alias("lists"), *[F.min(s).alias(f"t{i}") for i, s in enumerate(slots)])
+        rows = asked.join(heard, ["part", "vid"], "left")
+        other = lambda i, s: F.when(F.col("part") == i, F.col(s)).otherwise(F.least(F.col(s), F.coalesce(F.col(f"t{i}"), F.col(s))))
+        new = [(other(i, s) if bounds else F.col(s)).alias(s) for i, s in enumerate(slots)]
+        fell = reduce(lambda a, b: a | b, [other(i, s) < F.col(s) - EPS for i, s in enumerate(slots)]) if bounds else F.lit(False)
+        wanted = F.element_at(F.create_map(*[F.lit(x) for i in kp.wanted.items() for x in i]), F.col("part"))
+        whole = F.coalesce(F.col("lists"), F.lit(0)) == wanted if structure else F.lit(True)
+        rows = rows.select("part", "vid", "w1", "w2", *new, fell.alias("fell"), whole.alias("whole"))
+        keep = F.col("whole") & (product([F.col(s) for s in slots]) * F.col("w2") >= alpha - EPS) if bounds else F.col("whole")
+        moved = materialise(rows.withColumn("keep", keep).filter("fell or not keep" if changed is not None else "true"), "kp-round")
+        told = moved.agg(F.count(F.when(~F.col("keep"), 1)), F.count(F.when(F.col("keep") & F.col("fell"), 1))).first()
+        gone, news = moved.filter("not keep").select("part", "vid"), moved.filter("not keep or fell").select("part", "vid")
+        if told[0] or told[1]:
+            still = kp.vertices.join(moved.select("part", "vid"), ["part", "vid"], "left_anti") if changed is not None else None
+            held = moved.filter("keep").select("part", "vid", "w1", "w2", *slots)
+            beside = kp.links.join(news.select(F.col("part").alias("p2"), F.col("vid").alias("v2")), ["p2", "v2"], "left_semi").select(F.col("p1").alias("part"), F.col("v1").alias("vid")).distinct()
+            left = kp.links
+            for p, v in (("p1", "v1"), ("p2", "v2")) if told[0] else ():
+                left = left.join(gone.select(F.col("part").alias(p), F.col("vid").alias(v)), [p, v], "left_anti")
+            kp.vertices, kp.links, changed = at_once(
+                lambda: materialise(held if still is None else still.unionByName(held), "kp-v"),
+                lambda: materialise(left, "kp-l") if told[0] else kp.links,
+                lambda: materialise(beside.join(gone, ["part", "vid"], "left_anti"), "kp-c"),
+            )
+        kp.rounds.append({"kind": "both" if structure and bounds else "structure" if structure else "bounds", "removed": told[0], "fell": told[1]})
+        return kp, changed, told[0] + told[1]
+
+    def _settle(self, kp: KPartite, alpha: float, structure: bool, bounds: bool, incremental: bool, max_rounds: int) -> KPartite:
         changed = None
-        for _ in range(max_rounds if mode in ("bounds", "both") else 0):
-            before = kp.vertices.count()
-            kp, changed, moves = self.reduce_bounds(kp, alpha, changed if incremental else None)
+        for _ in range(max_rounds):
+            kp, changed, moves = self._round(kp, alpha, structure, bounds, changed if incremental else None)
             if not moves:
                 break
-            if mode == "both" and kp.vertices.count() < before:
-                kp = self.reduce_structure(kp, max_rounds)
-                if incremental:
-                    # paths beside those that structure removed must hear of it: let everyone send once
-                    changed = None
         return kp
 
+    def reduce_structure(self, kp: KPartite, max_rounds: int = 50, incremental: bool = True) -> KPartite:
+        """Drop paths that lack a link to a path list they must join, until none does."""
+        return self._settle(kp, 0.0, True, False, incremental, max_rounds)
+
+    def reduce_bounds(self, kp: KPartite, alpha: float, max_rounds: int = 50, incremental: bool = True) -> KPartite:
+        """Pass perception vectors along the links and drop paths whose bound stays below alpha, until nothing changes."""
+        return self._settle(kp, alpha, False, True, incremental, max_rounds)
+
+    def reduce_joint(self, kp: KPartite, alpha: float, mode: str = "both", incremental: bool = True, max_rounds: int = 50) -> KPartite:
+        """Both reductions in the same rounds (or one of them). Vertices only go and slots only fall, whichever comes first,
+        so that the rounds end where alternating fixpoints would."""
+        return self._settle(kp, alpha, mode in ("structure", "both"), mode in ("bounds", "both"), incremental, max_rounds)
+
     # -- step 5 -------------------------------------------------------------------------------------------------
     def assemble(self, q: Pattern, d: Decomposition, cands: list[DataFrame], links: dict, order: list[int], alpha: float, early: bool = True) -> DataFrame:
+        """The lists joined in order; ``links`` holds the pairs (va, vb) that the reduction left."""
         first = order[0]
         rows = cands[first].withColumnRenamed("vid", f"v_{first}")
         names, edges, done = list(d.paths[first]), q.path_edges(d.paths[first]), [first]
@@ -273,12 +295,16 @@ class Engine:
             cands = engine.candidates(q, d, alpha, replace(o, identity=True))
         else:
             cands = self.candidates(q, d, alpha, o)
-        sizes = [c.count() for c in cands]
+        sizes = at_once(*[c.count for c in cands])
         self._note("candidates", sizes, d, began)
         links: dict = {}
-        if len(cands) > 1 and min(sizes) and o.reduction != "none" and o.identity:
-            links = self.links(q, d, cands, alpha)
-            kp = self.reduce_joint(self.kpartite(q, d, cands, links), alpha, o.reduction, o.incremental, o.max_rounds)
+        reduction = o.reduction
+        if reduction == "auto":
+            reduction = "both" if sum(math.log10(max(s, 1)) for s in sizes) > REDUCE_FROM else "none"
+        if len(cands) > 1 and min(sizes) and reduction != "none" and o.identity:
+            kp = self.kpartite(q, d, cands, self.links(q, d, cands, alpha))
+            kp = self.reduce_joint(kp, alpha, reduction, o.incremental, o.max_rounds)
+            links = {(i, j): kp.links.filter((F.col("p1") == i) & (F.col("p2") == j)).select(F.col("v1").alias("va"), F.col("v2").alias("vb")) for i, j in d.predicates}
             left = {r["part"]: r["count"] for r in kp.vertices.groupBy("part").count().collect()}
             cands = [c.join(kp.vertices.filter(F.col("part") == i).select("vid"), "vid", "left_semi") for i, c in enumerate(cands)]
             sizes = [left.get(i, 0) for i in range(len(cands))]

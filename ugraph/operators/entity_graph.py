@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.merge import MERGES
 from ..functions.tables import materialise
-from .identity import SET_OFFSET, complete_singletons, component_marginals, component_worlds, identity_components
+from .identity import DRAWS, MOST_REFS, SET_OFFSET, complete_singletons, component_marginals, component_worlds, identity_components, marginal_on_demand
 
 
 @dataclass
@@ -37,18 +37,25 @@ class ReferenceGraph:
         return self
 
 
+TABLES = ("entities", "labels", "edges", "worlds", "marginals", "packed")
+
+
 @dataclass
 class EntityGraph:
-    """entities (entity_id, refs, comp_id, bit, mask, worlds, p_exist), labels (entity_id, label, p), edges (src, dst,
-    p, and l_src, l_dst where correlated; both directions unless directed), worlds and marginals by component."""
+    """entities (entity_id, refs, prior, comp_id, bit, mask, worlds, p_exist), labels (entity_id, label, p), edges (src,
+    dst, p, and l_src, l_dst where correlated; both directions unless directed), worlds and marginals by component, and
+    packed (comp_id and its worlds in a row)."""
 
     entities: DataFrame
     labels: DataFrame
     edges: DataFrame
     worlds: DataFrame
     marginals: DataFrame
+    packed: DataFrame
     directed: bool = False
     conditional: bool = False
+    label_merge: str = "average"
+    edge_merge: str = "average"
 
     def nodes(self) -> DataFrame:
         """Possible labels of entities with what a match needs of each: e, label, q, c, m, w."""
@@ -62,12 +69,12 @@ class EntityGraph:
         self.marginals.createOrReplaceTempView(f"{prefix}marginals")
 
     def save(self, path: str) -> None:
-        for name in ("entities", "labels", "edges", "worlds", "marginals"):
+        for name in TABLES:
             getattr(self, name).write.parquet(f"{path}/{name}")
 
     @staticmethod
     def load(spark, path: str, directed: bool = False, conditional: bool = False) -> "EntityGraph":
-        return EntityGraph(*(spark.read.parquet(f"{path}/{n}") for n in ("entities", "labels", "edges", "worlds", "marginals")), directed, conditional)
+        return EntityGraph(*(spark.read.parquet(f"{path}/{n}") for n in TABLES), directed, conditional)
 
 
 def existence_factors(sets: DataFrame, weighting: str = "per_reference") -> DataFrame:
@@ -120,7 +127,7 @@ def _merged(rg: ReferenceGraph, edges: DataFrame, extra: list[str], how: str) ->
     return out.join(_conflicts(member), ["src", "dst"], "left_anti")
 
 
-def build_entity_graph(rg: ReferenceGraph, label_merge: str = "average", edge_merge: str = "average", missing: str = "zero", prior: str = "balanced", weighting: str = "per_reference", draws: int = 0) -> EntityGraph:
+def build_entity_graph(rg: ReferenceGraph, label_merge: str = "average", edge_merge: str = "average", missing: str = "zero", prior: str = "balanced", weighting: str = "per_reference", most_refs: int = MOST_REFS, draws: int = DRAWS) -> EntityGraph:
     """All possible entities with their labels and edges, and the joint existence of those that compete."""
     refs = rg.labels.select("ref_id").distinct()
     single = complete_singletons(rg.sets, refs, prior).join(identity_components(rg.sets), "ref_id", "left")
@@ -131,16 +138,14 @@ def build_entity_graph(rg: ReferenceGraph, label_merge: str = "average", edge_me
     trivial = single.filter("comp_id is null").withColumn("bit", F.lit(0))
     bits = Window.partitionBy("comp_id").orderBy("entity_id")
     tied = materialise(single.filter("comp_id is not null").unionByName(multi).withColumn("bit", (F.row_number().over(bits) - 1).cast("int")), "tied")
-    worlds = materialise(component_worlds(tied, weighting, draws=draws), "worlds")
+    tied = tied.withColumn("mask", F.expr("shiftleft(1L, bit)"))
+    worlds = materialise(component_worlds(tied, weighting, most_refs, draws), "worlds")
     marginals = materialise(component_marginals(worlds), "marginals")
-    packed = worlds.groupBy("comp_id").agg(F.collect_list(F.struct("mask", "p")).alias("worlds"))
-    mask = F.expr("shiftleft(1L, bit)")
-    tied = tied.withColumn("mask", mask).join(packed, "comp_id")
-    own = marginals.select("comp_id", "mask", F.col("p").alias("p_exist"))
-    tied = tied.join(own, ["comp_id", "mask"])
+    packed = materialise(worlds.groupBy("comp_id").agg(F.collect_list(F.struct("mask", "p")).alias("worlds")), "packed")
+    tied = tied.join(packed, "comp_id").withColumn("p_exist", marginal_on_demand(F.col("worlds"), F.col("mask")))
     trivial = trivial.withColumn("mask", F.lit(0).cast("long")).withColumn("worlds", F.lit(None).cast("array<struct<mask:bigint,p:double>>")).withColumn("p_exist", F.lit(1.0))
-    columns = ["entity_id", "refs", "comp_id", "bit", "mask", "worlds", "p_exist"]
-    entities = materialise(tied.select(columns).unionByName(trivial.select(columns)), "entities")
+    columns = ["entity_id", "refs", F.col("p").alias("prior"), "comp_id", "bit", "mask", "worlds", "p_exist"]
+    entities = materialise(tied.select(*columns).unionByName(trivial.select(*columns)), "entities")
     labels = materialise(merge_labels(rg, label_merge), "labels")
     edges = merge_edges_conditional(rg, edge_merge) if rg.cpt is not None else merge_edges(rg, edge_merge, missing)
-    return EntityGraph(entities, labels, materialise(edges, "edges"), worlds, marginals, rg.directed, rg.cpt is not None)
+    return EntityGraph(entities, labels, materialise(edges, "edges"), worlds, marginals, packed, rg.directed, rg.cpt is not None, label_merge, edge_merge)

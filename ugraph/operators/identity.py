@@ -10,6 +10,12 @@ from pyspark.sql import functions as F
 from ..functions.tables import materialise
 
 SET_OFFSET = 1_000_000_000
+#: References of a component up to which all its worlds are listed; beyond, this many are drawn.
+MOST_REFS, DRAWS = 20, 4096
+#: Entities of a component: a world is a mask of 63 bits.
+MOST_ENTITIES = 63
+#: Entities of a world up to which marginals of all its subsets are tabled; others are taken from the worlds on demand.
+MOST_TABLED = 14
 
 
 def balanced_prior(p: Column, m: Column) -> Column:
@@ -77,9 +83,11 @@ def _worlds(weighting: str, most: int, draws: int, seed: int):
         comp = int(pdf.comp_id.iloc[0])
         ents = sorted((int(e), frozenset(int(x) for x in m), float(p), int(b)) for e, m, p, b in zip(pdf.entity_id, pdf.refs, pdf.p, pdf.bit, strict=True))
         refs = sorted({r for _, m, _, _ in ents for r in m})
+        if len(ents) > MOST_ENTITIES:
+            raise ValueError(f"component {comp} has {len(ents)} entities; worlds hold {MOST_ENTITIES} at most: drop its least probable sets")
         info = {e: (p ** (len(m) if weighting == "per_reference" else 1), 1 << b) for e, m, p, b in ents}
-        if draws and len(refs) > most:
-            return _sampled(comp, refs, ents, info, draws, seed)
+        if len(refs) > most:
+            return _sampled(comp, refs, ents, info, draws, seed)[["comp_id", "mask", "p"]]
         rows = []
         for cover in exact_covers(refs, [(e, m) for e, m, _, _ in ents]):
             w, mask = 1.0, 0
@@ -96,9 +104,11 @@ def _worlds(weighting: str, most: int, draws: int, seed: int):
 
 
 def _sampled(comp, refs, ents, info, draws, seed):
-    """Worlds by importance sampling: references are covered in order, each by a set drawn by its weight."""
+    """Worlds by importance sampling: references are covered in order, each by a set drawn by its weight. v is a world's
+    part in the variance of a marginal's estimate."""
     rng = np.random.default_rng((seed, comp % (1 << 32)))
     found: dict[int, float] = {}
+    square: dict[int, float] = {}
     for _ in range(draws):
         open_, mask, ratio = set(refs), 0, 1.0
         while open_:
@@ -114,21 +124,45 @@ def _sampled(comp, refs, ents, info, draws, seed):
             open_ -= m
         if ratio:
             found[mask] = found.get(mask, 0.0) + ratio
+            square[mask] = square.get(mask, 0.0) + ratio * ratio
     z = sum(found.values())
-    return pd.DataFrame([(comp, m, w / z) for m, w in sorted(found.items())], columns=["comp_id", "mask", "p"])
+    if z <= 0:
+        raise ValueError(f"component {comp}: no legal world in {draws} draws")
+    return pd.DataFrame([(comp, m, w / z, square[m] / z / z) for m, w in sorted(found.items())], columns=["comp_id", "mask", "p", "v"])
 
 
-def component_worlds(entities: DataFrame, weighting: str = "per_reference", most_refs: int = 20, draws: int = 0, seed: int = 7) -> DataFrame:
+def component_worlds(entities: DataFrame, weighting: str = "per_reference", most_refs: int = MOST_REFS, draws: int = DRAWS, seed: int = 7) -> DataFrame:
     """comp_id, mask, p of all legal worlds: entities (comp_id, entity_id, refs, p, bit) that cover each reference
-    once. Components of more than ``most_refs`` references are sampled where ``draws`` is set."""
+    once. Components of more than ``most_refs`` references get ``draws`` drawn worlds instead."""
     rows = entities.filter("comp_id is not null").select("comp_id", "entity_id", "refs", "p", "bit")
     return rows.groupBy("comp_id").applyInPandas(_worlds(weighting, most_refs, draws, seed), WORLDS)
 
 
+def sampled_marginals(entities: DataFrame, draws: int = DRAWS, weighting: str = "per_reference", seed: int = 7) -> DataFrame:
+    """comp_id, entity_id, p, se: the probability that an entity exists, from drawn worlds, and its standard error."""
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        ents = sorted((int(e), frozenset(int(x) for x in m), float(p), int(b)) for e, m, p, b in zip(pdf.entity_id, pdf.refs, pdf.p, pdf.bit, strict=True))
+        info = {e: (p ** (len(m) if weighting == "per_reference" else 1), 1 << b) for e, m, p, b in ents}
+        comp = int(pdf.comp_id.iloc[0])
+        worlds = _sampled(comp, sorted({r for _, m, _, _ in ents for r in m}), ents, info, draws, seed)
+        rows = []
+        for e, _, _, b in ents:
+            has = (worlds["mask"].to_numpy() >> b) & 1 == 1
+            p = float(worlds.p[has].sum())
+            rows.append((comp, e, p, float(np.sqrt((worlds.v * np.where(has, 1 - p, p) ** 2).sum()))))
+        return pd.DataFrame(rows, columns=["comp_id", "entity_id", "p", "se"])
+
+    rows = entities.filter("comp_id is not null").select("comp_id", "entity_id", "refs", "p", "bit")
+    return rows.groupBy("comp_id").applyInPandas(run, "comp_id long, entity_id long, p double, se double")
+
+
 def _subsets(pdf: pd.DataFrame) -> pd.DataFrame:
     total: dict[int, float] = {}
     for mask, p in zip(pdf["mask"], pdf["p"], strict=True):
         mask = sub = int(mask)
+        if mask.bit_count() > MOST_TABLED:
+            raise ValueError(f"component {int(pdf.comp_id.iloc[0])}: worlds of over {MOST_TABLED} entities have no table of marginals; take them on demand")
         while sub:
             total[sub] = total.get(sub, 0.0) + float(p)
             sub = (sub - 1) & mask
@@ -137,8 +171,10 @@ def _subsets(pdf: pd.DataFrame) -> pd.DataFrame:
 
 
 def component_marginals(worlds: DataFrame) -> DataFrame:
-    """comp_id, mask, p: the probability that all entities of the mask exist together, for every possible mask."""
-    return worlds.groupBy("comp_id").applyInPandas(_subsets, WORLDS)
+    """comp_id, mask, p: the probability that all entities of the mask exist together, for every possible mask. Components
+    with a world of over MOST_TABLED entities are left out: they have too many masks, and ``marginal_on_demand`` serves them."""
+    small = worlds.groupBy("comp_id").agg(F.max(F.bit_count("mask")).alias("n")).filter(F.col("n") <= MOST_TABLED).select("comp_id")
+    return worlds.join(small, "comp_id").groupBy("comp_id").applyInPandas(_subsets, WORLDS)
 
 
 def marginal_on_demand(worlds: Column, mask: Column) -> Column:
@@ -146,6 +182,16 @@ def marginal_on_demand(worlds: Column, mask: Column) -> Column:
     return F.aggregate(F.filter(worlds, lambda w: w["mask"].bitwiseAND(mask) == mask), F.lit(0.0), lambda a, w: a + w["p"])
 
 
+def existence_probability(entities: DataFrame, wanted: DataFrame) -> DataFrame:
+    """``wanted`` (set_key, entity_id) to set_key, p: the probability that a set's entities exist together; components
+    multiply. 0 where one of them is no entity."""
+    rows = wanted.distinct().join(entities.select("entity_id", "comp_id", "mask", "worlds"), "entity_id", "left")
+    known = F.col("mask").isNotNull()
+    per = rows.groupBy("set_key", "comp_id").agg(F.bit_or("mask").alias("mask"), F.first("worlds").alias("worlds"), F.min(known).alias("known"))
+    p = F.when(~F.col("known"), 0.0).when(F.col("comp_id").isNull(), 1.0).otherwise(marginal_on_demand(F.col("worlds"), F.col("mask")))
+    return per.groupBy("set_key").agg(F.product(p).alias("p"))
+
+
 def pn_expr(names: list[str]) -> Column:
     """Probability that the nodes exist together. Node x has columns c_x (component or null), m_x (its bit) and w_x
     (its component's worlds). Components multiply; inside one, the joint marginal is taken."""

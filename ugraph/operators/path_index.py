@@ -12,7 +12,20 @@ from ..functions.tables import EPS, materialise
 from .entity_graph import EntityGraph
 from .identity import pn_expr
 
-PER_NODE = ("n", "l", "q", "c", "m", "w")
+#: What the index keeps of each node: entity, label, label probability, component, mask. The worlds of components, which
+#: scoring needs, are joined from their own small table.
+PER_NODE = ("n", "l", "q", "c", "m")
+#: Paths of one index file, about.
+FILE_ROWS = 250_000
+
+
+def with_worlds(df: DataFrame, eg: EntityGraph, names: list[str]) -> DataFrame:
+    """``df`` with w_x, the worlds of node x's component, for each name. Nodes without one get keys of their own, so that
+    they don't meet in one place."""
+    for x in names:
+        key = F.coalesce(F.col(f"c_{x}"), -1 - F.pmod(F.col(f"n_{x}"), F.lit(4096)))
+        df = df.withColumn("comp_key", key).join(eg.packed.select(F.col("comp_id").alias("comp_key"), F.col("worlds").alias(f"w_{x}")), "comp_key", "left").drop("comp_key")
+    return df
 
 
 def _node(eg: EntityGraph, i, label: str | None = None) -> DataFrame:
@@ -35,7 +48,7 @@ def extend_paths(paths: DataFrame, eg: EntityGraph, length: int, beta: float, la
     i, j = length, length + 1
     edges = eg.edges.select(F.col("src").alias(f"n_{i}"), F.col("dst").alias(f"n_{j}"), F.col("p").alias(f"e_{i}"), *([F.col("l_src").alias(f"l_{i}"), F.col("l_dst").alias(f"l_{j}")] if eg.conditional else []))
     far = _node(eg, j, label)
-    out = paths.drop("pn", "p").join(edges, [f"n_{i}", f"l_{i}"] if eg.conditional else [f"n_{i}"])
+    out = with_worlds(paths.drop("pn", "p", *[f"w_{k}" for k in range(i + 1)]), eg, [str(k) for k in range(i + 1)]).join(edges, [f"n_{i}", f"l_{i}"] if eg.conditional else [f"n_{i}"])
     for k in range(i):
         out = out.filter(F.col(f"n_{k}") != F.col(f"n_{j}"))
     out = out.join(far, [f"n_{j}", f"l_{j}"] if eg.conditional else [f"n_{j}"])
@@ -79,6 +92,12 @@ class PathIndex:
         length = len(labels) - 1
         if alpha < self.beta - EPS or length > self.L:
             return on_demand(self.eg, labels, alpha)
+        return with_worlds(self.stored(labels, alpha), self.eg, [str(i) for i in range(length + 1)])
+
+    def stored(self, labels: list[str], alpha: float) -> DataFrame:
+        """The indexed paths, without worlds. Files and row groups go by label sequence and probability, so that the filter
+        on both leaves the others unread."""
+        length = len(labels) - 1
         key, back = "|".join(labels), "|".join(reversed(labels))
         stored = self.paths[length].filter((F.col("p") >= alpha - EPS) & (F.col("bucket") >= _bucket(alpha, self.beta, self.gamma)))
         found = stored.filter(F.col("label_key") == (key if self.eg.directed else min(key, back))).select(columns(length))
@@ -97,9 +116,9 @@ class PathIndex:
 
     def save(self, path: str) -> None:
         for n, df in self.paths.items():
-            df.repartition("label_key").sortWithinPartitions("label_key", "p").write.parquet(f"{path}/len={n}")
+            _laid_out(df, df.count()).write.parquet(f"{path}/len={n}")
         self.hist.write.parquet(f"{path}/hist")
-        note = {"L": self.L, "beta": self.beta, "gamma": self.gamma, "points": list(self.points), "directed": self.eg.directed}
+        note = {"label_merge": self.eg.label_merge, "edge_merge": self.eg.edge_merge, "L": self.L, "beta": self.beta, "gamma": self.gamma, "points": list(self.points), "directed": self.eg.directed}
         spark = self.hist.sparkSession
         spark.createDataFrame([(json.dumps(note),)], "note string").coalesce(1).write.text(f"{path}/manifest")
 
@@ -110,6 +129,11 @@ class PathIndex:
         return PathIndex(paths, eg, note["L"], note["beta"], note["gamma"], tuple(note["points"]), spark.read.parquet(f"{path}/hist"))
 
 
+def _laid_out(rows: DataFrame, n: int) -> DataFrame:
+    """Rows in ranges of (label_key, p), a file each."""
+    return rows.repartitionByRange(max(1, -(-n // FILE_ROWS)), "label_key", "p").sortWithinPartitions("label_key", "p")
+
+
 def _bucket(p: float, beta: float, gamma: float) -> int:
     return int(round((p - beta) / gamma, 9) // 1)
 
@@ -120,7 +144,7 @@ def build_path_index(eg: EntityGraph, L: int = 3, beta: float = 0.1, gamma: floa
     for n in range(L + 1):
         level = materialise(level.select(columns(n)), f"paths-{n}")
         rows = canonical(level, n, eg.directed).withColumn("bucket", bucket_of(F.col("p"), beta, gamma))
-        paths[n] = materialise(rows.sortWithinPartitions("label_key", "p"), f"index-{n}")
+        paths[n] = materialise(_laid_out(rows, level.count()), f"index-{n}")
         if n < L:
             level = extend_paths(level, eg, n, beta)
     idx = PathIndex(paths, eg, L, beta, gamma)
@@ -133,7 +157,7 @@ def on_demand(eg: EntityGraph, labels: list[str], alpha: float) -> DataFrame:
     level = seed_paths(eg, alpha, labels[0])
     for i, label in enumerate(labels[1:]):
         level = extend_paths(level, eg, i, alpha, label)
-    return level.select(columns(len(labels) - 1))
+    return with_worlds(level.select(columns(len(labels) - 1)), eg, [str(i) for i in range(len(labels))])
 
 
 def path_histogram(idx: PathIndex) -> DataFrame:

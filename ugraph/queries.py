@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 from collections.abc import Callable
 
 import numpy as np
@@ -9,11 +10,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .functions.tables import EPS, u_sql
+from .functions.tables import EPS, materialise, u_sql
 from .operators import baselines, path_index
 from .operators.engine import Engine, MatchOptions
 from .operators.entity_graph import build_entity_graph, merge_edges, merge_edges_conditional, merge_labels
 from .operators.identity import complete_singletons, identity_components
+from .plans.decompose import cover_of
 from .plans.pattern import Pattern, random_pattern, shape
 from .sources import testgraphs as tg
 from .streaming.edges import pair_counts, windowed_users
@@ -165,7 +167,7 @@ def entity_graph_edges(spark, sf_dir):
     return _six(engine(spark, sf_dir).eg.edges.select("src", "dst", "p"), "p")
 
 
-@query(costar("SELECT (SELECT count(*) FROM entities) AS n_entities, (SELECT count(comp_id) FROM entities) AS n_identity, count(*) AS n_edges, round(sum(p), 4) AS edge_mass FROM entity_edges"))
+@query(costar("SELECT (SELECT count(*) FROM entities) AS n_entities, (SELECT count(comp_id) FROM entities) AS n_identity, count(*) AS n_edges, round(sum(p), 4) AS edge_mass, round(count(*)::DOUBLE / (SELECT count(*) FROM entities), 6) AS mean_degree, round(count(CASE WHEN p < 1 THEN 1 END)::DOUBLE / count(*), 6) AS uncertain_edges, round((SELECT count(comp_id)::DOUBLE / count(*) FROM entities), 6) AS uncertain_entities FROM entity_edges"))
 def graph_stats(spark, sf_dir):
     from .metrics import graph_stats as stats
 
@@ -257,12 +259,11 @@ def path_histogram(spark, sf_dir):
 
 @query(_hist_sql("SELECT a.label_key, round(CASE WHEN a.n_paths > 0 AND b.n_paths > 0 THEN pow(CAST(a.n_paths AS DOUBLE), 0.5) * pow(CAST(b.n_paths AS DOUBLE), 0.5) ELSE (a.n_paths + b.n_paths) / 2.0 END, 4) AS estimate FROM hist a JOIN hist b ON a.label_key = b.label_key AND abs(a.point - 0.5) < 0.01 AND abs(b.point - 0.6) < 0.01"))
 def count_estimate(spark, sf_dir):
-    h = engine(spark, sf_dir).idx.hist.filter(F.size(F.split("label_key", "[|]")) == 2)
-    at = lambda x, n: h.filter(F.abs(F.col("point") - x) < 0.01).select("label_key", F.col("n_paths").cast("double").alias(n))
-    both = at(0.5, "a").join(at(0.6, "b"), "label_key")
-    t = F.lit(0.5)  # 0.55 lies halfway between the points
-    est = F.when((F.col("a") > 0) & (F.col("b") > 0), F.pow("a", 1 - t) * F.pow("b", t)).otherwise(F.col("a") + (F.col("b") - F.col("a")) * t)
-    return both.select("label_key", F.round(est, 4).alias("estimate"))
+    idx = engine(spark, sf_dir).idx
+    keys = ["|".join(sorted(x)) for x in itertools.combinations_with_replacement(PART_LABELS, 2)]
+    known = path_index.load_counts(idx, keys)
+    # 0.55 lies halfway between two points
+    return spark.createDataFrame([(k, round(path_index.estimate_count(v, 0.55), 4)) for k, v in known.items()], "label_key string, estimate double")
 
 
 # -- candidates -------------------------------------------------------------------------------------------------------
@@ -316,11 +317,15 @@ def chord_probability(spark, sf_dir):
 
 @query(costar(baselines.direct_sql_text(WEDGE, ALPHA)))
 def join_links(spark, sf_dir):
-    """Pairs of joinable candidates of two edges: the wedges of probability alpha."""
-    e = engine(spark, sf_dir)
-    a, b = (e.fetch(WEDGE, p, ALPHA) for p in (("x0", "x1"), ("x1", "x2")))
-    rows, _, _ = e._joined(WEDGE, a.withColumn("va", F.lit(0)), ["x0", "x1"], [("x0", "x1")], b.withColumn("vb", F.lit(0)), ("x1", "x2"), ALPHA)
-    return rows.select(*[F.col(f"n_{n}").alias(n) for n in ("x0", "x1", "x2")], F.round(F.col("ple") * F.col("pn"), 6).alias("p"))
+    """Pairs of joinable candidates of two edges, from the engine's own links: the wedges of probability alpha."""
+    e, d = engine(spark, sf_dir), cover_of(WEDGE, [("x0", "x1"), ("x1", "x2")])
+    a, b = (e.fetch(WEDGE, p, ALPHA).withColumn("vid", F.monotonically_increasing_id()) for p in d.paths)
+    a, b = materialise(a, "cand-0"), materialise(b, "cand-1")
+    links = e.links(WEDGE, d, [a, b], ALPHA)[0, 1]
+    ends = a.select(F.col("vid").alias("va"), F.col("n_x0").alias("x0"), F.col("n_x1").alias("x1"))
+    rows = links.join(ends, "va").join(b.select(F.col("vid").alias("vb"), F.col("n_x2").alias("x2")), "vb")
+    whole = e.joinable(WEDGE, d, [a, b], 0, 1, ALPHA).select("va", "vb", F.round(F.col("ple") * F.col("pn"), 6).alias("p"))
+    return rows.join(whole, ["va", "vb"]).select("x0", "x1", "x2", "p")
 
 
 def _reduced(spark, sf_dir, mode):
