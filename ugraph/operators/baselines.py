@@ -15,26 +15,27 @@ from .entity_graph import EntityGraph
 from .identity import exact_covers, pn_expr
 
 
-def direct_sql_text(q: Pattern, alpha: float, prefix: str = "", identity: bool = True, conditional: bool = False, limit: int | None = None) -> str:
-    """One statement over entity_labels, entity_edges, entities and marginals; runs in Spark and elsewhere."""
+def direct_sql_text(q: Pattern, alpha: float, prefix: str = "", identity: bool = True, conditional: bool = False, limit: int | None = None, parts: bool = False) -> str:
+    """One statement over entity_labels, entity_edges, entities and marginals; runs in Spark and elsewhere. ``parts``: with
+    the factors of every match (q_node, e_edge, ple, pn), nothing rounded."""
     names = sorted(q.nodes)
     source = [f"{prefix}entity_labels l_{n} JOIN {prefix}entities t_{n} ON t_{n}.entity_id = l_{n}.entity_id AND l_{n}.label = '{q.nodes[n]}'" for n in names]
     edges = []
     for i, (a, b) in enumerate(q.edges):
         more = f" AND e{i}.l_src = '{q.nodes[a]}' AND e{i}.l_dst = '{q.nodes[b]}'" if conditional else ""
         edges.append((f"{prefix}entity_edges e{i}", f"e{i}.src = l_{a}.entity_id AND e{i}.dst = l_{b}.entity_id{more}"))
-    parts, placed, text = list(edges), {names[0]}, source[0]
+    joins, placed, text = list(edges), {names[0]}, source[0]
     todo = list(enumerate(q.edges))
     while todo:
         k, (i, (a, b)) = next((k, x) for k, x in enumerate(todo) if placed & set(x[1]))
         todo.pop(k)
         more = f" AND e{i}.l_src = '{q.nodes[a]}' AND e{i}.l_dst = '{q.nodes[b]}'" if conditional else ""
         if {a, b} <= placed:
-            text += f" JOIN {parts[i][0]} ON {parts[i][1]}"
+            text += f" JOIN {joins[i][0]} ON {joins[i][1]}"
         else:
             have, new = (a, b) if a in placed else (b, a)
             ends = ("src", "dst") if have == a else ("dst", "src")
-            text += f" JOIN {parts[i][0]} ON e{i}.{ends[0]} = l_{have}.entity_id{more} JOIN {prefix}entity_labels l_{new} ON l_{new}.entity_id = e{i}.{ends[1]} AND l_{new}.label = '{q.nodes[new]}' JOIN {prefix}entities t_{new} ON t_{new}.entity_id = l_{new}.entity_id"
+            text += f" JOIN {joins[i][0]} ON e{i}.{ends[0]} = l_{have}.entity_id{more} JOIN {prefix}entity_labels l_{new} ON l_{new}.entity_id = e{i}.{ends[1]} AND l_{new}.label = '{q.nodes[new]}' JOIN {prefix}entities t_{new} ON t_{new}.entity_id = l_{new}.entity_id"
             placed.add(new)
     factors = []
     for i, n in enumerate(names):
@@ -45,6 +46,9 @@ def direct_sql_text(q: Pattern, alpha: float, prefix: str = "", identity: bool =
     ple = " * ".join([f"l_{n}.p" for n in names] + [f"e{i}.p" for i in range(len(q.edges))])
     differ = " AND ".join(f"l_{a}.entity_id <> l_{b}.entity_id" for a, b in itertools.combinations(names, 2)) or "true"
     picked = ", ".join(f"l_{n}.entity_id AS {n}" for n in names)
+    if parts:
+        picked += "".join(f", l_{n}.p AS q_{n}" for n in names) + "".join(f", e{i}.p AS e_{a}_{b}" for i, (a, b) in enumerate(q.edges))
+        return f"SELECT * FROM (SELECT {picked}, {ple} AS ple, {' * '.join(factors)} AS pn FROM {text} WHERE {differ}) a WHERE ple * pn >= CAST({alpha} AS DOUBLE) - CAST({EPS} AS DOUBLE)"
     inner = f"SELECT {picked}, {ple} AS ple, {' * '.join(factors)} AS pn FROM {text} WHERE {differ}"
     p = "ple * pn" if identity else "CASE WHEN pn > 0 THEN ple ELSE 0 END"
     tail = f" ORDER BY p DESC, {', '.join(names)} LIMIT {limit}" if limit else ""
@@ -92,7 +96,7 @@ def node_at_a_time(eg: EntityGraph, engine: Engine, q: Pattern, alpha: float, ea
 
 
 def random_decomposition(engine: Engine, q: Pattern, alpha: float, seed: int = 1) -> DataFrame:
-    return engine.match(q, alpha, MatchOptions(decomposition="random", order="matches", seed=seed))
+    return engine.match(q, alpha, MatchOptions(decomposition="random", order="matches", seed=seed, reduction="both"))
 
 
 def no_reduction(engine: Engine, q: Pattern, alpha: float) -> DataFrame:

@@ -14,9 +14,12 @@ from .functions.tables import EPS, materialise, u_sql
 from .operators import baselines, path_index
 from .operators.engine import Engine, MatchOptions
 from .operators.entity_graph import build_entity_graph, merge_edges, merge_edges_conditional, merge_labels
-from .operators.identity import complete_singletons, identity_components
+from .operators.identity import SET_OFFSET, complete_singletons, identity_components
+from .operators.identity import existence_probability as joint_existence
+from .operators.worlds import mapping_probability, worlds_probability
 from .plans.decompose import cover_of
 from .plans.pattern import Pattern, random_pattern, shape
+from .reduction_sql import reduction_ctes
 from .sources import testgraphs as tg
 from .streaming.edges import pair_counts, windowed_users
 from .workloads import PART_LABELS
@@ -29,11 +32,11 @@ SQL: dict[str, str] = {}
 _ENGINES: dict[tuple, Engine] = {}
 
 
-def engine(spark: SparkSession, sf_dir: str, kind: str = "costar", L: int = 2, beta: float = BETA) -> Engine:
+def engine(spark: SparkSession, sf_dir: str, kind: str = "costar", L: int = 2, beta: float = BETA, share: float = 0.2) -> Engine:
     """The graph, index and context of a derived graph; built once in a session, from written tables."""
-    key = (spark.sparkContext.applicationId, sf_dir, kind, L, beta)
+    key = (spark.sparkContext.applicationId, sf_dir, kind, L, beta, share)
     if key not in _ENGINES:
-        rg = {"costar": tg.costar, "directed": lambda s, d: tg.costar(s, d, directed=True), "collab": tg.collab, "tiny": lambda s, d: tg.tiny(s)}[kind](spark, sf_dir)
+        rg = {"costar": lambda s, d: tg.costar(s, d, share), "directed": lambda s, d: tg.costar(s, d, directed=True), "collab": tg.collab, "tiny": lambda s, d: tg.tiny(s)}[kind](spark, sf_dir)
         eg = build_entity_graph(rg)
         _ENGINES[key] = Engine(eg, path_index.build_path_index(eg, L, beta, GAMMA))
     return _ENGINES[key]
@@ -174,6 +177,30 @@ def graph_stats(spark, sf_dir):
     return stats(engine(spark, sf_dir).eg)
 
 
+@query(costar("SELECT CAST(comp_id % 7 AS BIGINT) AS set_key, round(product(k.p), 6) AS p FROM (SELECT t.comp_id, CAST(sum(t.mask) AS BIGINT) AS mask FROM tied t WHERE t.entity_id < 1000000000 GROUP BY t.comp_id) s JOIN marginals k USING (comp_id, mask) GROUP BY 1"))
+def existence_probability(spark, sf_dir):
+    """That no set of a seventh of the components is one entity: a product over components."""
+    e = engine(spark, sf_dir).eg.entities
+    wanted = e.filter(F.col("comp_id").isNotNull() & (F.col("entity_id") < SET_OFFSET)).select((F.col("comp_id") % 7).alias("set_key"), "entity_id")
+    return _six(joint_existence(e, wanted), "p")
+
+
+@query("SELECT * FROM (VALUES ('merged', 0.2025::DOUBLE), ('apart', 0.0025), ('impossible', 0.0)) t(world, p)")
+def world_probability(spark, sf_dir):
+    """Three worlds of the expert example: references 3 and 4 as one entity, apart, and both at once."""
+    one = SET_OFFSET + 3
+    nodes = [("merged", 1, "i"), ("merged", 2, "a"), ("merged", one, "r"), ("apart", 1, "r"), ("apart", 2, "a"), ("apart", 3, "r"), ("apart", 4, "i"), ("impossible", 1, "i"), ("impossible", 2, "a"), ("impossible", 3, "r"), ("impossible", one, "i")]
+    edges = [("merged", 1, 2), ("merged", 2, one), ("apart", 2, 3), ("impossible", 1, 2)]
+    return _six(worlds_probability(engine(spark, sf_dir, "tiny", 2, 0.05).eg, spark.createDataFrame(nodes, "world string, entity_id long, label string"), spark.createDataFrame(edges, "world string, src long, dst long")), "p")
+
+
+@query(costar(baselines.direct_sql_text(shape("triangle", PART_LABELS[:3]), 0.3)))
+def match_probability(spark, sf_dir):
+    """The probability of given mappings, taken from the tables alone."""
+    e, q = engine(spark, sf_dir), shape("triangle", PART_LABELS[:3])
+    return _rows(mapping_probability(e.eg, e.match(q, 0.3).select(*sorted(q.nodes)), q), q)
+
+
 # -- context and index ------------------------------------------------------------------------------------------------
 CONTEXT = "context AS (SELECT e.src AS e, l.label, count(*) AS n, max(e.p) AS ppu, max(e.p * l.p) AS fpu FROM entity_edges e JOIN entity_labels l ON l.entity_id = e.dst GROUP BY e.src, l.label)"
 
@@ -328,18 +355,35 @@ def join_links(spark, sf_dir):
     return rows.join(whole, ["va", "vb"]).select("x0", "x1", "x2", "p")
 
 
-def _reduced(spark, sf_dir, mode):
-    e = engine(spark, sf_dir)
-    o = MatchOptions(L=1)
-    d = e.plan(TRIANGLE, ALPHA, o)
-    cands = e.candidates(TRIANGLE, d, ALPHA, o)
-    kp = e.kpartite(TRIANGLE, d, cands, e.links(TRIANGLE, d, cands, ALPHA))
-    kp = e.reduce_joint(kp, ALPHA, mode)
+CYCLE5 = shape("cycle5", PART_LABELS)
+#: Covers of the 5-cycle by paths of at most 1, 2 and 3 edges.
+CYCLE_PATHS = {
+    1: (("x0", "x1"), ("x1", "x2"), ("x2", "x3"), ("x3", "x4"), ("x0", "x4")), 2: (("x0", "x1", "x2"), ("x2", "x3", "x4"), ("x0", "x4")), 3: (("x0", "x1", "x2", "x3"), ("x0", "x4", "x3")),
+}
+TRIANGLE_PATHS = (("x0", "x1"), ("x0", "x2"), ("x1", "x2"))
+MODES = {"structure": (True, False), "bounds": (False, True), "both": (True, True)}
+
+
+def _reduced(spark, sf_dir, q, paths, alpha, mode):
+    e, o = engine(spark, sf_dir), MatchOptions(paths=paths)
+    d = e.plan(q, alpha, o)
+    cands = e.candidates(q, d, alpha, o)
+    kp = e.reduce_joint(e.kpartite(q, d, cands, e.links(q, d, cands, alpha)), alpha, mode)
     return kp.vertices.groupBy("part").agg(F.count(F.lit(1)).alias("n_paths"))
 
 
-QUERIES["reduce_structure_fixpoint"] = lambda spark, sf_dir: _reduced(spark, sf_dir, "structure")
-QUERIES["reduce_joint"] = lambda spark, sf_dir: _reduced(spark, sf_dir, "both")
+def _reduced_sql(q, paths, alpha, mode):
+    d = cover_of(q, list(paths))
+    counts = " UNION ALL ".join(f"SELECT CAST({i} AS INTEGER) AS part, count(*) AS n_paths FROM r_{i}" for i in range(len(paths)))
+    return costar(f", {reduction_ctes(q, d, alpha, CONTEXT, {'r': MODES[mode]})} SELECT * FROM ({counts}) WHERE n_paths > 0").replace(" , context", ", context")
+
+
+for _name, _q, _paths, _alpha, _mode in (
+    ("reduce_structure_fixpoint", TRIANGLE, TRIANGLE_PATHS, 0.3, "structure"), ("reduce_joint", TRIANGLE, TRIANGLE_PATHS, 0.3, "both"), ("reduce_structure_cycle", CYCLE5, CYCLE_PATHS[1], 0.3, "structure"),
+    ("reduce_bounds_cycle", CYCLE5, CYCLE_PATHS[1], 0.3, "bounds"), ("reduce_joint_cycle", CYCLE5, CYCLE_PATHS[2], 0.3, "both"),
+):
+    QUERIES[_name] = lambda spark, sf_dir, a=(_q, _paths, _alpha, _mode): _reduced(spark, sf_dir, *a)
+    SQL[_name] = _reduced_sql(_q, _paths, _alpha, _mode)
 
 
 # -- matches and baselines ------------------------------------------------------------------------------------------
@@ -381,31 +425,127 @@ def topk_matches(spark, sf_dir):
 
 
 def _baseline(name, run, **kw):
-    QUERIES[f"baseline_{name}"] = lambda spark, sf_dir: _rows(run(engine(spark, sf_dir)), WEDGE)
-    SQL[f"baseline_{name}"] = costar(baselines.direct_sql_text(WEDGE, ALPHA, **kw))
+    """A baseline on the wedge and on three patterns with cycles."""
+    for more, (q, alpha) in {"": (WEDGE, ALPHA), "_triangle": MATCHES["triangle"], "_square": MATCHES["square"], "_cycle5": MATCHES["cycle5"]}.items():
+        QUERIES[f"baseline_{name}{more}"] = lambda spark, sf_dir, q=q, alpha=alpha: _rows(run(engine(spark, sf_dir), q, alpha), q)
+        SQL[f"baseline_{name}{more}"] = costar(baselines.direct_sql_text(q, alpha, **kw))
 
 
-_baseline("sql", lambda e: baselines.direct_sql(e.eg, WEDGE, ALPHA))
-_baseline("no_reduction", lambda e: baselines.no_reduction(e, WEDGE, ALPHA))
-_baseline("random_decomposition", lambda e: baselines.random_decomposition(e, WEDGE, ALPHA))
-_baseline("node_at_a_time", lambda e: baselines.node_at_a_time(e.eg, e, WEDGE, ALPHA))
-_baseline("late_threshold", lambda e: baselines.node_at_a_time(e.eg, e, WEDGE, ALPHA, early=False))
-_baseline("no_identity", lambda e: baselines.no_identity(e, WEDGE, ALPHA), identity=False)
-_baseline("length_one", lambda e: e.match(WEDGE, ALPHA, MatchOptions(L=1)))
+_baseline("sql", lambda e, q, a: baselines.direct_sql(e.eg, q, a))
+_baseline("no_reduction", baselines.no_reduction)
+_baseline("random_decomposition", baselines.random_decomposition)
+_baseline("node_at_a_time", lambda e, q, a: baselines.node_at_a_time(e.eg, e, q, a))
+_baseline("late_threshold", lambda e, q, a: baselines.node_at_a_time(e.eg, e, q, a, early=False))
+_baseline("no_identity", baselines.no_identity, identity=False)
+_baseline("length_one", lambda e, q, a: e.match(q, a, MatchOptions(L=1, reduction="both")))
+_baseline("full_reduction", lambda e, q, a: e.match(q, a, MatchOptions(reduction="both")))
+_baseline("greedy_cover", lambda e, q, a: e.match(q, a, MatchOptions(decomposition="greedy", efficiency="uncovered", reduction="structure")))
 
 
-@query()
+def _space(tag: str, k: int) -> str:
+    """Log10 of the product of the lists' counts, null where one is empty."""
+    counts = [f"(SELECT count(*) FROM {tag}_{i})" for i in range(k)]
+    return f"CASE WHEN {' AND '.join(f'{c} > 0' for c in counts)} THEN round({' + '.join(f'log10({c})' for c in counts)}, 6) END"
+
+
+def _per_length(select: Callable[[int, int], str], alpha: float) -> str:
+    """One statement: the rows of ``select`` for each cover of the 5-cycle."""
+    rows = []
+    for most, paths in CYCLE_PATHS.items():
+        ctes = reduction_ctes(CYCLE5, cover_of(CYCLE5, list(paths)), alpha, CONTEXT, {"st": MODES["structure"], "both": MODES["both"]})
+        rows.append(f"SELECT * FROM ({costar(f', {ctes} {select(most, len(paths))}').replace(' , context', ', context')}) part{most}")
+    return " UNION ALL ".join(rows)
+
+
+def _progression_sql(alpha: float) -> str:
+    def rows(most, k):
+        total = lambda tag: " + ".join(f"(SELECT count(*) FROM {tag}_{i})" for i in range(k))
+        return " UNION ALL ".join(f"SELECT CAST({most} AS INTEGER) AS L, '{step}' AS step, CAST({k} AS INTEGER) AS lists, CAST({total(tag)} AS BIGINT) AS paths, {_space(tag, k)} AS log10" for step, tag in (("path", "raw"), ("context", "cand"), ("final", "both")))
+
+    return _per_length(rows, alpha)
+
+
+@query(_progression_sql(0.3))
 def search_space_progression(spark, sf_dir):
     from .workloads import search_space_progression as run
 
-    return spark.createDataFrame([(r["L"], r["step"], r["lists"], r["paths"], r["log10"] if r["log10"] > -1e9 else None) for r in run(engine(spark, sf_dir))], "L int, step string, lists int, paths long, log10 double")
+    rows = run(engine(spark, sf_dir), CYCLE5, 0.3, CYCLE_PATHS)
+    return spark.createDataFrame([(r["L"], r["step"], r["lists"], r["paths"], round(r["log10"], 6) if r["log10"] > -1e9 else None) for r in rows], "L int, step string, lists int, paths long, log10 double")
 
 
-@query()
+def _ratio_sql(alpha: float) -> str:
+    def row(most, k):
+        product = lambda tag: " * ".join(f"(SELECT count(*)::DOUBLE FROM {tag}_{i})" for i in range(k))
+        r = lambda a, b: f"round(coalesce({product(a)} / nullif({product(b)}, 0), 0), 5)"
+        return f"SELECT CAST({most} AS INTEGER) AS L, {r('st', 'cand')} AS structure, {r('both', 'st')} AS bounds"
+
+    return _per_length(row, alpha)
+
+
+@query(_ratio_sql(0.1))
 def reduction_ratio(spark, sf_dir):
     from .workloads import reduction_contribution
 
-    return spark.createDataFrame([(r["L"], r["structure"], r["bounds"]) for r in reduction_contribution(engine(spark, sf_dir), 0.3)], "L int, structure double, bounds double")
+    return spark.createDataFrame([(r["L"], round(r["structure"], 5), round(r["bounds"], 5)) for r in reduction_contribution(engine(spark, sf_dir), 0.1, CYCLE5, CYCLE_PATHS)], "L int, structure double, bounds double")
+
+
+# -- workloads ------------------------------------------------------------------------------------------------------
+def _counted(cases: list[tuple], ctes: Callable[[tuple], str] = lambda case: costar("{}"), conditional: bool = False) -> str:
+    """SQL of (columns, n_matches) for cases of (columns by name, pattern, alpha)."""
+    rows = []
+    for k, (columns, q, alpha) in enumerate(cases):
+        own = ", ".join(f"{v!r} AS {c}" if isinstance(v, str) else f"CAST({v} AS {'INTEGER' if isinstance(v, int) else 'DOUBLE'}) AS {c}" for c, v in columns.items())
+        text = ctes((columns, q, alpha)).replace("{}", f"SELECT {own}, count(*) AS n_matches FROM ({baselines.direct_sql_text(q, alpha, conditional=conditional)}) m")
+        rows.append(f"SELECT * FROM ({text}) part{k}")
+    return " UNION ALL ".join(rows)
+
+
+def _matched(spark, cases: list[tuple], engine_of: Callable[[dict], Engine], options: MatchOptions | None = None) -> DataFrame:
+    rows = [(*columns.values(), engine_of(columns).match(q, alpha, options).count()) for columns, q, alpha in cases]
+    kinds = ", ".join(f"{c} {'string' if isinstance(v, str) else 'int' if isinstance(v, int) else 'double'}" for c, v in cases[0][0].items())
+    return spark.createDataFrame(rows, f"{kinds}, n_matches long")
+
+
+def _sweep(name: str, cases: list[tuple], engine_of, ctes=lambda case: costar("{}"), conditional: bool = False):
+    QUERIES[name] = lambda spark, sf_dir: _matched(spark, cases, lambda columns: engine_of(spark, sf_dir, columns))
+    SQL[name] = _counted(cases, ctes, conditional)
+
+
+_plain = lambda spark, sf_dir, columns: engine(spark, sf_dir)
+_sweep("sweep_threshold", [({"pattern": n, "alpha": a}, MATCHES[n][0], a) for n in ("wedge", "triangle", "square") for a in (0.3, 0.5, 0.7, 0.9)], _plain)
+_sweep("sweep_query_size", [({"n": n, "m": m, "seed": k}, random_pattern(n, m, PART_LABELS, k), 0.7) for n, m in ((3, 3), (5, 5), (5, 7), (7, 9)) for k in (0, 1)], _plain)
+_sweep("sweep_density", [({"n": 6, "m": m}, random_pattern(6, m, PART_LABELS[:2], 1), 0.3) for m in (5, 6, 7, 9)], _plain)
+_sweep("sweep_uncertainty", [({"share": x, "pattern": n}, MATCHES[n][0], 0.7) for x in (0.2, 0.6, 1.0) for n in ("wedge", "triangle")], lambda spark, sf_dir, columns: engine(spark, sf_dir, share=columns["share"]), lambda case: costar("{}", share=case[0]["share"]))
+_sweep("real_shapes_costar", [({"shape": n}, shape(n, ["SMALL"]), 0.1) for n in ("path3", "triangle", "star3", "square", "tree7", "clique4")], _plain)
+_sweep("real_shapes_collab", [({"shape": n}, shape(n, ["BUILDING"]), 0.1) for n in ("path3", "triangle", "star3", "square", "clique4")], lambda spark, sf_dir, columns: engine(spark, sf_dir, "collab", 2, 0.3), lambda case: f"WITH {COLLAB} {{}}", True)
+
+
+def _grid_sql() -> str:
+    rows = [f"SELECT * FROM ({costar(f', {_path_cte(n, b)} SELECT CAST({b} AS DOUBLE) AS beta, CAST({n} AS INTEGER) AS len, count(*) AS n_paths FROM paths{n}').replace(' , paths', ', paths')}) g{n}" for b in (0.7, 0.9) for n in (0, 1, 2, 3)]
+    return " UNION ALL ".join(rows)
+
+
+@query(_grid_sql())
+def offline_grid(spark, sf_dir):
+    """Paths of each length in the indexes of two thresholds."""
+    rows = [(b, n, df.count()) for b in (0.7, 0.9) for n, df in engine(spark, sf_dir, L=3, beta=b).idx.paths.items()]
+    return spark.createDataFrame(rows, "beta double, len int, n_paths long")
+
+
+@query()
+def planted_length_comparison(spark, sf_dir):
+    """Matches of a planted pattern of five nodes and seven edges on a synthetic graph, by every method. No table holds this
+    graph, so there is no SQL over tables; a test holds the counts against one another."""
+    from .sources import synth
+    from .workloads import length_comparison, planted_pattern
+
+    key = (spark.sparkContext.applicationId, "synth")
+    if key not in _ENGINES:
+        eg = build_entity_graph(synth.generate(spark, 1000))
+        _ENGINES[key] = Engine(eg, path_index.build_path_index(eg, 3, 0.7, GAMMA))
+    e = _ENGINES[key]
+    rows = length_comparison(e, planted_pattern(e.eg, 5, 7, 1), 0.7)
+    return spark.createDataFrame([(r["method"], r["status"], r["n_matches"], r["log10"]) for r in rows], "method string, status string, n_matches long, log10 double")
 
 
 # -- other derived graphs -------------------------------------------------------------------------------------------

@@ -5,10 +5,15 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.tables import materialise, u
+from ..functions.tables import materialise
 from ..operators.entity_graph import ReferenceGraph
 
 
+def u(key, salt: int):
+    """A number in [0, 1) from a key: 53 bits of its hash, so that no draw repeats within a graph's slots."""
+    return F.pmod(F.xxhash64(key, F.lit(salt)), F.lit(1 << 53)).cast("double") / F.lit(float(1 << 53))
+
+
 def attachment_edges(spark: SparkSession, n: int, per_node: int = 5) -> DataFrame:
     """Each node opens ``per_node`` slots; slot k copies an end of a random earlier slot, and pointer jumping resolves
     copies of copies. Popular ends are copied more often."""
