@@ -60,8 +60,8 @@ COLLAB = f"""
 bought AS (SELECT DISTINCT l_partkey, l_suppkey, o_custkey FROM lineitem JOIN orders ON o_orderkey = l_orderkey),
 ref_edges AS (SELECT src, dst, 1 - pow(0.5::DOUBLE, n) AS p FROM (SELECT a.o_custkey AS src, b.o_custkey AS dst, count(*) AS n FROM bought a JOIN bought b ON a.l_partkey = b.l_partkey AND a.l_suppkey = b.l_suppkey AND a.o_custkey < b.o_custkey GROUP BY 1, 2)),
 ref_labels AS (SELECT c_custkey AS ref_id, c_mktsegment AS label, 1.0::DOUBLE AS p FROM customer),
-pairs AS (SELECT c_custkey AS set_id, c_name, lead(c_custkey) OVER w AS b, lead(c_name) OVER w AS other FROM customer WINDOW w AS (PARTITION BY c_nationkey, c_mktsegment ORDER BY c_custkey)),
-ref_sets AS (SELECT set_id, set_id AS a, b, 0.05::DOUBLE + 0.9::DOUBLE * {u_sql("set_id", 5)} AS p FROM pairs WHERE b IS NOT NULL AND levenshtein(c_name, other) <= 1),
+similar AS (SELECT a.c_custkey AS a, b.c_custkey AS b, CAST(levenshtein(a.c_name, b.c_name) AS INTEGER) AS distance FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_mktsegment = b.c_mktsegment AND a.c_custkey < b.c_custkey WHERE 1 - levenshtein(a.c_name, b.c_name) / length(a.c_name) > 0.9),
+ref_sets AS (SELECT set_id, a, b, 0.05::DOUBLE + 0.9::DOUBLE * {u_sql("set_id", 5)} AS p FROM (SELECT a * {tg.SET_FACTOR} + b AS set_id, a, b FROM similar)),
 {tg.identity_sql()},
 labels_two AS (SELECT DISTINCT label FROM ref_labels),
 both_ways AS (SELECT src, dst, p FROM ref_edges UNION ALL SELECT dst, src, p FROM ref_edges),
@@ -101,22 +101,9 @@ def ref_sets_customers(spark, sf_dir):
     return _six(tg.customer_sets(spark, sf_dir).select("set_id", F.col("members")[0].alias("a"), F.col("members")[1].alias("b"), "p"), "p")
 
 
-@query("SELECT c_custkey AS a, b, CAST(levenshtein(c_name, other) AS INTEGER) AS distance FROM (SELECT c_custkey, c_name, lead(c_custkey) OVER w AS b, lead(c_name) OVER w AS other FROM customer WINDOW w AS (PARTITION BY c_nationkey, c_mktsegment ORDER BY c_custkey)) WHERE b IS NOT NULL AND 1 - levenshtein(c_name, other) / length(c_name) > 0.9")
+@query(f"WITH {COLLAB} SELECT a, b, distance FROM similar")
 def name_similarity_sets(spark, sf_dir):
-    by = Window.partitionBy("c_nationkey", "c_mktsegment").orderBy("c_custkey")
-    rows = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("a"), "c_name", F.lead("c_custkey").over(by).alias("b"), F.lead("c_name").over(by).alias("other"))
-    near = F.levenshtein("c_name", "other")
-    return rows.filter(F.col("b").isNotNull() & (1 - near / F.length("c_name") > 0.9)).select("a", "b", near.alias("distance"))
-
-
-@query("SELECT a.c_custkey AS a, b.c_custkey AS b, CAST(levenshtein(a.c_name, b.c_name) AS INTEGER) AS distance FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_mktsegment = b.c_mktsegment AND a.c_custkey < b.c_custkey WHERE 1 - levenshtein(a.c_name, b.c_name) / length(a.c_name) > 0.9")
-def name_similarity_all_pairs(spark, sf_dir):
-    """Every pair of a block, where name_similarity_sets compares neighbouring keys alone."""
-    block = ["c_nationkey", "c_mktsegment"]
-    rows = spark.read.parquet(f"{sf_dir}/customer.parquet").select(*block, F.col("c_custkey").alias("a"), "c_name")
-    pairs = rows.join(rows.select(*block, F.col("a").alias("b"), F.col("c_name").alias("other")), block).filter("a < b")
-    near = F.levenshtein("c_name", "other")
-    return pairs.filter(1 - near / F.length("c_name") > 0.9).select("a", "b", near.alias("distance"))
+    return tg.similar_customers(spark, sf_dir)
 
 
 # -- model ----------------------------------------------------------------------------------------------------------

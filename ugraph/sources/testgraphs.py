@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.tables import u, u_sql
@@ -61,12 +61,34 @@ def customer_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("ref_id"), F.col("c_mktsegment").alias("label"), F.lit(1.0).alias("p"))
 
 
+def deletion_keys(name: Column) -> Column:
+    """The string, and the string without each one of its characters; of strings of over 20 characters also without two.
+    Strings within that many edits of one another share a key."""
+    once = lambda x: F.transform(F.sequence(F.lit(1), F.length(x)), lambda i: F.concat(F.substring(x, F.lit(1), i - 1), F.substring(x, i + 1, F.length(x))))
+    some = F.when(F.length(name) > 0, once(name)).otherwise(F.array())
+    twice = F.when(F.length(name) > 20, F.flatten(F.transform(once(name), once))).otherwise(F.array().cast("array<string>"))
+    return F.array_distinct(F.concat(F.array(name), some, twice))
+
+
+def similar_customers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """a, b, distance: customers of one nation and segment whose names (of up to 30 characters) have a similarity over 0.9,
+    found by the deletion keys that they share and confirmed on the names."""
+    rows = _table(spark, sf_dir, "customer").select("c_nationkey", "c_mktsegment", F.col("c_custkey").alias("a"), "c_name")
+    keyed = rows.withColumn("key", F.explode(deletion_keys(F.col("c_name"))))
+    other = keyed.select("c_nationkey", "c_mktsegment", "key", F.col("a").alias("b"), F.col("c_name").alias("other"))
+    pairs = keyed.join(other, ["c_nationkey", "c_mktsegment", "key"]).filter("a < b").select("a", "b", "c_name", "other").distinct()
+    near = F.levenshtein("c_name", "other")
+    return pairs.filter(1 - near / F.length("c_name") > 0.9).select("a", "b", near.alias("distance"))
+
+
+#: A pair's set has the number a * SET_FACTOR + b.
+SET_FACTOR = 100003
+
+
 def customer_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Neighbouring keys of one nation and segment whose names differ in one letter at most."""
-    by = Window.partitionBy("c_nationkey", "c_mktsegment").orderBy("c_custkey")
-    rows = _table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("set_id"), "c_name", F.lead("c_custkey").over(by).alias("b"), F.lead("c_name").over(by).alias("other"))
-    rows = rows.filter("b is not null and levenshtein(c_name, other) <= 1")
-    return rows.select("set_id", F.array("set_id", "b").alias("members"), (0.05 + 0.9 * u(F.col("set_id"), 5)).alias("p"))
+    """Every pair of customers of one nation and segment whose names are similar."""
+    rows = similar_customers(spark, sf_dir).withColumn("set_id", F.col("a") * SET_FACTOR + F.col("b"))
+    return rows.select("set_id", F.array("a", "b").alias("members"), (0.05 + 0.9 * u(F.col("set_id"), 5)).alias("p"))
 
 
 def collab(spark: SparkSession, sf_dir: str, correlated: bool = True) -> ReferenceGraph:
@@ -138,7 +160,7 @@ weighed AS (
   UNION ALL SELECT e.comp_id, e.mask - g.gone - h.gone + g.m + h.m, g.g * h.g FROM empty_world e JOIN gain g ON g.comp_id = e.comp_id
     JOIN gain h ON h.comp_id = e.comp_id AND g.set_id < h.set_id AND g.a NOT IN (h.a, h.b) AND g.b NOT IN (h.a, h.b)),
 worlds AS (SELECT comp_id, mask, wt / sum(wt) OVER (PARTITION BY comp_id) AS p FROM weighed),
-marginals AS (SELECT w.comp_id, s.mask, sum(w.p) AS p FROM worlds w JOIN (SELECT CAST(range AS BIGINT) AS mask FROM range(1, 128)) s ON (w.mask & s.mask) = s.mask GROUP BY w.comp_id, s.mask),
+marginals AS (SELECT w.comp_id, s.mask, sum(w.p) AS p FROM worlds w JOIN (SELECT CAST(range AS BIGINT) AS mask FROM range(1, 1024)) s ON (w.mask & s.mask) = s.mask GROUP BY w.comp_id, s.mask),
 members AS (SELECT DISTINCT ref_id AS entity_id, ref_id, 1 AS size FROM ref_labels UNION ALL SELECT set_id + 1000000000, ref_id, 2 FROM touch),
 entities AS (SELECT m.entity_id, t.comp_id, coalesce(t.mask, 0) AS mask, coalesce(k.p, 1.0::DOUBLE) AS p_exist FROM (SELECT DISTINCT entity_id FROM members) m
   LEFT JOIN tied t ON t.entity_id = m.entity_id LEFT JOIN marginals k ON k.comp_id = t.comp_id AND k.mask = t.mask)"""
