@@ -60,8 +60,8 @@ COLLAB = f"""
 bought AS (SELECT DISTINCT l_partkey, l_suppkey, o_custkey FROM lineitem JOIN orders ON o_orderkey = l_orderkey),
 ref_edges AS (SELECT src, dst, 1 - pow(0.5::DOUBLE, n) AS p FROM (SELECT a.o_custkey AS src, b.o_custkey AS dst, count(*) AS n FROM bought a JOIN bought b ON a.l_partkey = b.l_partkey AND a.l_suppkey = b.l_suppkey AND a.o_custkey < b.o_custkey GROUP BY 1, 2)),
 ref_labels AS (SELECT c_custkey AS ref_id, c_mktsegment AS label, 1.0::DOUBLE AS p FROM customer),
-similar AS (SELECT a.c_custkey AS a, b.c_custkey AS b, CAST(levenshtein(a.c_name, b.c_name) AS INTEGER) AS distance FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_mktsegment = b.c_mktsegment AND a.c_custkey < b.c_custkey WHERE 1 - levenshtein(a.c_name, b.c_name) / length(a.c_name) > 0.9),
-ref_sets AS (SELECT set_id, a, b, 0.05::DOUBLE + 0.9::DOUBLE * {u_sql("set_id", 5)} AS p FROM (SELECT a * {tg.SET_FACTOR} + b AS set_id, a, b FROM similar)),
+alike AS (SELECT a.c_custkey AS a, b.c_custkey AS b, CAST(levenshtein(a.c_name, b.c_name) AS INTEGER) AS distance FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_mktsegment = b.c_mktsegment AND a.c_custkey < b.c_custkey WHERE 1 - levenshtein(a.c_name, b.c_name) / length(a.c_name) > 0.9),
+ref_sets AS (SELECT set_id, a, b, 0.05::DOUBLE + 0.9::DOUBLE * {u_sql("set_id", 5)} AS p FROM (SELECT a * {tg.SET_FACTOR} + b AS set_id, a, b FROM alike)),
 {tg.identity_sql()},
 labels_two AS (SELECT DISTINCT label FROM ref_labels),
 both_ways AS (SELECT src, dst, p FROM ref_edges UNION ALL SELECT dst, src, p FROM ref_edges),
@@ -101,7 +101,7 @@ def ref_sets_customers(spark, sf_dir):
     return _six(tg.customer_sets(spark, sf_dir).select("set_id", F.col("members")[0].alias("a"), F.col("members")[1].alias("b"), "p"), "p")
 
 
-@query(f"WITH {COLLAB} SELECT a, b, distance FROM similar")
+@query(f"WITH {COLLAB} SELECT a, b, distance FROM alike")
 def name_similarity_sets(spark, sf_dir):
     return tg.similar_customers(spark, sf_dir)
 
