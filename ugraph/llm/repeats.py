@@ -9,11 +9,10 @@ behind it), is merge-scanned against the existing levels for suffixes with the s
 which levels of equal size class merge. The scan compares, for each start of a string around the anchor, the digests
 of the whole strings; their first and last matches bound what is removed.
 
-A cut can part the suffixes of a gram, whatever their number: of the first and the last gram of each shard. These are
+A cut can part the suffixes of a gram of over NARROW ones: of the first and the last gram of each shard. These are
 sorted once more, by the bytes behind the anchor, and scanned in shards of that order. A suffix and one that it met in
 neither order share no more bytes before the anchor than the suffix shares with an end of its first shard, and no more
-behind it than with an end of its second (grams of at most NARROW suffixes are not sorted further, and have no such bound
-before the anchor). Strings within these bounds, few unless the ends are alike, are matched
+behind it than with an end of its second. Strings within these bounds, few unless the ends are alike, are matched
 between shards by counts of their digests, to which a shard adds each digest once.
 
 Equal texts are one text here: those of at least LENGTH bytes with a copy go as wholes, and one of them stands for all.
@@ -38,9 +37,9 @@ LENGTH, GRAM = 400, 128
 SPAN = LENGTH - GRAM
 #: Suffixes of one shard, and batches in which they arrive.
 SHARD_ROWS, BATCHES = 32768, 4
-#: Only grams of more suffixes than this are sorted by what stands before the anchor: a sort key that every row carries
-#: would make the sample large which the sort sends to the driver. Of smaller grams nothing is known about other shards.
-NARROW = 256
+#: Grams of at most so many suffixes are never cut: their sort key is the gram alone. So only the others' keys are long,
+#: which bounds the sample that the sort sends to the driver.
+NARROW = 1024
 BASE = 0x9E3779B97F4A7C15 | 1
 _INVERSE = pow(BASE, -1, 1 << 64)
 
@@ -278,13 +277,12 @@ def _common(texts: list[bytes], other: bytes) -> np.ndarray:
 def _limits(table: pa.Table, order: str, skip: int = 0, narrow: int = 0) -> np.ndarray:
     """For each suffix of a shard of the run sorted by gram and, in grams of over ``narrow`` suffixes, by ``order``: how
     many bytes of ``order``, after the first ``skip``, it can share at most with a suffix of its gram in another shard;
-    -1 if its gram lies in this one alone."""
+    -1 if its gram lies in this one alone, as narrow grams do."""
     grams, held = np.asarray(table.column("gram")), np.asarray(table.column("held"))
     limit = np.full(len(grams), -1, np.int64)
     for gram, end in ((grams.min(), min), (grams.max(), max)):
         rows = np.flatnonzero(grams == gram)
         if held[rows[0]] <= narrow:
-            limit[rows] = SPAN
             continue
         some = [x[skip:] for x in table.column(order).take(pa.array(rows)).to_pylist()]
         limit[rows] = np.maximum(limit[rows], np.minimum(_common(some, end(some)), SPAN))
@@ -379,7 +377,8 @@ def among_repeated(rows: DataFrame, key: str, tag: str, least: int = 2) -> DataF
 def matched_spans(regions: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int = NARROW) -> DataFrame:
     """cid, a, b: the spans around the suffixes of ``regions``, shard by shard in two orders, then across shards."""
     shards = -(-regions.count() // shard_rows)
-    sorted_ = regions.repartitionByRange(max(1, shards), "gram", F.when(F.col("held") > narrow, F.col("left")), "cid", "pos")
+    wide = F.col("held") > narrow
+    sorted_ = regions.repartitionByRange(max(1, shards), "gram", *[F.when(wide, F.col(c)) for c in ("left", "cid", "pos")])
     scanned = materialise(map_arrow(sorted_, _scan(narrow), SCANNED), "repeat-scan")
     parted = scanned.filter("gram is not null").drop("a", "b")
     shards = -(-parted.count() // shard_rows)
