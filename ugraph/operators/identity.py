@@ -7,7 +7,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.tables import materialise
+from ..functions.tables import materialise, ship
 
 SET_OFFSET = 1_000_000_000
 #: References of a component up to which all its worlds are listed; beyond, this many are drawn.
@@ -135,6 +135,7 @@ def component_worlds(entities: DataFrame, weighting: str = "per_reference", most
     """comp_id, mask, p of all legal worlds: entities (comp_id, entity_id, refs, p, bit) that cover each reference
     once. Components of more than ``most_refs`` references get ``draws`` drawn worlds instead."""
     rows = entities.filter("comp_id is not null").select("comp_id", "entity_id", "refs", "p", "bit")
+    ship(entities.sparkSession)
     return rows.groupBy("comp_id").applyInPandas(_worlds(weighting, most_refs, draws, seed), WORLDS)
 
 
@@ -154,6 +155,7 @@ def sampled_marginals(entities: DataFrame, draws: int = DRAWS, weighting: str =
         return pd.DataFrame(rows, columns=["comp_id", "entity_id", "p", "se"])
 
     rows = entities.filter("comp_id is not null").select("comp_id", "entity_id", "refs", "p", "bit")
+    ship(entities.sparkSession)
     return rows.groupBy("comp_id").applyInPandas(run, "comp_id long, entity_id long, p double, se double")
 
 
@@ -173,6 +175,7 @@ def _subsets(pdf: pd.DataFrame) -> pd.DataFrame:
 def component_marginals(worlds: DataFrame) -> DataFrame:
     """comp_id, mask, p: the probability that all entities of the mask exist together, for every possible mask. Components
     with a world of over MOST_TABLED entities are left out: they have too many masks, and ``marginal_on_demand`` serves them."""
+    ship(worlds.sparkSession)
     small = worlds.groupBy("comp_id").agg(F.max(F.bit_count("mask")).alias("n")).filter(F.col("n") <= MOST_TABLED).select("comp_id")
     return worlds.join(small, "comp_id").groupBy("comp_id").applyInPandas(_subsets, WORLDS)
 
