@@ -5,7 +5,6 @@ from __future__ import annotations
 import os
 import tempfile
 import uuid
-import zipfile
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -13,6 +12,8 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.tables import ship
+
 #: White space by which the text operators split words: space and the five ASCII controls from tab to CR.
 WORD = r"[^\x20\x09-\x0D]+"
 #: Bytes of text that a Python step holds at once besides a single longer text.
@@ -82,27 +83,6 @@ def discard(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
-def ship(spark: SparkSession) -> None:
-    """Give the executors this package where their Python path lacks it."""
-    root = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
-    known = [os.path.abspath(p) for p in os.environ.get("PYTHONPATH", "").split(os.pathsep) if p]
-    app = spark.sparkContext.applicationId
-    if root in known or app in _SHIPPED:
-        return
-    archive = os.path.join(tempfile.mkdtemp(), "ugraph_code.zip")
-    with zipfile.ZipFile(archive, "w") as z:
-        for folder, _, names in os.walk(os.path.join(root, "ugraph")):
-            for n in names:
-                if n.endswith(".py"):
-                    full = os.path.join(folder, n)
-                    z.write(full, os.path.relpath(full, root))
-    spark.sparkContext.addPyFile(archive)
-    _SHIPPED.add(app)
-
-
-_SHIPPED: set[str] = set()
-
-
 def map_arrow(df: DataFrame, function, schema: str) -> DataFrame:
     """``df.mapInArrow`` with this package present on the executors."""
     ship(df.sparkSession)
