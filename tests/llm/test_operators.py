@@ -7,7 +7,7 @@ import numpy as np
 import pyarrow as pa
 import pytest
 
-from ugraph.llm import chats, id_store, media, mixing, near_dedup, packing, pii, quality_classifier, quality_rules, repeats
+from ugraph.llm import chats, id_store, media, mixing, near_dedup, packing, pii, quality_classifier, quality_rules, repeat_levels, repeats
 from ugraph.llm.tokens import default_path, encoder
 
 WORDS = "alpha beta gamma delta epsilon zeta eta theta iota kappa lambda mu nu xi omicron pi rho sigma tau upsilon".split()
@@ -476,3 +476,39 @@ def test_repeats_of_one_passage(spark, sizes):
         texts.append(text(100 + i, int(rng.integers(1, 40))) + cut + text(200 + i, int(rng.integers(1, 40))) + (cut if i % 7 == 0 else ""))
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     check_repeats({r.doc_id: r for r in repeats.repeated_spans(df, *sizes).collect()}, texts, range(40))
+
+
+@pytest.mark.parametrize("sizes", [SIZES[0], SIZES[2]])
+def test_kept_levels(spark, empty, tmp_path, sizes):
+    """Batches against the levels of earlier ones: passages within a batch, across batches, copies, a batch that failed."""
+    rng, whole = np.random.default_rng(9), text(51, 120)
+    cuts = [whole[a : a + 430] for a in rng.integers(0, 300, 6).tolist()]
+    texts = [*TEXTS, *(text(300 + i, 9) + c + text(400 + i, 9) for i, c in enumerate(cuts)), text(2, 90), TEXTS[9], text(7, 150) + text(7, 150)]
+    rows = [(i, t, f"extra{i}") for i, t in enumerate(texts)]
+    batches = [rows[:1], [], rows[1:14], rows[14:]]
+    family = repeat_levels.RepeatLevels(spark, f"{tmp_path}/family", *sizes)
+    assert family.removed().count() == 0
+    seen, suffixes = [], []
+    for n, batch in enumerate(batches):
+        if n == 2:  # what a failed batch leaves behind is overwritten
+            spark.createDataFrame([(99, 99, "x", b"x")], repeat_levels.MEMBERS).write.parquet(f"{tmp_path}/family/members/3")
+        family.add(spark.createDataFrame(batch, "doc_id long, text string, name string").coalesce(1 if n == 0 else 4))
+        seen += batch
+        done, _, levels = family.state()
+        suffixes.append(sum(r for _, r in levels))
+        assert done == n + 1 and all(a.bit_length() > b.bit_length() for (_, a), (_, b) in zip(levels, levels[1:], strict=False))
+        if n != 1:
+            got = {r.doc_id: r for r in family.removed().collect()}
+            assert len(got) == len(seen)
+            check_repeats(got, [t for _, t, _ in seen], [i for i, _, _ in seen])
+    assert suffixes[0] == suffixes[1] < suffixes[2] < suffixes[3]
+    path, rows = family.state()[2][0]
+    level = family._level(path).toPandas()
+    assert len(level) == rows == len(level.drop_duplicates(["cid", "pos"]))
+
+
+def test_merged_sizes():
+    assert repeat_levels._merged([5]) == 1
+    assert repeat_levels._merged([100, 5]) == 1
+    assert repeat_levels._merged([100, 5, 7]) == 2
+    assert repeat_levels._merged([16, 8, 8]) == 3

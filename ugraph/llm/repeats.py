@@ -421,25 +421,27 @@ def _cut(batches):
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.string(), kind), strict=True)], names=["cid", "n_removed", "n_spans", "kept_sha256", "spans"])
 
 
-def repeated_spans(docs: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int = NARROW) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed byte spans of every document."""
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
-    signed = materialise(map_arrow(texts.select("doc_id", "text_hash", "text"), _sign, SIGNED).withColumn("rid", F.monotonically_increasing_id()), "repeat-signed")
-    classes = materialise(signed.groupBy("name").agg(F.min("rid").alias("cid"), F.count(F.lit(1)).alias("copies")), "repeat-classes")
-    long_ = signed.filter(f"n_bytes >= {LENGTH}").drop("name").join(classes.select(F.col("cid").alias("rid")), "rid", "left_semi").withColumnRenamed("rid", "cid")
-    spots = map_arrow(long_.select("cid", "spots", "grams"), _spread, "cid long, pos long, gram long")
-    spots = materialise(among_repeated(spots, "gram", "repeat-grams"), "repeat-spots")
-    per_text = spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram", "c")).alias("spots"))
-    key = F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k")
-    wanted = long_.select("cid", key, "text_hash").join(per_text, "cid")
-    held = materialise(texts.select(key, "text_hash", "text").join(wanted, ["k", "text_hash"]).dropDuplicates(["cid"]).select("cid", "text", "spots"), "repeat-texts")
+def document_rows(docs: DataFrame) -> DataFrame:
+    """doc_id, text (never null) and text_hash of every row."""
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).withColumn("text_hash", F.xxhash64("text"))
+
+
+def spots_by_text(spots: DataFrame) -> DataFrame:
+    """cid and its ``spots``, from a row for each of them (cid, pos, gram, count c of the gram)."""
+    return spots.groupBy("cid").agg(F.collect_list(F.struct("pos", "gram", "c")).alias("spots"))
+
+
+def spans_of(held: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int = NARROW) -> DataFrame:
+    """cid, a, b: the spans of ``held`` (cid, text, spots)."""
     regions = materialise(map_arrow(held, _regions, REGIONS), "repeat-regions")
     found = matched_spans(regions.filter("left is not null").drop("before", "size"), shard_rows, narrow)
     inside = regions.filter("left is null").select("cid", (F.col("pos") - F.col("before")).alias("a"), (F.col("pos") - F.col("before") + F.col("size")).alias("b"))
-    found = materialise(found.unionByName(inside).groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
-    cut = materialise(map_arrow(held.select("cid", "text").join(found, "cid"), _cut, KEPT), "repeat-cut")
-    named = materialise(classes.join(cut, "cid", "left").drop("cid"), "repeat-named")
-    out = signed.select("doc_id", "n_bytes", "sha", "name").join(named, "name")
+    return found.unionByName(inside)
+
+
+def result_rows(members: DataFrame, named: DataFrame) -> DataFrame:
+    """What is removed of every document: ``members`` has its name, ``named`` for each name the copies and what was cut."""
+    out = members.select("doc_id", "n_bytes", "sha", "name").join(named, "name")
     whole = (F.col("copies") > 1) & (F.col("n_bytes") >= LENGTH)
     nothing = hashlib.sha256(b"").hexdigest()
     return out.select(
@@ -452,6 +454,23 @@ def repeated_spans(docs: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int =
     )
 
 
+def repeated_spans(docs: DataFrame, shard_rows: int = SHARD_ROWS, narrow: int = NARROW) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and the removed byte spans of every document."""
+    texts = document_rows(docs)
+    signed = materialise(map_arrow(texts.select("doc_id", "text_hash", "text"), _sign, SIGNED).withColumn("rid", F.monotonically_increasing_id()), "repeat-signed")
+    classes = materialise(signed.groupBy("name").agg(F.min("rid").alias("cid"), F.count(F.lit(1)).alias("copies")), "repeat-classes")
+    long_ = signed.filter(f"n_bytes >= {LENGTH}").drop("name").join(classes.select(F.col("cid").alias("rid")), "rid", "left_semi").withColumnRenamed("rid", "cid")
+    spots = map_arrow(long_.select("cid", "spots", "grams"), _spread, "cid long, pos long, gram long")
+    spots = materialise(among_repeated(spots, "gram", "repeat-grams"), "repeat-spots")
+    key = F.coalesce("doc_id", F.lit(-(1 << 63))).alias("k")
+    wanted = long_.select("cid", key, "text_hash").join(spots_by_text(spots), "cid")
+    held = materialise(texts.select(key, "text_hash", "text").join(wanted, ["k", "text_hash"]).dropDuplicates(["cid"]).select("cid", "text", "spots"), "repeat-texts")
+    found = materialise(spans_of(held, shard_rows, narrow).groupBy("cid").agg(F.collect_list(F.struct("a", "b")).alias("found")), "repeat-found")
+    cut = materialise(map_arrow(held.select("cid", "text").join(found, "cid"), _cut, KEPT), "repeat-cut")
+    named = materialise(classes.join(cut, "cid", "left").drop("cid"), "repeat-named")
+    return result_rows(signed, named)
+
+
 def repeats_digest(docs: DataFrame) -> DataFrame:
     """op9: the contract's columns."""
     return repeated_spans(docs).drop("spans")
