@@ -1,19 +1,39 @@
-"""Reference edges from an event stream: users seen with one event type in one hour are linked."""
+"""Reference edges from an event stream: users seen with one event type in one window are linked."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def windowed_users(events: DataFrame, width: str = "1 hour", late: str | None = None) -> DataFrame:
-    """event_type, hour and the users of that hour; the same plan for a stream (``late``: its watermark) and a table."""
-    rows = events.withColumn("ts", F.col("ts").cast("timestamp"))
-    rows = rows.withWatermark("ts", late) if late else rows
-    grouped = rows.groupBy("event_type", F.window("ts", width).alias("w")).agg(F.array_sort(F.collect_set("user_id")).alias("users"))
+def _timed(events: DataFrame, late: str | None) -> DataFrame:
+    if dict(events.dtypes)["ts"] != "timestamp":  # a new column would lose the watermark that a stream has already
+        events = events.withColumn("ts", F.col("ts").cast("timestamp"))
+    return events.withWatermark("ts", late) if late else events
+
+
+def _users(rows: DataFrame, window: Column) -> DataFrame:
+    grouped = rows.groupBy("event_type", window.alias("w")).agg(F.array_sort(F.collect_set("user_id")).alias("users"))
     return grouped.select("event_type", F.col("w.start").alias("hour"), "users")
 
 
+def windowed_users(events: DataFrame, width: str = "1 hour", late: str | None = None, slide: str | None = None) -> DataFrame:
+    """event_type, hour (the window's start) and the users of that window; windows overlap where ``slide`` is less than
+    ``width``. The same plan for a stream (``late``: its watermark) and a table."""
+    return _users(_timed(events, late), F.window("ts", width, slide or width))
+
+
+def session_users(events: DataFrame, gap: str = "30 minutes", late: str | None = None) -> DataFrame:
+    """The same for sessions of an event type: events of which none is ``gap`` or more after the one before."""
+    return _users(_timed(events, late), F.session_window("ts", gap))
+
+
+def once(events: DataFrame, keys: list[str], late: str) -> DataFrame:
+    """A stream without the repeats of ``keys`` that arrive within the watermark; a table without all repeats."""
+    rows = _timed(events, late if events.isStreaming else None)
+    return rows.dropDuplicatesWithinWatermark(keys) if events.isStreaming else rows.dropDuplicates(keys)
+
+
 def pair_counts(windows: DataFrame) -> DataFrame:
     """src, dst and the number of windows that two users share. A window's users come one row each and meet by key."""
     rows = windows.select("event_type", "hour", F.explode("users").alias("src"))
@@ -21,7 +41,12 @@ def pair_counts(windows: DataFrame) -> DataFrame:
     return rows.join(other, ["event_type", "hour"]).filter("src < dst").groupBy("src", "dst").agg(F.count(F.lit(1)).alias("n"))
 
 
-def run_stream(stream: DataFrame, path: str, checkpoint: str, late: str = "1 hour"):
+def pair_probabilities(counts: DataFrame, each: float = 0.5) -> DataFrame:
+    """src, dst, p: every shared window is evidence of strength ``each``, and one true piece makes the edge."""
+    return counts.select("src", "dst", (1 - F.pow(F.lit(1.0 - each), F.col("n"))).alias("p"))
+
+
+def run_stream(stream: DataFrame, path: str, checkpoint: str, late: str = "1 hour", users=windowed_users):
     """Start the query that appends closed windows under ``path``; each is written once."""
-    out = windowed_users(stream, late=late)
+    out = users(stream, late=late)
     return out.writeStream.outputMode("append").format("parquet").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
