@@ -41,7 +41,7 @@ def hubs(spark):
     return build_entity_graph(ReferenceGraph(spark.createDataFrame(labels, "ref_id long, label string, p double"), spark.createDataFrame(edges, "src long, dst long, p double"), sets))
 
 
-@pytest.mark.parametrize("run", [lambda eg, q: baselines.node_at_a_time(eg, Engine(eg, None, eg.labels), q, 0.5, early=False)])
+@pytest.mark.parametrize("run", [lambda eg, q: baselines.node_at_a_time(eg, Engine(eg, None, eg.labels), q, 0.5, early=False), lambda eg, q: baselines.direct_sql(eg, q, 0.5)])
 def test_edges_to_other_labels_multiply_nothing(spark, moved, hubs, run):
     q = shape("square", list("abcd"))
     rows, records = moved(lambda: run(hubs, q).collect())
