@@ -7,6 +7,7 @@ from ugraph.operators import baselines
 from ugraph.operators.engine import Engine
 from ugraph.operators.entity_graph import ReferenceGraph, build_entity_graph
 from ugraph.plans.pattern import shape
+from ugraph.streaming import edges
 
 
 @pytest.fixture
@@ -47,3 +48,22 @@ def test_edges_to_other_labels_multiply_nothing(spark, moved, hubs, run):
     rows, records = moved(lambda: run(hubs, q).collect())
     assert [(r.x0, r.x1, r.x2, r.x3, round(r.p, 6)) for r in rows] == [(0, 1, 2, 3, 0.6561)]
     assert records <= 2 * hubs.edges.count()
+
+
+@pytest.mark.parametrize("block", [40, 10_000])
+def test_pairs_of_full_windows_are_not_shuffled(spark, moved, monkeypatch, block):
+    """120 of 150 users in each of 20 windows: 142,800 pairs, with ids that lie far apart."""
+    monkeypatch.setattr(edges, "BLOCKS_FROM", 1, raising=False)
+    monkeypatch.setattr(edges, "USER_BLOCK", block, raising=False)
+    monkeypatch.setattr(edges, "PAIRS_A_ROW", 1, raising=False)
+    held = {w: sorted({(7 * w + 3 * i) % 150 * 10**12 for i in range(120)} & {i * 10**12 for i in range(150)}) for w in range(20)}
+    rows = [(f"t{w % 3}" if w else None, f"2024-01-01 {w:02d}:00:00", u) for w, u in held.items()]
+    windows = spark.createDataFrame(rows, "event_type string, hour string, users array<long>").withColumn("hour", F.col("hour").cast("timestamp"))
+    want = {}
+    for w, users in held.items():
+        for i, a in enumerate(users) if w else ():  # no type, no window
+            for b in users[i + 1 :]:
+                want[a, b] = want.get((a, b), 0) + 1
+    got, records = moved(lambda: edges.pair_counts(windows).collect())
+    assert len(got) == len(want) and {(r.src, r.dst): r.n for r in got} == want
+    assert records < len(want)
