@@ -3,10 +3,11 @@
 import pytest
 from pyspark.sql import functions as F
 
-from ugraph.operators import baselines
+from ugraph.operators import baselines, path_index
 from ugraph.operators.engine import Engine
 from ugraph.operators.entity_graph import ReferenceGraph, build_entity_graph
-from ugraph.plans.pattern import shape
+from ugraph.plans.pattern import Pattern, shape
+from ugraph.sources import testgraphs
 from ugraph.streaming import edges
 
 
@@ -67,3 +68,20 @@ def test_pairs_of_full_windows_are_not_shuffled(spark, moved, monkeypatch, block
     got, records = moved(lambda: edges.pair_counts(windows).collect())
     assert len(got) == len(want) and {(r.src, r.dst): r.n for r in got} == want
     assert records < len(want)
+
+
+def test_path_counts_store_no_longest_paths(spark, monkeypatch):
+    """The counts are those of the indexes, also where two nodes of a path share an identity component, and the longest
+    paths are never written."""
+    rg = testgraphs.tiny(spark)
+    more = spark.createDataFrame([(3, 4, 0.9), (1, 4, 0.8)], "src long, dst long, p double")
+    eg = build_entity_graph(ReferenceGraph(rg.labels, rg.edges.unionByName(more), rg.sets))
+    want = [(b, n, df.count()) for b in (0.05, 0.2) for n, df in path_index.build_path_index(eg, 3, b).paths.items()]
+    written, write = [], path_index.materialise
+    monkeypatch.setattr(path_index, "materialise", lambda df, tag: (written.append(tag), write(df, tag))[1])
+    assert path_index.path_counts(eg, 3, (0.05, 0.2)) == want and want[2][2] > want[6][2] > 0
+    assert written == ["paths-0", "paths-1", "paths-2"]
+    for n in ((1, "i"), (3, "r")):
+        q = Pattern({"x0": n[1], "x1": "a", "x2": "i"}, [("x0", "x1"), ("x1", "x2")])
+        got = sorted((r.n_0, r.n_1, r.n_2, round(r.p, 6)) for r in path_index.on_demand(eg, [n[1], "a", "i"], 0.01).collect())
+        assert got == sorted((r.x0, r.x1, r.x2, r.p) for r in baselines.direct_sql(eg, q, 0.01).collect()) != []
