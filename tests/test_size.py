@@ -3,7 +3,8 @@
 import pytest
 from pyspark.sql import functions as F
 
-from ugraph.operators import baselines, path_index
+from ugraph import queries
+from ugraph.operators import baselines, engine, entity_graph, path_index
 from ugraph.operators.engine import Engine
 from ugraph.operators.entity_graph import ReferenceGraph, build_entity_graph
 from ugraph.plans.pattern import Pattern, shape
@@ -85,3 +86,19 @@ def test_path_counts_store_no_longest_paths(spark, monkeypatch):
         q = Pattern({"x0": n[1], "x1": "a", "x2": "i"}, [("x0", "x1"), ("x1", "x2")])
         got = sorted((r.n_0, r.n_1, r.n_2, round(r.p, 6)) for r in path_index.on_demand(eg, [n[1], "a", "i"], 0.01).collect())
         assert got == sorted((r.x0, r.x1, r.x2, r.p) for r in baselines.direct_sql(eg, q, 0.01).collect()) != []
+
+
+@pytest.fixture
+def written(monkeypatch):
+    """The tags of the tables that operators write, in a session without graphs."""
+    tags, write = [], path_index.materialise
+    monkeypatch.setattr(queries, "_ENGINES", {})
+    for module in (engine, entity_graph, path_index):
+        monkeypatch.setattr(module, "materialise", lambda df, tag: (tags.append(tag), write(df, tag))[1])
+    return tags
+
+
+def test_late_threshold_builds_the_graph_alone(spark, written):
+    """No index, no context and no table of marginals, none of which it reads."""
+    queries.QUERIES["baseline_late_threshold_square"](spark, "/root/testdata/sf0.001").collect()
+    assert sorted(written) == ["edges", "entities", "labels", "packed", "tied", "worlds"]
