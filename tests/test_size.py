@@ -102,3 +102,14 @@ def test_late_threshold_builds_the_graph_alone(spark, written):
     """No index, no context and no table of marginals, none of which it reads."""
     queries.QUERIES["baseline_late_threshold_square"](spark, "/root/testdata/sf0.001").collect()
     assert sorted(written) == ["edges", "entities", "labels", "packed", "tied", "worlds"]
+
+
+def test_reduction_below_beta_builds_no_index(spark, written):
+    """The lists of all its covers come from one table of labelled edges."""
+    e = queries.engine(spark, "/root/testdata/sf0.001")
+    for path in queries.CYCLE_PATHS[3]:
+        names, labels = [f"n_{n}" for n in path], [queries.CYCLE5.nodes[n] for n in path]
+        found = e.fetch(queries.CYCLE5, path, 0.1).select(*names, F.round(F.col("ple") * F.col("pn"), 6))
+        want = path_index.on_demand(e.eg, labels, 0.1).select(*[f"n_{i}" for i in range(len(path))], F.round("p", 6))
+        assert sorted(map(tuple, found.collect())) == sorted(map(tuple, want.collect())) != []
+    assert written.count("labelled") == 1 and not [t for t in written if t.startswith(("paths", "index", "hist", "marginals"))]
