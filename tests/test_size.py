@@ -113,3 +113,16 @@ def test_reduction_below_beta_builds_no_index(spark, written):
         want = path_index.on_demand(e.eg, labels, 0.1).select(*[f"n_{i}" for i in range(len(path))], F.round("p", 6))
         assert sorted(map(tuple, found.collect())) == sorted(map(tuple, want.collect())) != []
     assert written.count("labelled") == 1 and not [t for t in written if t.startswith(("paths", "index", "hist", "marginals"))]
+
+
+def test_sweep_indexes_its_own_sequences(spark, written):
+    """The graphs of a sweep share their entities, and hold the index rows of their patterns alone."""
+    d, q = "/root/testdata/sf0.001", queries.TRIANGLE
+    a, b = (queries.engine(spark, d, share=x, patterns=(q,)) for x in (0.2, 1.0))
+    assert written.count("entities") == 1 and written.count("edges") == 2 and a.eg.entities is b.eg.entities
+    whole = path_index.build_path_index(b.eg, 2, 0.3)
+    held = lambda df: sorted(tuple(round(v, 9) if isinstance(v, float) else v for v in r) for r in df.collect())
+    for labels in (["PROMO", "LARGE"], ["LARGE", "SMALL", "PROMO"]):
+        assert held(b.idx.stored(labels, 0.3)) == held(whole.stored(labels, 0.3)) != []
+    with pytest.raises(ValueError, match="holds no paths"):
+        b.idx.lookup(["SMALL", "SMALL"], 0.5)
