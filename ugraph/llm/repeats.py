@@ -298,7 +298,7 @@ class SuffixFamily:
             if len(some) < 2:
                 continue
             x = strings[some, k]
-            order = np.argsort(x, kind="stable")
+            order = np.argsort(x)
             same = x[order][1:] == x[order][:-1]
             if same.any():
                 hit = rows[some[order[np.concatenate((same, [False])) | np.concatenate(([False], same))]]]
@@ -332,6 +332,7 @@ class Shard:
         grams, cid, pos = (np.asarray(table.column(c)) for c in ("gram", "cid", "pos"))
         left, right = (table.column(c).to_pylist() for c in ("left", "right"))
         regions, before = [x[::-1] + y for x, y in zip(left, right, strict=True)], unit.counts(left)
+        del left, right
         seen: dict[tuple[int, bytes], int] = {}
         each = np.array([seen.setdefault(x, i) for i, x in enumerate(zip(before.tolist(), regions, strict=True))])
         one, self.where, copies = np.unique(each, return_inverse=True, return_counts=True)
